@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, decontaminate, html_text, language_id, secrets, token_counts
+from . import bpe, decontaminate, html_text, jaccard_join, language_id, secrets, simhash, token_counts
 from .common import load
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -28,6 +28,10 @@ def op2_bpe_codec(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encode_decode(load(spark, sf_dir, "documents"), "doc_id", "text", tokenizer("byte_bpe_50k.json"))
 
 
+def op3_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return simhash.document_fingerprints(load(spark, sf_dir, "documents"))
+
+
 def op5_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secrets.digest(secrets.scan(load(spark, sf_dir, "documents"), ["doc_id"], "text", tokenizer("byte_bpe_50k.json")))
 
@@ -42,12 +46,16 @@ def op7_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return labelled.select("doc_id", language_id.held_out("doc_id").alias("held_out"), "lang_pred", "score")
 
 
+def op8_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard_join.similarity_components(spark, load(spark, sf_dir, "documents"))
+
+
 def op9_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.digest(decontaminate.contamination(load(spark, sf_dir, "documents"), load(spark, sf_dir, "benchmark")))
 
 
 def queries() -> dict[str, Query]:
-    return {f.__name__: f for f in (op1_token_counts, op2_bpe_codec, op5_secret_scan, op6_html_text, op7_language_id, op9_decontamination)}
+    return {f.__name__: f for f in (op1_token_counts, op2_bpe_codec, op3_simhash, op5_secret_scan, op6_html_text, op7_language_id, op8_jaccard_join, op9_decontamination)}
 
 
 def oracle_sql() -> dict[str, str]:
