@@ -144,8 +144,8 @@ def codec(path: str) -> TreeCodec:
     return TreeCodec(path)
 
 
-def encode_decode(df: DataFrame, key: str, text: str, path: str, with_ids: bool = False) -> DataFrame:
-    """Per row: the key, n_tokens, ids_sha256 and decoded_sha256, and with with_ids the ids too.
+def encode_decode(df: DataFrame, keys: list[str], text: str, path: str, with_ids: bool = False) -> DataFrame:
+    """Per row: keys, n_tokens, ids_sha256 and decoded_sha256, and with with_ids the ids too.
 
     A null or empty text has no ids; repeated rows each give a row; nothing is shuffled.
     """
@@ -167,4 +167,4 @@ def encode_decode(df: DataFrame, key: str, text: str, path: str, with_ids: bool
         return run
 
     fields = [("n_tokens", "bigint"), ("ids_sha256", "string"), ("decoded_sha256", "string"), ("ids", "array<int>")]
-    return map_texts(df, [key], text, kernel, fields[: 3 + with_ids])
+    return map_texts(df, keys, text, kernel, fields[: 3 + with_ids])

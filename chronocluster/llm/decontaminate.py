@@ -141,8 +141,8 @@ def _marks(docs: DataFrame, keys: list[str], text: str, block) -> DataFrame:
     return map_texts(docs, keys, text, kernel, [("n_words", "bigint"), ("spans", "array<struct<s:int,e:int>>"), ("items", "array<string>")])
 
 
-def contamination(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", text: str = "text", item: str = "item_id", item_text: str = "text", width: int = 10, block_bytes: int = BROADCAST_BYTES) -> DataFrame:
-    """Per row of docs: key, n_words, spans (word ranges of found windows), items (sorted ids, as strings).
+def contamination(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", text: str = "text", item: str = "item_id", item_text: str = "text", width: int = 10, block_bytes: int = BROADCAST_BYTES, carried: list[str] | None = None) -> DataFrame:
+    """Per row of docs: key (or the carried columns), n_words, spans (word ranges of found windows), items (sorted ids, as strings).
 
     A null text has no words; an item without words is never found; an item without an id marks
     words but is not listed; repeated rows each give a row.  The benchmark is shipped in blocks of
@@ -151,14 +151,15 @@ def contamination(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", te
     marks = benchmark.select(F.col(f"`{item}`").cast("string").alias("i"), F.col(f"`{item_text}`").alias("t"))
     total = marks.agg(F.sum(F.octet_length("t"))).first()[0] or 0
     n = int(total // block_bytes) + 1
-    picked = docs.select(F.col(f"`{key}`"), F.col(f"`{text}`").alias("__t"), F.xxhash64(f"`{text}`").alias("__h"))
+    carried = carried or [key]
+    picked = docs.select(*(F.col(f"`{c}`") for c in carried), F.col(f"`{text}`").alias("__t"), F.xxhash64(f"`{text}`").alias("__h"))
     found = []
     for k in range(n):
         rows = marks.filter(F.pmod(F.xxhash64("t"), F.lit(n)) == k).collect()
         windows = Windows([(r.i, r.t) for r in rows], width)
         sc = docs.sparkSession.sparkContext
         windows.rank(_frequencies(picked, "__t", sc.broadcast(windows)) if windows.windows else {})
-        found.append(_marks(picked, [key, "__h"], "__t", sc.broadcast(windows)))
+        found.append(_marks(picked, [*carried, "__h"], "__t", sc.broadcast(windows)))
     if n == 1:
         return found[0].drop("__h")
     some = [materialise(f.filter(F.size("spans") > 0).select(F.col(f"`{key}`").alias("k"), F.col("__h").alias("h"), "spans", "items"), "contamination") for f in found]
@@ -166,9 +167,9 @@ def contamination(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", te
     for f in some[1:]:
         merged = merged.union(f)
     merged = merged.distinct().groupBy("k", "h").agg(F.flatten(F.collect_list("spans")).alias("spans"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items"))
-    base = found[0].select(key, "__h", "n_words")
+    base = found[0].select(*carried, "__h", "n_words")
     empty = F.array().cast("array<struct<s:int,e:int>>")
-    return base.join(merged, F.col(f"`{key}`").eqNullSafe(F.col("k")) & (F.col("__h") == F.col("h")), "left").select(key, "n_words", F.coalesce("spans", empty).alias("spans"), F.coalesce("items", F.array().cast("array<string>")).alias("items"))
+    return base.join(merged, F.col(f"`{key}`").eqNullSafe(F.col("k")) & (F.col("__h") == F.col("h")), "left").select(*carried, "n_words", F.coalesce("spans", empty).alias("spans"), F.coalesce("items", F.array().cast("array<string>")).alias("items"))
 
 
 def hit_words(spans: str = "spans"):

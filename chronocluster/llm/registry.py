@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, decontaminate, html_text, jaccard_join, language_id, secrets, simhash, token_counts
+from . import bpe, decontaminate, html_text, jaccard_join, language_id, secrets, simhash, substring_dedup, token_counts, url_filters
 from .common import load
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -25,13 +25,17 @@ def op1_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op2_bpe_codec(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return bpe.encode_decode(load(spark, sf_dir, "documents"), "doc_id", "text", tokenizer("byte_bpe_50k.json"))
+    return bpe.encode_decode(load(spark, sf_dir, "documents"), ["doc_id"], "text", tokenizer("byte_bpe_50k.json"))
 
 
 def op3_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.document_fingerprints(load(spark, sf_dir, "documents"))
 
 
+def op4_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return substring_dedup.digest(substring_dedup.deduplicate(load(spark, sf_dir, "documents")))
+
+
 def op5_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secrets.digest(secrets.scan(load(spark, sf_dir, "documents"), ["doc_id"], "text", tokenizer("byte_bpe_50k.json")))
 
@@ -54,9 +58,26 @@ def op9_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.digest(decontaminate.contamination(load(spark, sf_dir, "documents"), load(spark, sf_dir, "benchmark")))
 
 
+def op10_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
+    pages = load(spark, sf_dir, "pages")
+    return url_filters.check(url_filters.fetched_pages(pages), url_filters.derived_list(pages), ["page_id"])
+
+
 def queries() -> dict[str, Query]:
-    return {f.__name__: f for f in (op1_token_counts, op2_bpe_codec, op3_simhash, op5_secret_scan, op6_html_text, op7_language_id, op8_jaccard_join, op9_decontamination)}
+    operators = (
+        op1_token_counts,
+        op2_bpe_codec,
+        op3_simhash,
+        op4_substring_dedup,
+        op5_secret_scan,
+        op6_html_text,
+        op7_language_id,
+        op8_jaccard_join,
+        op9_decontamination,
+        op10_url_filters,
+    )
+    return {f.__name__: f for f in operators}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op10_url_filters": url_filters.oracle_sql()}
