@@ -87,13 +87,13 @@ WITH captures AS (
   FROM pages),
 hosts AS (SELECT DISTINCT regexp_replace(host, '^(m|blog)\\.', '') AS domain FROM captures WHERE host IS NOT NULL),
 listed AS (
-  SELECT domain, {digit(1)} % 200 AS at, 1 + {digit(2)} % 90 AS stay, {digit(4)} % 4 AS kind,
+  SELECT domain, {digit(1)} % 200 AS start, 1 + {digit(2)} % 90 AS stay, {digit(4)} % 4 AS kind,
          (['adult', 'malware', 'spam'])[1 + {digit(3)} % 3] AS rule
   FROM hosts WHERE {digit(0)} % 3 = 0),
 entries AS (
-  SELECT domain, rule, at AS day, true AS listed FROM listed
-  UNION ALL SELECT domain, rule, at + stay, false FROM listed WHERE kind >= 2
-  UNION ALL SELECT domain, rule, at + 2 * stay, true FROM listed WHERE kind = 3),
+  SELECT domain, rule, start AS day, true AS listed FROM listed
+  UNION ALL SELECT domain, rule, start + stay, false FROM listed WHERE kind >= 2
+  UNION ALL SELECT domain, rule, start + 2 * stay, true FROM listed WHERE kind = 3),
 stretches AS (
   SELECT domain, rule, listed, DATE '{FIRST_DAY}' + day::INT AS since,
          DATE '{FIRST_DAY}' + lead(day) OVER (PARTITION BY domain, rule ORDER BY day)::INT AS until
