@@ -30,7 +30,7 @@ from .common import materialise, slices
 
 #: Words of a shingle; the similarity asked for, in hundredths; documents that make a shingle common.
 SHINGLE, PERCENT, COMMON = 5, 75, 32
-#: Shingle hashes that one bucket counts, and bits of each bit table at most.
+#: Shingle hashes that one bucket counts, and bits of the larger bit table at most.
 BUCKET_HASHES, MOST_BITS = 2_000_000, 1 << 28
 #: Word hashes that one worker keeps.
 KEPT_WORDS = 2_000_000
@@ -129,34 +129,46 @@ class Rarity:
     """Which shingles are shared and which are common, as two bit tables cut by bucket."""
 
     def __init__(self, buckets: int, bits: int):
-        self.buckets, self.bits = buckets, max(64, bits // buckets // 64 * 64)
-        self.shared = np.zeros((buckets, self.bits // 8), dtype=np.uint8)
-        self.common = np.zeros((buckets, self.bits // 8), dtype=np.uint8)
+        self.buckets = buckets
+        self.shared = np.zeros((buckets, max(64, bits // buckets) // 8), dtype=np.uint8)
+        self.common = np.zeros((buckets, max(64, bits // buckets // 8) // 8), dtype=np.uint8)
 
     def split(self, s: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """The bucket of each hash and what it is counted by there."""
         return ((s >> np.uint64(48)) * np.uint64(self.buckets) >> np.uint64(16)).astype(np.int64), (s >> np.uint64(16)).astype(np.uint32)
 
-    def places(self, short: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    @staticmethod
+    def places(short: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
+        """Two bits of a row of size bytes for each."""
         x = short.astype(np.uint64) * MIX
-        return (x >> np.uint64(34)).astype(np.int64) % self.bits, ((x >> np.uint64(3)) & np.uint64(0x3FFFFFFF)).astype(np.int64) % self.bits
+        return (x >> np.uint64(34)).astype(np.int64) % (8 * size), ((x >> np.uint64(3)) & np.uint64(0x3FFFFFFF)).astype(np.int64) % (8 * size)
 
-    def mark(self, row: np.ndarray, short: np.ndarray) -> None:
-        for p in self.places(short):
+    @staticmethod
+    def row(short: np.ndarray, size: int) -> bytes:
+        """A bucket's part of a table of which these are members."""
+        row = np.zeros(size, dtype=np.uint8)
+        for p in Rarity.places(short, size):
             np.bitwise_or.at(row, p >> 3, (1 << (p & 7)).astype(np.uint8))
+        return row.tobytes()
 
     def classes(self, s: np.ndarray) -> np.ndarray:
         """0 for a shingle of one document, 1 for a shared and 2 for a common one."""
         bucket, short = self.split(s)
-        p, q = self.places(short)
-        held = lambda table: (table[bucket, p >> 3] >> (p & 7) & 1) & (table[bucket, q >> 3] >> (q & 7) & 1)
+
+        def held(table: np.ndarray) -> np.ndarray:
+            p, q = self.places(short, table.shape[1])
+            return (table[bucket, p >> 3] >> (p & 7) & 1) & (table[bucket, q >> 3] >> (q & 7) & 1)
+
         return held(self.shared).astype(np.int64) + held(self.common)
 
 
 def rarity(docs: DataFrame, key: str, text: str, hashes: int) -> tuple[Rarity, float]:
     """The bit tables, and the mean length of the lists of shared shingles that are not common."""
     buckets = max(16, -(-hashes // BUCKET_HASHES))
-    made = Rarity(buckets, min(MOST_BITS, 1 << max(12, (8 * hashes).bit_length())))
+    made = Rarity(buckets, min(MOST_BITS, 1 << max(14, hashes.bit_length())))
+    sizes = made.shared.shape[1], made.common.shape[1]
+
+    split = Rarity(buckets, 0).split
 
     def deal(batches):
         for _, sets in _sets(batches):
@@ -165,18 +177,15 @@ def rarity(docs: DataFrame, key: str, text: str, hashes: int) -> tuple[Rarity, f
                 continue
             values, n = np.unique(np.concatenate(list(once.values())), return_counts=True)
             values = np.repeat(values, np.minimum(n, COMMON))
-            bucket, short = made.split(values)
+            bucket, short = split(values)
             ends = np.searchsorted(bucket, np.arange(buckets + 1))
             some = [b for b in range(buckets) if ends[b] < ends[b + 1]]
             yield pa.RecordBatch.from_arrays([pa.array(some, pa.int32()), pa.array([short[ends[b] : ends[b + 1]].tobytes() for b in some], pa.binary())], names=["bucket", "hashes"])
 
     def count(table: pa.Table) -> pa.Table:
         values, n = np.unique(np.concatenate([np.frombuffer(x.as_py(), dtype=np.uint32) for x in table.column("hashes")]), return_counts=True)
-        rows = [np.zeros(made.bits // 8, dtype=np.uint8) for _ in range(2)]
-        made.mark(rows[0], values[n >= 2])
-        made.mark(rows[1], values[n >= COMMON])
         light = n[(n >= 2) & (n < COMMON)].astype(np.float64)
-        return pa.table({"bucket": table.column("bucket").slice(0, 1), "shared": pa.array([rows[0].tobytes()], pa.binary()), "common": pa.array([rows[1].tobytes()], pa.binary()), "lists": pa.array([float(light.sum())]), "squares": pa.array([float((light**2).sum())])})
+        return pa.table({"bucket": table.column("bucket").slice(0, 1), "shared": pa.array([Rarity.row(values[n >= 2], sizes[0])], pa.binary()), "common": pa.array([Rarity.row(values[n >= COMMON], sizes[1])], pa.binary()), "lists": pa.array([float(light.sum())]), "squares": pa.array([float((light**2).sum())])})
 
     dealt = _texts(docs, key, text).mapInArrow(deal, "bucket int, hashes binary")
     lists = squares = 0.0
