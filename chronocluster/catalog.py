@@ -953,12 +953,12 @@ def _stream(spark, sf):
 _CLOSED = "(SELECT max(ts) - INTERVAL 1 HOUR FROM events)"
 
 
-@query("stream_tumbling", f"SELECT date_trunc('day', ts)::TIMESTAMP AS start, user_id, event_type, count(*)::DOUBLE AS weight FROM events GROUP BY ALL HAVING date_trunc('day', ts) + INTERVAL 1 DAY <= {_CLOSED}")
+@query("stream_tumbling", f"SELECT * FROM (SELECT date_trunc('day', ts)::TIMESTAMP AS start, user_id, event_type, count(*)::DOUBLE AS weight FROM events GROUP BY ALL) WHERE start + INTERVAL 1 DAY <= {_CLOSED}")
 def _(spark, sf):
     return run_to_table(streaming.tumbling_edges(_stream(spark, sf))).withColumn("start", F.col("start").cast("timestamp_ntz"))
 
 
-@query("stream_sliding", f"SELECT (date_trunc('day', ts) - s * INTERVAL 1 DAY)::TIMESTAMP AS start, user_id, count(*) AS n FROM events, (SELECT unnest([0, 1]) AS s) GROUP BY ALL HAVING date_trunc('day', start) + INTERVAL 2 DAY <= {_CLOSED}")
+@query("stream_sliding", f"SELECT * FROM (SELECT (date_trunc('day', ts) - s * INTERVAL 1 DAY)::TIMESTAMP AS start, user_id, count(*) AS n FROM events, (SELECT unnest([0, 1]) AS s) GROUP BY ALL) WHERE start + INTERVAL 2 DAY <= {_CLOSED}")
 def _(spark, sf):
     rows = run_to_table(streaming.sliding_counts(_stream(spark, sf)))
     return rows.withColumn("start", F.col("start").cast("timestamp_ntz"))

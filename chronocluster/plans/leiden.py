@@ -79,7 +79,8 @@ def _kernel_labels(edges: DataFrame, nulls: DataFrame, gamma: dict[int, float] |
         given = {n: pa.array([x.as_py()] * len(ids), x.type) for n, x in zip(keys, key, strict=True)}
         return pa.table(given | out)
 
-    return edges.select(*keys, "a", "b", "weight").groupBy(*keys).cogroup(nulls.select(*keys, "v", "s", "ko", "ki", "at").groupBy(*keys)).applyInArrow(run, schema)
+    named = [F.col(k).alias(k) for k in keys]  # both sides may stem from one frame
+    return edges.select(*named, "a", "b", "weight").groupBy(*keys).cogroup(nulls.select(*named, "v", "s", "ko", "ki", "at").groupBy(*keys)).applyInArrow(run, schema)
 
 
 # Many tasks.
