@@ -10,13 +10,15 @@ from pyspark.sql import functions as F
 
 from . import agreement, functions, plans, quality, streaming, tracking
 from .components import components
-from .generators import PlantedPartition, planted_edges, planted_labels
+from .generators import PlantedPartition, edges_sql, labels_sql, planted_edges, planted_labels
+from .linalg import block_eigs, centred
+from .linalg import lanczos as distributed_lanczos
 from .operators import DeformedLaplacian, Laplacian, ModularityOp, MultisliceModularityOp, NonBacktracking, spmv
 from .plans.leiden import Distributed, null_strengths, slice_rates, summed
 from .plans.spectral import lloyd_step
 from .session import cut
 from .sources import edges as files
-from .sources import load
+from .sources import load, planted as planted_source, register_views
 from .streaming.build import run_to_table
 from .supra import SupraGraph, couple, dataset_properties, degrees, sid, slice_totals, strengths, supra_graph, supra_size
 from .temporal import TemporalGraph, absent_nodes, active_nodes, backbone, between_slices, contacts_within, ego, flatten, index_nodes, index_slices, induced, min_weight, presence, slice_edges, snapshot
@@ -155,7 +157,7 @@ def _(spark, sf):
     return couple(tg.nodes, table, "table")
 
 
-@query("supra_edges", with_graph(f", {SUPRA_SQL} SELECT a, b, weight::DOUBLE AS weight, kind FROM s".replace("ends AS", "ends AS")))
+@query("supra_edges", with_graph(f", {SUPRA_SQL} SELECT a, b, weight::DOUBLE AS weight, kind FROM s"))
 def _(spark, sf):
     return supra_graph(graph(spark, sf)).edges
 
@@ -222,12 +224,12 @@ def _(spark, sf):
 _PLANTED = PlantedPartition(400, 5, 4, 10.0, 0.6, 0.95, seed=9)
 
 
-@query("sbm_edges", "SELECT * FROM " + __import__("chronocluster.generators", fromlist=["x"]).edges_sql(_PLANTED))
+@query("sbm_edges", "SELECT * FROM " + edges_sql(_PLANTED))
 def _(spark, sf):
     return planted_edges(spark, _PLANTED)
 
 
-@query("sbm_labels", "SELECT * FROM " + __import__("chronocluster.generators", fromlist=["x"]).labels_sql(_PLANTED))
+@query("sbm_labels", "SELECT * FROM " + labels_sql(_PLANTED))
 def _(spark, sf):
     return planted_labels(spark, _PLANTED)
 
@@ -259,12 +261,12 @@ def _(spark, sf):
 
 @query(
     "multislice_modularity",
-    with_graph("""SELECT round((within + kept) / (sum_m + ties), 6) AS q_ms, sum_m + ties AS two_mu FROM
+    with_graph("""SELECT round((within + kept) / (sum_m + ties), 6) AS q_ms, (sum_m + ties)::DOUBLE AS two_mu FROM
   (SELECT sum(2 * coalesce(w, 0) - kk / two_m) AS within, sum(two_m) AS sum_m FROM
     (SELECT slice, 2 * sum(weight) AS two_m, sum(CASE WHEN ca = cb THEN weight ELSE 0 END) AS w FROM ends GROUP BY slice)
     JOIN (SELECT slice, sum(kc * kc) AS kk FROM (SELECT slice, community, sum(k) AS kc FROM k JOIN l USING (slice, node) GROUP BY ALL) GROUP BY slice) USING (slice)),
   (SELECT 2.0 * count(*) AS ties, 2.0 * count(*) FILTER (a.community = b.community) AS kept FROM ties t
-    JOIN l a ON a.slice = t.slice_a AND a.node = t.node JOIN l b ON b.slice = t.slice_b AND b.node = t.node)""").replace("AS two_mu", "AS two_mu").replace("sum_m + ties AS two_mu", "(sum_m + ties)::DOUBLE AS two_mu"),
+    JOIN l a ON a.slice = t.slice_a AND a.node = t.node JOIN l b ON b.slice = t.slice_b AND b.node = t.node)"""),
 )
 def _(spark, sf):
     tg, labels = based(spark, sf)
@@ -452,18 +454,18 @@ def _(spark, sf):
     return rounded(lloyd_step(p, p.filter("id < 4").withColumnRenamed("id", "centre"), ["x", "y"]), "x", "y")
 
 
-@query("local_move_round", with_graph(f""", {SUPRA_SQL}, q AS (SELECT {_sid("slice", "node")} AS v, slice, community AS c, k FROM l JOIN k USING (slice, node)),
+@query("local_move_round", with_graph(f""", {SUPRA_SQL}, q AS (SELECT {_sid("slice", "node")} AS v, slice, (node % 3)::BIGINT AS c, k FROM l JOIN k USING (slice, node)),
   m AS (SELECT slice, sum(k) AS m FROM k GROUP BY slice), t AS (SELECT c, slice, sum(k) AS kc FROM q GROUP BY ALL),
   w AS (SELECT v, c, sum(w) AS w FROM (SELECT s.a AS v, q.c, 2 * weight AS w FROM s JOIN q ON q.v = s.b UNION ALL SELECT v, c, 0 FROM q) GROUP BY ALL),
   g AS (SELECT w.v, q.c AS own, w.c, w.w - 2 * q.k * (coalesce(t.kc, 0) - CASE WHEN w.c = q.c THEN q.k ELSE 0 END) / m.m AS gain FROM w JOIN q USING (v) JOIN m ON m.slice = q.slice LEFT JOIN t ON t.c = w.c AND t.slice = q.slice),
   o AS (SELECT *, row_number() OVER (PARTITION BY v ORDER BY round(gain, 7) DESC, c) AS r, max(CASE WHEN c = own THEN gain END) OVER (PARTITION BY v) AS stay FROM g)
-  SELECT v, own, c FROM o WHERE r = 1 AND round(gain, 7) > round(stay, 7)""".replace("q.c AS own", "q.c AS own"), SMALL))
+  SELECT v, own, c FROM o WHERE r = 1 AND round(gain, 7) > round(stay, 7)""", SMALL))
 def _(spark, sf):
-    """The best move of every temporal node against the slices' nulls, from the labels by rule."""
+    """The best move of every temporal node against the slices' nulls, from the labels node mod 3."""
     tg, labels = based(spark, sf, SMALL)
     supra = supra_graph(tg)
     nulls = null_strengths(tg, supra)
-    level = Distributed(summed(supra.edges), nulls, slice_rates(nulls, 1.0, "modularity"), labels.select(sid(F.col("slice"), F.col("node")).alias("v"), F.col("community").alias("c")))
+    level = Distributed(summed(supra.edges), nulls, slice_rates(nulls, 1.0, "modularity"), labels.select(sid(F.col("slice"), F.col("node")).alias("v"), F.pmod("node", F.lit(3)).alias("c")))
     g = level.gains(level.labels).withColumn("gain", F.round("gain", 7))
     best = g.groupBy("v", "own").agg(F.max(F.struct("gain", (-F.col("c")).alias("minus"))).alias("best"), F.max(F.when(F.col("c") == F.col("own"), F.col("gain"))).alias("stay"))
     return best.filter("best.gain > stay").select("v", "own", (-F.col("best.minus")).alias("c"))
@@ -600,6 +602,65 @@ def _(spark, sf):
     return rows.agg((F.max_by("nmi", "snr") > F.min_by("nmi", "snr")).alias("rises"))
 
 
+@query("leiden_distributed", "SELECT true AS covers, true AS good, true AS valid")
+def _(spark, sf):
+    """The distributed engine, handed over to one task when few edges are left."""
+    return _checked(spark, sf, SMALL, lambda g: plans.leiden(g, 50.0, backend_name="distributed", finish=2000), 0.9)
+
+
+@query("lanczos", "SELECT 3::BIGINT AS pairs, true AS ordered, true AS above_zero")
+def _(spark, sf):
+    """The lower end of the supra-Laplacian by distributed Lanczos steps."""
+    supra = supra_graph(graph(spark, sf, SMALL), 50.0)
+    values, _ = distributed_lanczos(Laplacian(SupraGraph(cut(supra.nodes, "nodes"), cut(supra.edges, "edges")), "symmetric"), 3, steps=8)
+    rows = spark.createDataFrame([(i, float(v)) for i, v in enumerate(values)], "i int, value double")
+    after = rows.select((F.col("i") - 1).alias("i"), F.col("value").alias("after"))
+    return rows.join(after, "i", "left").agg(F.count("*").alias("pairs"), F.bool_and(F.coalesce(F.col("after") >= F.col("value"), F.lit(True))).alias("ordered"), F.bool_and(F.col("value") > -1e-6).alias("above_zero"))
+
+
+@query("block_eigenpairs", "SELECT 2::BIGINT AS pairs, true AS within_bounds")
+def _(spark, sf):
+    """The two smallest pairs of the deformed Laplacian by filtered subspace iteration, time modes taken out."""
+    supra = supra_graph(graph(spark, sf, SMALL), 50.0)
+    supra = SupraGraph(cut(supra.nodes, "nodes"), cut(supra.edges, "edges"))
+    op = DeformedLaplacian(supra)
+    low, high = op.bounds()
+    values, _, _ = block_eigs(op, 2, most=2, degree=4, project=lambda b: centred(b, supra.nodes))
+    return spark.createDataFrame([(float(v),) for v in values], "value double").agg(F.count("*").alias("pairs"), F.bool_and(F.col("value").between(low, high)).alias("within_bounds"))
+
+
+@query("slice_spectra", with_graph("SELECT slice, count(DISTINCT node) AS n, 0.0::DOUBLE AS trace FROM n GROUP BY slice", SMALL))
+def _(spark, sf):
+    s = functions.slice_spectra(graph(spark, sf, SMALL).edges)
+    return s.select("slice", F.size("spectrum").cast("bigint").alias("n"), F.abs(F.round(F.aggregate("spectrum", F.lit(0.0), lambda a, x: a + x), 5)).alias("trace"))
+
+
+@query("windows_of", with_graph("SELECT slice, run::INT AS run FROM (SELECT DISTINCT slice FROM e), (SELECT unnest(range(20)) AS run) WHERE slice BETWEEN run * 2 AND run * 2 + 3"))
+def _(spark, sf):
+    functions.register_windows(spark)
+    graph(spark, sf).edges.select("slice").distinct().createOrReplaceTempView("slices_in_use")
+    return spark.sql("SELECT s.slice, w.run FROM slices_in_use s, LATERAL windows_of(s.slice, 4, 2) w")
+
+
+@query("sql_views", with_graph("SELECT slice, count(*) AS m FROM e GROUP BY slice", SMALL))
+def _(spark, sf):
+    register_views(spark, sf, {"nation_trade": graph(spark, sf, SMALL).edges})
+    return spark.sql("SELECT slice, count(*) AS m FROM nation_trade GROUP BY slice")
+
+
+@query("planted_source", "SELECT * FROM " + edges_sql(PlantedPartition(60, 3, 3, 6.0, 0.5, 0.9, seed=4)))
+def _(spark, sf):
+    planted_source.register(spark)
+    return spark.read.format("planted_partition").options(n="60", k="3", slices="3", c="6.0", lam="0.5", eta="0.9", seed="4").load()
+
+
+@query("cosine_pairs", "SELECT a.vec_id, round(list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 6) AS cosine FROM embeddings a JOIN embeddings b ON b.vec_id = a.vec_id + 1")
+def _(spark, sf):
+    v = load(spark, sf, "embeddings").select("vec_id", "embedding")
+    after = v.select((F.col("vec_id") - 1).alias("vec_id"), F.col("embedding").alias("other"))
+    return v.join(after, "vec_id").select("vec_id", F.round(functions.cosine("embedding", "other"), 6).alias("cosine"))
+
+
 # ---------------------------------------------------------------- tracking
 
 
@@ -804,8 +865,8 @@ def _(spark, sf):
     return rounded(wide.unpivot("vec_id", ["c0", "c1", "c2"], "dim", "value"), "value")
 
 
-@query("rank_communities", with_graph("""SELECT slice, community, n, row_number() OVER o AS rn, rank() OVER s AS rk, dense_rank() OVER s AS dr, ntile(2) OVER o AS tile, percent_rank() OVER s AS pr
-  FROM (SELECT slice, community, count(*) AS n FROM l GROUP BY ALL) WINDOW o AS (PARTITION BY slice ORDER BY n DESC, community), s AS (PARTITION BY slice ORDER BY n DESC)""").replace("row_number() OVER o AS rn", "(row_number() OVER o)::INT AS rn").replace("rank() OVER s AS rk", "(rank() OVER s)::INT AS rk").replace("dense_rank() OVER s AS dr", "(dense_rank() OVER s)::INT AS dr").replace("ntile(2) OVER o AS tile", "(ntile(2) OVER o)::INT AS tile").replace("dense_(rank() OVER s)::INT AS rk", "dense_rank() OVER s AS rk"))
+@query("rank_communities", with_graph("""SELECT slice, community, n, (row_number() OVER o)::INT AS rn, (rank() OVER s)::INT AS rk, (dense_rank() OVER s)::INT AS dr, (ntile(2) OVER o)::INT AS tile, percent_rank() OVER s AS pr
+  FROM (SELECT slice, community, count(*) AS n FROM l GROUP BY ALL) WINDOW o AS (PARTITION BY slice ORDER BY n DESC, community), s AS (PARTITION BY slice ORDER BY n DESC)"""))
 def _(spark, sf):
     sizes = based(spark, sf)[1].groupBy("slice", "community").agg(F.count("*").alias("n"))
     o, s = Window.partitionBy("slice").orderBy(F.desc("n"), "community"), Window.partitionBy("slice").orderBy(F.desc("n"))

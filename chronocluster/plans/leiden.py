@@ -214,7 +214,7 @@ def _distributed_labels(edges: DataFrame, nulls: DataFrame, gamma, quality: str,
                 small = level.edges.select("a", "b", (F.col("w") / 2).alias("weight"))
                 g = {r.s: r.g for r in gamma.toDF("s", "g").collect()} if isinstance(gamma, DataFrame) else gamma
                 done = _kernel_labels(small, level.nulls, g, quality, {"max_passes": 1, "with_refinement": with_refinement, "theta": theta, "seed": seed}, start=level.labels.toDF("v", "at"))
-                level.labels = cut(done.toDF("v", "c"), "labels")
+                level.labels = cut(done.select("v", F.col("community").alias("c")), "labels")
                 break
         after = cut(chain.join(level.labels.toDF("r", "c"), "r").select("v", "c"), "labels")
         if labels is not None and after.join(labels.toDF("v", "was"), "v").filter("c <> was").isEmpty():
