@@ -11,7 +11,9 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 #: Bytes of text that one call of a batch kernel holds at most, besides a single longer text.
-KERNEL_BYTES = 8 << 20
+KERNEL_BYTES = 2 << 20
+#: Rows that travel to Python at once, at most: 10,000 long texts would fill an executor's memory.
+BATCH_ROWS = 500
 #: Bytes that a table may have before it is no longer shipped to every task whole.
 BROADCAST_BYTES = 64 << 20
 
@@ -36,6 +38,13 @@ def materialise(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def small_batches(spark: SparkSession) -> None:
+    """Lower the session's rows per Arrow batch, a setting that may change at any time, to BATCH_ROWS."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(name)) <= BATCH_ROWS:
+        spark.conf.set(name, str(BATCH_ROWS))
+
+
 def slices(batch: pa.RecordBatch, column: str) -> Iterator[pa.RecordBatch]:
     """Cut a batch into pieces of at most KERNEL_BYTES of the given string column."""
     sizes = [len(x.as_py() or "") if x.is_valid else 0 for x in batch.column(column)] if batch.nbytes > KERNEL_BYTES else None
@@ -62,10 +71,12 @@ def map_texts(
     """Apply a Python kernel to every whole text, batch by batch, without a shuffle.
 
     kernel() runs once in each task and returns a function from a list of texts (null stays None)
-    to one list per field.  Only keys and the text column travel to Python, so other columns of df
-    can have any name.
+    to one list per field.  Only keys and the text column travel to Python (once, if it is a key too),
+    so other columns of df can have any name.
     """
-    picked = df.select(*[F.col(f"`{k}`") for k in keys], F.col(f"`{text}`").alias("__text"))
+    small_batches(df.sparkSession)
+    seen = text if text in keys else "__text"
+    picked = df.select(*[F.col(f"`{k}`") for k in keys], *([] if text in keys else [F.col(f"`{text}`").alias(seen)]))
     made = T.StructType([T.StructField(n, T._parse_datatype_string(t)) for n, t in fields])
     schema = T.StructType([*(T.StructField(f.name, f.dataType) for f in picked.schema.fields[: len(keys)]), *made.fields])
 
@@ -75,8 +86,8 @@ def map_texts(
         arrow = to_arrow_schema(made)
         f = kernel()
         for whole in batches:
-            for b in slices(whole, "__text"):
-                made_columns = f(b.column("__text").to_pylist())
+            for b in slices(whole, seen):
+                made_columns = f(b.column(seen).to_pylist())
                 arrays = [pa.array(c, type=x.type) for c, x in zip(made_columns, arrow, strict=True)]
                 yield pa.RecordBatch.from_arrays([*(b.column(i) for i in range(len(keys))), *arrays], names=[*keys, *arrow.names])
 

@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import BROADCAST_BYTES, map_texts, materialise, slices
+from .common import BROADCAST_BYTES, map_texts, materialise, slices, small_batches
 
 #: Words of a shingle, unless a window has fewer.
 SHINGLE = 5
@@ -108,6 +108,7 @@ def _frequencies(docs: DataFrame, text: str, block) -> dict[tuple[int, int], int
         keys = list(total)
         yield pa.RecordBatch.from_arrays([pa.array([k[0] for k in keys], pa.int32()), pa.array([k[1] - (1 << 64) if k[1] >> 63 else k[1] for k in keys], pa.int64()), pa.array([total[k] for k in keys], pa.int64())], names=["m", "code", "n"])
 
+    small_batches(docs.sparkSession)
     rows = docs.select(F.col(f"`{text}`").alias("t")).mapInArrow(count, "m int, code bigint, n bigint").groupBy("m", "code").agg(F.sum("n").alias("n")).collect()
     return {(r.m, r.code % (1 << 64)): r.n for r in rows}
 
@@ -152,14 +153,14 @@ def contamination(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", te
     total = marks.agg(F.sum(F.octet_length("t"))).first()[0] or 0
     n = int(total // block_bytes) + 1
     carried = carried or [key]
-    picked = docs.select(*(F.col(f"`{c}`") for c in carried), F.col(f"`{text}`").alias("__t"), F.xxhash64(f"`{text}`").alias("__h"))
+    picked = docs.select(*(F.col(f"`{c}`") for c in carried), *([] if text in carried else [F.col(f"`{text}`")]), F.xxhash64(f"`{text}`").alias("__h"))
     found = []
     for k in range(n):
         rows = marks.filter(F.pmod(F.xxhash64("t"), F.lit(n)) == k).collect()
         windows = Windows([(r.i, r.t) for r in rows], width)
         sc = docs.sparkSession.sparkContext
-        windows.rank(_frequencies(picked, "__t", sc.broadcast(windows)) if windows.windows else {})
-        found.append(_marks(picked, [*carried, "__h"], "__t", sc.broadcast(windows)))
+        windows.rank(_frequencies(picked, text, sc.broadcast(windows)) if windows.windows else {})
+        found.append(_marks(picked, [*carried, "__h"], text, sc.broadcast(windows)))
     if n == 1:
         return found[0].drop("__h")
     some = [materialise(f.filter(F.size("spans") > 0).select(F.col(f"`{key}`").alias("k"), F.col("__h").alias("h"), "spans", "items"), "contamination") for f in found]

@@ -11,8 +11,10 @@ its own, and answers with its part of two bit tables of bounded size: shingles i
 documents, and in at least COMMON.  The order (unique, shared, common; then by hash) is a function
 of the shingle, so prefixes of it are exact however full the tables get; they get longer lists only.
 
-Equal sets are one class and never meet.  A list first links its sets to one of them (a star);
-only lists that still hold several components compare the rest, across components alone.
+Equal sets are one class and never meet.  In two turns each set meets one centre of its lists
+(another one in the second turn, where it is of another component); sets that list a common subset
+are linked through its centre.  Only inverted lists that then still hold several components
+compare the rest, across components alone.
 """
 
 from __future__ import annotations
@@ -26,14 +28,16 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import materialise, slices
+from .common import materialise, slices, small_batches
 
 #: Words of a shingle; the similarity asked for, in hundredths; documents that make a shingle common.
 SHINGLE, PERCENT, COMMON = 5, 75, 32
 #: Shingle hashes that one bucket counts, and bits of the larger bit table at most.
 BUCKET_HASHES, MOST_BITS = 2_000_000, 1 << 28
+#: Hashes that a task holds before it deals them to the buckets.
+HELD_HASHES = 1_000_000
 #: Word hashes that one worker keeps.
-KEPT_WORDS = 2_000_000
+KEPT_WORDS = 150_000
 A_TO_Z = bytes(b + 32 if 65 <= b <= 90 else b for b in range(256))
 MIX = np.uint64(0x9E3779B97F4A7C15)
 LIST = 'array<bigint>'
@@ -103,6 +107,7 @@ def set_id(s: np.ndarray) -> int:
 
 
 def _texts(docs: DataFrame, key: str, text: str) -> DataFrame:
+    small_batches(docs.sparkSession)
     return docs.select(F.col(f"`{key}`").alias("k"), F.col(f"`{text}`").alias("t"))
 
 
@@ -170,17 +175,26 @@ def rarity(docs: DataFrame, key: str, text: str, hashes: int) -> tuple[Rarity, f
 
     split = Rarity(buckets, 0).split
 
+    def dealt_out(once: dict[int, np.ndarray]) -> pa.RecordBatch:
+        values, n = np.unique(np.concatenate(list(once.values())), return_counts=True)
+        bucket, short = split(np.repeat(values, np.minimum(n, COMMON)))
+        ends = np.searchsorted(bucket, np.arange(buckets + 1))
+        some = np.flatnonzero(ends[:-1] < ends[1:]).tolist()
+        return pa.RecordBatch.from_arrays([pa.array(some, pa.int32()), pa.array([short[ends[b] : ends[b + 1]].tobytes() for b in some], pa.binary())], names=["bucket", "hashes"])
+
     def deal(batches):
+        once: dict[int, np.ndarray] = {}
+        held = 0
         for _, sets in _sets(batches):
-            once = {set_id(s): s for s in sets if len(s)}
-            if not once:
-                continue
-            values, n = np.unique(np.concatenate(list(once.values())), return_counts=True)
-            values = np.repeat(values, np.minimum(n, COMMON))
-            bucket, short = split(values)
-            ends = np.searchsorted(bucket, np.arange(buckets + 1))
-            some = [b for b in range(buckets) if ends[b] < ends[b + 1]]
-            yield pa.RecordBatch.from_arrays([pa.array(some, pa.int32()), pa.array([short[ends[b] : ends[b + 1]].tobytes() for b in some], pa.binary())], names=["bucket", "hashes"])
+            for s in sets:
+                if len(s) and (sid := set_id(s)) not in once:
+                    once[sid] = s
+                    held += len(s)
+            if held > HELD_HASHES:
+                yield dealt_out(once)
+                once, held = {}, 0
+        if once:
+            yield dealt_out(once)
 
     def count(table: pa.Table) -> pa.Table:
         values, n = np.unique(np.concatenate([np.frombuffer(x.as_py(), dtype=np.uint32) for x in table.column("hashes")]), return_counts=True)
@@ -222,31 +236,23 @@ def signatures(docs: DataFrame, key: str, text: str, table, light: int, percent:
                     kind = r.classes(s)
                     order = np.lexsort((s, kind))[: prefix_size(n, percent)]
                     shared = np.flatnonzero(kind[order] > 0)
-                    hashes, places = s[order[shared]].view(np.int64).tolist(), shared.tolist()
-                if subsets or hashes:
-                    for column, x in zip(out, (sid, n, s.tobytes(), subsets, hashes, places), strict=True):
+                    hashes, places = s[order[shared]].view(np.int64), shared.astype(np.int32)
+                if subsets or len(hashes):
+                    for column, x in zip(out, (sid, n, s.view(np.int64), subsets, hashes, places), strict=True):
                         column.append(x)
-            kinds = (pa.int64(), pa.int32(), pa.binary(), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.list_(pa.int32()))
+            kinds = (pa.int64(), pa.int32(), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.list_(pa.int32()))
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(out, kinds, strict=True)], names=["sid", "n", "hashes", "subsets", "entries", "places"])
 
-    return _texts(docs, key, text).mapInArrow(run, f"sid bigint, n int, hashes binary, subsets {LIST}, entries {LIST}, places array<int>")
+    return _texts(docs, key, text).mapInArrow(run, f"sid bigint, n int, hashes {LIST}, subsets {LIST}, entries {LIST}, places array<int>")
 
 
 def verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """The pairs (a, b) whose sets reach the similarity."""
-
-    def run(batches):
-        for b in batches:
-            keep = []
-            for x, y in zip(b.column("x"), b.column("y"), strict=True):
-                x, y = np.frombuffer(x.as_py(), dtype=np.uint64), np.frombuffer(y.as_py(), dtype=np.uint64)
-                both = len(np.intersect1d(x, y, assume_unique=True))
-                keep.append(100 * both >= percent * (len(x) + len(y) - both))
-            yield b.filter(pa.array(keep, pa.bool_())).select(["a", "b"])
-
-    own = sets.select("sid", "hashes")
-    with_a = pairs.join(own.withColumnsRenamed({"sid": "a", "hashes": "x"}), "a")
-    return with_a.join(own.withColumnsRenamed({"sid": "b", "hashes": "y"}), "b").select("a", "b", "x", "y").mapInArrow(run, "a bigint, b bigint")
+    own = sets.select("sid", "n", "hashes")
+    with_a = pairs.join(own.toDF("a", "na", "x"), "a")
+    both = with_a.join(own.toDF("b", "nb", "y"), "b")
+    common = both.select("a", "b", "na", "nb", F.size(F.array_intersect("x", "y")).alias("both"))
+    return common.filter(100 * F.col("both") >= percent * (F.col("na") + F.col("nb") - F.col("both"))).select("a", "b")
 
 
 def components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
@@ -275,6 +281,61 @@ def _possible(percent: int):
     return (100 * F.least(n, m) >= percent * F.greatest(n, m)) & ((100 + percent) * rest >= percent * (n + m))
 
 
+def _placed(lists: DataFrame, comps: DataFrame | None) -> DataFrame:
+    """The entries of lists with the component of each set; a set without a link is its own."""
+    if comps is None:
+        return lists.withColumn("comp", F.col("sid"))
+    return lists.join(comps, "sid", "left").withColumn("comp", F.coalesce("comp", "sid"))
+
+
+def _merged(comps: DataFrame | None, links: DataFrame) -> DataFrame:
+    """The components after more links; only these are followed, between the components so far."""
+    if comps is None:
+        return components(links)
+    if links.isEmpty():
+        return comps
+    at = lambda side: comps.select(F.col("sid").alias(side), F.col("comp").alias(f"c{side}"))
+    between = links.join(at("a"), "a", "left").join(at("b"), "b", "left").select(F.coalesce("ca", "a").alias("a"), F.coalesce("cb", "b").alias("b")).filter("a <> b")
+    joined = components(between).toDF("comp", "to")
+    moved = comps.join(joined, "comp", "left").select("sid", F.coalesce("to", "comp").alias("comp"))
+    fresh = joined.select(F.col("comp").alias("sid"), F.col("to").alias("comp")).join(comps.select("sid"), "sid", "left_anti")
+    return materialise(moved.unionByName(fresh), "labels")
+
+
+def _split(placed: DataFrame, key: str) -> DataFrame:
+    """The entries of lists that hold more than one component."""
+    several = placed.groupBy(key).agg(F.min("comp").alias("low"), F.max("comp").alias("high")).filter("low < high").select(key)
+    return placed.join(several, key, "left_semi")
+
+
+def _stars(placed: DataFrame, key: str, turn: int, percent: int | None = None) -> DataFrame:
+    """a, b: each set of a list with the list's centre, if they are of different components.
+
+    The centre is the set whose hash (another one for each turn) is smallest, so lists with much the
+    same sets agree on it.  Entries with places are held to the length and positional bounds.
+    """
+    carried = [F.col("sid").alias("b"), F.col("comp").alias("over"), *([F.col("n").alias("m"), F.col("place").alias("spot")] if percent else [])]
+    centre = placed.groupBy(key).agg(F.min(F.struct(F.xxhash64("sid", F.lit(turn)).alias("h"), *carried)).alias("c"), F.count("*").alias("size")).filter("size > 1").select(key, "c.*").drop("h")
+    pairs = placed.join(centre, key).filter("comp <> over")
+    return (pairs.filter(_possible(percent)) if percent else pairs).select(F.col("sid").alias("a"), "b")
+
+
+def _one_each(pairs: DataFrame) -> DataFrame:
+    """Of a set's centres the one whose hash is smallest."""
+    return pairs.groupBy("a").agg(F.min(F.struct(F.xxhash64("b").alias("h"), "b")).alias("c")).select("a", "c.b")
+
+
+def _ordered(pairs: DataFrame) -> DataFrame:
+    return pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+
+
+def _across(placed: DataFrame, percent: int) -> DataFrame:
+    """a, b: all pairs of a list that are of different components and within the bounds."""
+    rest = _split(placed, "shingle")
+    other = rest.select("shingle", F.col("sid").alias("b"), F.col("n").alias("m"), F.col("place").alias("spot"), F.col("comp").alias("over"))
+    return rest.join(other, "shingle").filter((F.col("comp") < F.col("over")) & _possible(percent)).select(F.col("sid").alias("a"), "b")
+
+
 def similarity_components(spark: SparkSession, docs: DataFrame, key: str = "doc_id", text: str = "text", percent: int = PERCENT) -> DataFrame:
     """Per row: key, n_shingles, component_id (the smallest key that links reach, itself included).
 
@@ -289,27 +350,18 @@ def similarity_components(spark: SparkSession, docs: DataFrame, key: str = "doc_
     raw = signatures(docs, key, text, spark.sparkContext.broadcast(table), light, percent)
     sets = materialise(raw.dropDuplicates(["sid"]), "signatures")
 
-    by_subset = sets.select("sid", F.explode("subsets").alias("subset"))
-    subset_stars = by_subset.groupBy("subset").agg(F.min("sid").alias("b"), F.max("sid").alias("top")).filter("b < top").drop("top")
-    light_pairs = by_subset.join(subset_stars, "subset").filter("sid <> b").select(F.col("sid").alias("a"), "b")
-
     entries = sets.select("sid", "n", F.explode(F.arrays_zip("entries", "places")).alias("e")).select("sid", "n", F.col("e.entries").alias("shingle"), F.col("e.places").alias("place"))
-    centre = F.min(F.struct(F.xxhash64("sid").alias("h"), F.col("sid").alias("b"), F.col("n").alias("m"), F.col("place").alias("spot")))
-    stars = entries.groupBy("shingle").agg(centre.alias("c"), F.count("*").alias("size")).filter("size > 1").select("shingle", "c.b", "c.m", "c.spot")
-    heavy_pairs = entries.join(stars, "shingle").filter((F.col("sid") != F.col("b")) & _possible(percent)).select(F.col("sid").alias("a"), "b")
-    ordered = lambda p: p.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-    tried = materialise(ordered(light_pairs.union(heavy_pairs)), "pairs")
-    links = materialise(verified(tried, sets, percent), "verified")
-    comps = components(links)
-
-    placed = entries.join(comps, "sid", "left").withColumn("comp", F.coalesce("comp", "sid"))
-    split = placed.groupBy("shingle").agg(F.min("comp").alias("low"), F.max("comp").alias("high")).filter("low < high").select("shingle")
-    rest = placed.join(split, "shingle", "left_semi")
-    other = rest.select("shingle", F.col("sid").alias("b"), F.col("n").alias("m"), F.col("place").alias("spot"), F.col("comp").alias("over"))
-    cross = rest.join(other, "shingle").filter((F.col("comp") < F.col("over")) & _possible(percent)).select(F.col("sid").alias("a"), "b")
-    late = materialise(verified(ordered(cross).join(tried, ["a", "b"], "left_anti"), sets, percent), "verified")
-    if not late.isEmpty():
-        comps = components(links.union(late))
+    subsets = sets.select("sid", F.explode("subsets").alias("subset"))
+    no_pairs = spark.createDataFrame([], "a bigint, b bigint")
+    tried, comps = no_pairs, None
+    for turn in range(2):
+        near = _one_each(_stars(_placed(entries, comps), "shingle", turn, percent))
+        near = near.union(_stars(_placed(subsets, comps), "subset", turn) if turn else _one_each(_stars(_placed(subsets, comps), "subset", turn)))
+        new = materialise(_ordered(near).join(tried, ["a", "b"], "left_anti"), "pairs")
+        tried = tried.union(new)
+        comps = _merged(comps, materialise(verified(new, sets, percent), "verified"))
+    late = materialise(verified(_ordered(_across(_placed(entries, comps), percent)).join(tried, ["a", "b"], "left_anti"), sets, percent), "verified")
+    comps = _merged(comps, late)
 
     labelled = materialise(sized.join(comps, "sid", "left").select("k", "n", F.coalesce("comp", "sid").alias("comp")), "classes")
     smallest = materialise(labelled.filter("comp is not null").groupBy("comp").agg(F.min("k").alias("least")), "components")

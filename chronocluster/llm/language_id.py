@@ -22,8 +22,8 @@ from .common import map_texts
 TRAIN_DOCUMENTS, TRAIN_FEATURES = 150, 60_000
 #: Training sequences, words of each, and the chance that a word begins another language's run.
 SEQUENCES, LENGTH, SWITCH = 4000, 24, 0.12
-#: Words whose scores one worker keeps; when there are more it forgets them and starts anew.
-KEPT_WORDS = 1_500_000
+#: Words whose scores one task keeps; when there are more it forgets them and starts anew.
+KEPT_WORDS = 200_000
 UNKNOWN = "und"
 WORD = re.compile(r"[^\W\d_]+")
 
@@ -47,6 +47,12 @@ class LanguageField:
         self._rows: dict[str, int] = {}
         self._scores = np.zeros((0, k))
 
+    def fresh(self) -> LanguageField:
+        """The same model without kept words."""
+        made = LanguageField(self.labels)
+        made.__setstate__(self.__getstate__())
+        return made
+
     def __getstate__(self):
         return {"labels": self.labels, "index": self.index, "states": self.states, "transitions": self.transitions, "start": self.start}
 
@@ -158,13 +164,14 @@ class LanguageField:
         get = self._rows.__getitem__
         return [np.fromiter(map(get, d), dtype=np.int64, count=len(d)) for d in docs]
 
-    def marginals(self, docs: list[list[str]]) -> list[np.ndarray]:
-        """Forward-backward marginals of every word, one matrix per document; documents advance side by side."""
+    def _forward_backward(self, docs: list[list[str]]) -> tuple[list[int], np.ndarray, np.ndarray, np.ndarray]:
+        """Marginals of every word, documents side by side: their order (longest first), the number of words
+        before each step, and for each row of the marginals the place of its document in that order."""
         numbers = self._number(docs)
         order = sorted((i for i in range(len(docs)) if len(docs[i])), key=lambda i: -len(docs[i]))
-        out = [np.zeros((len(d), len(self.labels))) for d in docs]
+        k = len(self.labels)
         if not order:
-            return out
+            return order, np.zeros(1, dtype=np.int64), np.zeros((0, k)), np.zeros(0, dtype=np.int64)
         sizes = np.array([len(docs[i]) for i in order])
         longest = int(sizes[0])
         active = np.searchsorted(-sizes, -np.arange(longest), side="left")
@@ -172,6 +179,7 @@ class LanguageField:
         flat = np.empty(offset[-1], dtype=np.int64)
         for r, i in enumerate(order):
             flat[offset[: sizes[r]] + r] = numbers[i]
+        del numbers
         emit = self._scores[flat]
         step = np.exp(self.transitions)
         alpha, back = np.empty_like(emit), step.T.copy()
@@ -181,32 +189,39 @@ class LanguageField:
             a = emit[lo:hi] * (a[: hi - lo] @ step if t else a)
             a /= a.sum(1, keepdims=True)
             alpha[lo:hi] = a
-        beta = np.ones((0, len(self.labels)))
+        beta = np.ones((0, k))
         for t in range(longest - 1, -1, -1):
             lo, hi = offset[t], offset[t + 1]
             if len(beta) < hi - lo:
-                beta = np.concatenate([beta, np.ones((hi - lo - len(beta), len(self.labels)))])
+                beta = np.concatenate([beta, np.ones((hi - lo - len(beta), k))])
             m = alpha[lo:hi] * beta
             m /= m.sum(1, keepdims=True)
             beta = (emit[lo:hi] * beta) @ back
             beta /= beta.sum(1, keepdims=True)
             alpha[lo:hi] = m
+        return order, offset, alpha, np.arange(offset[-1]) - np.repeat(offset[:-1], active)
+
+    def marginals(self, docs: list[list[str]]) -> list[np.ndarray]:
+        """Forward-backward marginals of every word, one matrix per document."""
+        order, offset, m, _ = self._forward_backward(docs)
+        out = [np.zeros((len(d), len(self.labels))) for d in docs]
         for r, i in enumerate(order):
-            out[i] = alpha[offset[: sizes[r]] + r]
+            out[i] = m[offset[: len(docs[i])] + r]
         return out
 
     def predict(self, texts: list[str | None]) -> tuple[list[str], list[float]]:
+        """The language with the largest sum of marginals, and its share of the words."""
         docs = [words_of(t) for t in texts]
-        labels, scores = [], []
-        for d, m in zip(docs, self.marginals(docs), strict=True):
-            if not self.index or not any(c.isalpha() for w in d for c in w):
-                labels.append(UNKNOWN)
-                scores.append(0.0)
-            else:
-                total = m.sum(0)
-                best = int(np.argmax(total))
-                labels.append(self.labels[best])
-                scores.append(float(min(1.0, total[best] / total.sum())))
+        labels, scores = [UNKNOWN] * len(docs), [0.0] * len(docs)
+        if not self.index:
+            return labels, scores
+        order, _, m, owner = self._forward_backward(docs)
+        totals = np.stack([np.bincount(owner, m[:, c], minlength=len(order)) for c in range(len(self.labels))], axis=1)
+        for r, i in enumerate(order):
+            if any(c.isalpha() for w in docs[i] for c in w):
+                best = int(np.argmax(totals[r]))
+                labels[i] = self.labels[best]
+                scores[i] = float(min(1.0, totals[r, best] / totals[r].sum()))
         return labels, scores
 
 
@@ -234,7 +249,7 @@ def identify(docs: DataFrame, keys: list[str], text: str, field: LanguageField)
     shared = docs.sparkSession.sparkContext.broadcast(field)
 
     def kernel():
-        model = shared.value
+        model = shared.value.fresh()
 
         def run(texts):
             return list(model.predict(texts))

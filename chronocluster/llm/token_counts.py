@@ -19,7 +19,7 @@ from .bpe import PIECES
 from .common import map_texts
 
 #: Terminal counts that one worker keeps; when there are more it forgets them and starts anew.
-TERMINALS = 2_000_000
+TERMINALS = 500_000
 #: Pre-tokens over this many bytes are counted without being kept.
 KEPT_BYTES = 64
 

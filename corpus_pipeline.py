@@ -52,7 +52,7 @@ def decontaminate_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -
 
 def mask_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Mask secrets in the texts; n_chars follows where a text has changed."""
-    scanned = secrets.scan(_whole(docs), COLUMNS, "text", tokenizer("byte_bpe_50k.json"))
+    scanned = secrets.scan(_whole(docs), ["doc_id", "lang", "source", "n_chars"], "text", tokenizer("byte_bpe_50k.json"))
     return scanned.select("doc_id", F.col("clean").alias("text"), "lang", "source", F.when(F.size("findings") > 0, F.length("clean").cast("bigint")).otherwise(F.col("n_chars")).alias("n_chars"))
 
 
