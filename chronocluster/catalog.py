@@ -829,10 +829,10 @@ def _(spark, sf):
     return based(spark, sf)[1].groupBy("slice", "community").agg(F.array_sort(F.collect_set("node")).alias("nodes"))
 
 
-@query("degree_quantiles", with_graph("SELECT slice, quantile_cont(k, 0.5) AS median, quantile_cont(k, 0.9) AS top FROM k GROUP BY slice"))
+@query("degree_quantiles", with_graph("SELECT slice, round(quantile_cont(k, 0.5), 6) AS median, round(quantile_cont(k, 0.9), 6) AS top FROM k GROUP BY slice"))
 def _(spark, sf):
     k = strengths(graph(spark, sf).edges)
-    return k.groupBy("slice").agg(F.percentile("k_out", 0.5).alias("median"), F.percentile("k_out", 0.9).alias("top"))
+    return rounded(k.groupBy("slice").agg(F.percentile("k_out", 0.5).alias("median"), F.percentile("k_out", 0.9).alias("top")), "median", "top")
 
 
 @query("degree_moments", with_graph("SELECT slice, round(avg(k), 9) AS mean, round(avg(k * k), 9) AS square, round(stddev_samp(k), 9) AS sd, round(corr(k, nxt), 6) AS corr_next FROM (SELECT *, lead(k) OVER (PARTITION BY node ORDER BY slice) AS nxt FROM k) GROUP BY slice"))

@@ -8,10 +8,11 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.functions import pandas_udf, udtf
 
 
-@pandas_udf("array<double>")
+@pandas_udf(T.ArrayType(T.DoubleType()))
 def adjacency_spectrum(src: pd.Series, dst: pd.Series, weight: pd.Series) -> list[float]:
     """Eigenvalues, largest first, of the graph of one group; for groups that fit a task."""
     ids, inverse = np.unique(np.concatenate([src, dst]), return_inverse=True)
@@ -27,7 +28,7 @@ def slice_spectra(edges: DataFrame) -> DataFrame:
     return edges.groupBy("slice").agg(adjacency_spectrum("src", "dst", "weight").alias("spectrum"))
 
 
-@udtf(returnType="run int")
+@udtf(returnType=T.StructType([T.StructField("run", T.IntegerType())]))
 class WindowsOf:
     """The overlapping runs of slices that hold a slice: windows_of(slice - first, width, stride)."""
 

@@ -9,7 +9,7 @@ from chronocluster import catalog
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages".split()
 #: Methods that run many jobs are left to the correctness run at the next size.
-SLOW = {"leiden_surprise", "detectability_sweep", "leiden_distributed", "lanczos", "block_eigenpairs", "coupling_profile", "resolution_profile", "spectral_per_slice", "leiden_cpm", "leiden_until_stable", "louvain", "connected_communities", "stream_communities"}
+SLOW = {"leiden_surprise", "detectability_sweep", "leiden_distributed", "lanczos", "block_eigenpairs", "coupling_profile", "resolution_profile", "spectral_per_slice", "leiden_cpm", "leiden_until_stable", "louvain", "connected_communities", "stream_communities", "degenerate_time"}
 
 
 def plain(v):
