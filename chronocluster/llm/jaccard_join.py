@@ -309,20 +309,22 @@ def _split(placed: DataFrame, key: str) -> DataFrame:
 
 
 def _stars(placed: DataFrame, key: str, turn: int, percent: int | None = None) -> DataFrame:
-    """a, b: each set of a list with the list's centre, if they are of different components.
+    """a, b, own: each set of a list with the list's centre, if they are of different components.
 
-    The centre is the set whose hash (another one for each turn) is smallest, so lists with much the
+    The centre in the first turn is the set with the fewest shingles of its own (those before its first
+    entry), the one that its copies are most like; later it is one by hash.  Lists with much the
     same sets agree on it.  Entries with places are held to the length and positional bounds.
     """
-    carried = [F.col("sid").alias("b"), F.col("comp").alias("over"), *([F.col("n").alias("m"), F.col("place").alias("spot")] if percent else [])]
-    centre = placed.groupBy(key).agg(F.min(F.struct(F.xxhash64("sid", F.lit(turn)).alias("h"), *carried)).alias("c"), F.count("*").alias("size")).filter("size > 1").select(key, "c.*").drop("h")
+    carried = [F.col("sid").alias("b"), F.col("own").alias("rank"), F.col("comp").alias("over"), *([F.col("n").alias("m"), F.col("place").alias("spot")] if percent else [])]
+    order = [F.col("own").alias("o")] if turn == 0 else []
+    centre = placed.groupBy(key).agg(F.min(F.struct(*order, F.xxhash64("sid", F.lit(turn)).alias("h"), *carried)).alias("c"), F.count("*").alias("size")).filter("size > 1").select(key, "c.*").drop("h", "o")
     pairs = placed.join(centre, key).filter("comp <> over")
-    return (pairs.filter(_possible(percent)) if percent else pairs).select(F.col("sid").alias("a"), "b")
+    return (pairs.filter(_possible(percent)) if percent else pairs).select(F.col("sid").alias("a"), "b", "rank")
 
 
 def _one_each(pairs: DataFrame) -> DataFrame:
-    """Of a set's centres the one whose hash is smallest."""
-    return pairs.groupBy("a").agg(F.min(F.struct(F.xxhash64("b").alias("h"), "b")).alias("c")).select("a", "c.b")
+    """Of a set's centres the one with the fewest shingles of its own."""
+    return pairs.groupBy("a").agg(F.min(F.struct("rank", F.xxhash64("b").alias("h"), "b")).alias("c")).select("a", "c.b")
 
 
 def _ordered(pairs: DataFrame) -> DataFrame:
@@ -350,13 +352,13 @@ def similarity_components(spark: SparkSession, docs: DataFrame, key: str = "doc_
     raw = signatures(docs, key, text, spark.sparkContext.broadcast(table), light, percent)
     sets = materialise(raw.dropDuplicates(["sid"]), "signatures")
 
-    entries = sets.select("sid", "n", F.explode(F.arrays_zip("entries", "places")).alias("e")).select("sid", "n", F.col("e.entries").alias("shingle"), F.col("e.places").alias("place"))
-    subsets = sets.select("sid", F.explode("subsets").alias("subset"))
+    entries = sets.select("sid", "n", F.array_min("places").alias("own"), F.explode(F.arrays_zip("entries", "places")).alias("e")).select("sid", "n", "own", F.col("e.entries").alias("shingle"), F.col("e.places").alias("place"))
+    subsets = sets.select("sid", F.lit(0).alias("own"), F.explode("subsets").alias("subset"))
     no_pairs = spark.createDataFrame([], "a bigint, b bigint")
     tried, comps = no_pairs, None
     for turn in range(2):
         near = _one_each(_stars(_placed(entries, comps), "shingle", turn, percent))
-        near = near.union(_stars(_placed(subsets, comps), "subset", turn) if turn else _one_each(_stars(_placed(subsets, comps), "subset", turn)))
+        near = near.union(_stars(_placed(subsets, comps), "subset", turn).select("a", "b") if turn else _one_each(_stars(_placed(subsets, comps), "subset", turn)))
         new = materialise(_ordered(near).join(tried, ["a", "b"], "left_anti"), "pairs")
         tried = tried.union(new)
         comps = _merged(comps, materialise(verified(new, sets, percent), "verified"))
