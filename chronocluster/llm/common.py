@@ -10,6 +10,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from ..session import ship
+
 #: Bytes of text that one call of a batch kernel holds at most, besides a single longer text.
 KERNEL_BYTES = 2 << 20
 #: Rows that travel to Python at once, at most: 10,000 long texts would fill an executor's memory.
@@ -38,9 +40,10 @@ def materialise(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
-def small_batches(spark: SparkSession) -> None:
-    """Lower the session's rows per Arrow batch, a setting that may change at any time, to BATCH_ROWS."""
+def ready_workers(spark: SparkSession) -> None:
+    """Lower the session's rows per Arrow batch, a setting that may change at any time, to BATCH_ROWS, and give workers the package."""
     name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    ship(spark)
     if not 0 < int(spark.conf.get(name)) <= BATCH_ROWS:
         spark.conf.set(name, str(BATCH_ROWS))
 
@@ -74,7 +77,7 @@ def map_texts(
     to one list per field.  Only keys and the text column travel to Python (once, if it is a key too),
     so other columns of df can have any name.
     """
-    small_batches(df.sparkSession)
+    ready_workers(df.sparkSession)
     seen = text if text in keys else "__text"
     picked = df.select(*[F.col(f"`{k}`") for k in keys], *([] if text in keys else [F.col(f"`{text}`").alias(seen)]))
     made = T.StructType([T.StructField(n, T._parse_datatype_string(t)) for n, t in fields])

@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import BROADCAST_BYTES, map_texts, materialise, slices, small_batches
+from .common import BROADCAST_BYTES, map_texts, materialise, slices, ready_workers
 
 #: Words of a shingle, unless a window has fewer.
 SHINGLE = 5
@@ -108,7 +108,7 @@ def _frequencies(docs: DataFrame, text: str, block) -> dict[tuple[int, int], int
         keys = list(total)
         yield pa.RecordBatch.from_arrays([pa.array([k[0] for k in keys], pa.int32()), pa.array([k[1] - (1 << 64) if k[1] >> 63 else k[1] for k in keys], pa.int64()), pa.array([total[k] for k in keys], pa.int64())], names=["m", "code", "n"])
 
-    small_batches(docs.sparkSession)
+    ready_workers(docs.sparkSession)
     rows = docs.select(F.col(f"`{text}`").alias("t")).mapInArrow(count, "m int, code bigint, n bigint").groupBy("m", "code").agg(F.sum("n").alias("n")).collect()
     return {(r.m, r.code % (1 << 64)): r.n for r in rows}
 

@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import materialise, slices, small_batches
+from .common import materialise, slices, ready_workers
 
 #: Words of a shingle; the similarity asked for, in hundredths; documents that make a shingle common.
 SHINGLE, PERCENT, COMMON = 5, 75, 32
@@ -68,28 +68,30 @@ def boundary(list_length: float, percent: int = PERCENT) -> int:
     return n
 
 
+class WordHashes(dict):
+    """Hashes of words, worked out when a word is first asked for."""
+
+    def __missing__(self, word: bytes) -> int:
+        h = self[word] = self.hash(word)
+        return h
+
+
 class Shingler:
     """Sorted distinct shingle hashes of whole texts."""
 
     def __init__(self):
-        self.words: dict[bytes, int] = {}
-
-    def __call__(self, text: str | None) -> np.ndarray:
         import xxhash
 
+        self.words = WordHashes()
+        self.words.hash = xxhash.xxh3_64_intdigest
+
+    def __call__(self, text: str | None) -> np.ndarray:
         words = (text or "").encode().translate(A_TO_Z).split()
         if not words:
             return np.zeros(0, dtype=np.uint64)
-        known = self.words
-        if len(known) > KEPT_WORDS:
-            known.clear()
-        try:
-            h = np.array([known[w] for w in words], dtype=np.uint64)
-        except KeyError:
-            for w in words:
-                if w not in known:
-                    known[w] = xxhash.xxh3_64_intdigest(w)
-            h = np.array([known[w] for w in words], dtype=np.uint64)
+        if len(self.words) > KEPT_WORDS:
+            self.words.clear()
+        h = np.fromiter(map(self.words.__getitem__, words), dtype=np.uint64, count=len(words))
         k = min(SHINGLE, len(h))
         n = len(h) - k + 1
         s = np.full(n, k, dtype=np.uint64)
@@ -107,7 +109,7 @@ def set_id(s: np.ndarray) -> int:
 
 
 def _texts(docs: DataFrame, key: str, text: str) -> DataFrame:
-    small_batches(docs.sparkSession)
+    ready_workers(docs.sparkSession)
     return docs.select(F.col(f"`{key}`").alias("k"), F.col(f"`{text}`").alias("t"))
 
 

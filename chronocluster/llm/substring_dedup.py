@@ -17,8 +17,9 @@ from pyspark.sql import functions as F
 from .common import map_texts, materialise
 
 #: Words and sentences that a span has at least.
-MIN_WORDS, MIN_SENTENCES = 20, 2
-BORDER = re.compile(r"(?<=[.!?…。])\s+|\s*\n\s*")
+MIN_WORDS, MIN_SENTENCES = 16, 2
+#: A sentence ends at its mark, with any other signs right after it, or at a line break.
+BORDER = re.compile(r"[.!?…。][^\w\s]*\s+|\s*\n\s*")
 
 
 def sentences(text: str) -> list[tuple[int, int]]:
