@@ -11,6 +11,8 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.functions import pandas_udf, udtf
 
+from ..session import ship
+
 
 @pandas_udf(T.ArrayType(T.DoubleType()))
 def adjacency_spectrum(src: pd.Series, dst: pd.Series, weight: pd.Series) -> list[float]:
@@ -25,6 +27,7 @@ def adjacency_spectrum(src: pd.Series, dst: pd.Series, weight: pd.Series) -> lis
 
 def slice_spectra(edges: DataFrame) -> DataFrame:
     """slice, spectrum of each snapshot."""
+    ship(edges.sparkSession)
     return edges.groupBy("slice").agg(adjacency_spectrum("src", "dst", "weight").alias("spectrum"))
 
 
@@ -38,6 +41,7 @@ class WindowsOf:
 
 
 def register_windows(spark: SparkSession) -> None:
+    ship(spark)
     spark.udtf.register("windows_of", WindowsOf)
 
 

@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 
 from .. import kernels
 from ..components import components
-from ..session import backend, cut
+from ..session import backend, cut, ship
 from ..supra import SupraGraph, auto_omega, decode, degrees, sid, strengths, supra_graph
 from ..temporal import TemporalGraph, between_slices
 from ..tracking import match_labels
@@ -45,6 +45,7 @@ def null_strengths(tg: TemporalGraph, supra: SupraGraph, null: str = "slice", qu
 
 def _kernel_labels(edges: DataFrame, nulls: DataFrame, gamma: dict[int, float] | float, quality: str, options: dict, keys: list[str] | None = None, start: DataFrame | None = None) -> DataFrame:
     """v, community for every v in nulls, one task for each value of keys (default: one for all)."""
+    ship(edges.sparkSession)
     keys = keys or ["one"]
     edges = edges if keys != ["one"] else edges.withColumn("one", F.lit(0))
     nulls = nulls if keys != ["one"] else nulls.withColumn("one", F.lit(0))

@@ -13,7 +13,7 @@ from .. import kernels
 from ..linalg import block_eigs, centred, nonsymmetric_eigs
 from ..operators import DeformedLaplacian, Laplacian, ModularityOp, MultisliceModularityOp, NonBacktracking, choose_r
 from ..operators.base import columns_of
-from ..session import cut
+from ..session import cut, ship
 from ..supra import auto_omega, supra_graph
 from ..temporal import TemporalGraph
 
@@ -132,6 +132,7 @@ def embed(kind: str, m: np.ndarray, d: np.ndarray, slices: np.ndarray, k: int |
 
 
 def _kernel(supra, k, kind, params, modes, row_normalise, order, time, seed, per_slice) -> DataFrame:
+    ship(supra.edges.sparkSession)
     key = (F.col("slice") if per_slice else F.lit(0)).alias("task")
     edges = supra.edges.withColumn("slice", F.floor(F.col("a") / F.lit(1 << 40)).cast("int")).select(key, "a", "b", "weight", (F.col("kind") == "s").alias("within"))
     nodes = supra.nodes.select(key, "sid", "slice", "node")
@@ -212,6 +213,7 @@ def _by_centred_energy(x: DataFrame, nodes: DataFrame, width: int, least: float
 
 def estimate_k(tg: TemporalGraph, seed: int = 1) -> DataFrame:
     """slice, k: how many eigenvalues of each snapshot's deformed Laplacian (r from its degrees) are negative."""
+    ship(tg.edges.sparkSession)
     edges = tg.edges.select("slice", "src", "dst")
 
     def run(key: tuple, e: pa.Table) -> pa.Table:
@@ -235,6 +237,7 @@ def fiedler_split(tg: TemporalGraph, omega: float = 1.0, threshold: str = "zero"
     threshold: zero, median, or sweep (the cut with the least conductance along the order of values).
     """
     supra = supra_graph(tg, omega)
+    ship(supra.edges.sparkSession)
     edges = supra.edges.withColumn("task", F.lit(0))
 
     def run(_: tuple, e: pa.Table, v: pa.Table) -> pa.Table:
@@ -271,6 +274,7 @@ def modularity_bisect(edges: DataFrame, gamma: float = 1.0, recursive: bool = Fa
     """
     both = edges.select(F.col("src").alias("a"), F.col("dst").alias("b"), "weight").union(edges.select("dst", "src", "weight"))
     d = cut(both.groupBy(F.col("a").alias("node")).agg(F.sum("weight").alias("k")), "degrees")
+    ship(edges.sparkSession)
     two_m = d.agg(F.sum("k")).first()[0] or 1.0
     labels = d.select("node", F.lit(0).cast("bigint").alias("community"))
 

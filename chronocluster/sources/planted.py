@@ -8,6 +8,8 @@ from collections.abc import Iterator
 from pyspark.sql import SparkSession
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
+from ..session import ship
+
 
 class PlantedPartitionSource(DataSource):
     """Edges by the rule of chronocluster.generators, one partition for each slice.
@@ -59,4 +61,5 @@ class PlantedReader(DataSourceReader):
 
 
 def register(spark: SparkSession) -> None:
+    ship(spark)
     spark.dataSource.register(PlantedPartitionSource)

@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from ..session import shared_dir
+from ..session import shared_dir, ship
 from ..temporal import TemporalGraph
 
 
@@ -53,6 +53,7 @@ def stream_contacts(left: DataFrame, right: DataFrame, within: str = "10 minutes
 
 def running_degrees(events: DataFrame, late: str = "1 hour") -> DataFrame:
     """node, slice, seen, gap: a state per user of how often it was seen and in which hour last; a coupling follows where gap is not null."""
+    ship(events.sparkSession)
     rows = events.withWatermark("ts", late).select(F.col("user_id").alias("node"), F.floor(F.unix_timestamp("ts") / 3600).alias("slice"))
 
     def update(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:

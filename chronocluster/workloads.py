@@ -13,6 +13,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .generators import PlantedPartition, edges_sql, labels_sql, planted_edges, planted_labels, preset
+from .session import ship
 from .sources import load
 from .temporal import canonicalise, co_occurrence, slice_number
 
@@ -154,6 +155,7 @@ _DOC_LANGUAGES = "(SELECT doc_id AS node, (list_position(['en', 'fr', 'de', 'es'
 
 def vector_neighbours(spark: SparkSession, sf_dir: str, k: int = 10) -> DataFrame:
     """Exact cosine k-nearest neighbours, made symmetric: blocks of vectors are compared with all, one after the other."""
+    ship(spark)
     vectors = load(spark, sf_dir, "embeddings").select("vec_id", "embedding")
     n = vectors.count()
     found = None
