@@ -110,11 +110,14 @@ def supra_size(supra: SupraGraph) -> DataFrame:
 def dataset_properties(edges: DataFrame, labels: DataFrame | None = None, approx: bool = False) -> DataFrame:
     """One row: unique nodes and edges, their sums over time, slices, and classes if labels (node, label) are given."""
     active = active_nodes(edges)
-    distinct = F.approx_count_distinct if approx else F.countDistinct
-    nodes = active.agg(distinct("node").alias("v"), F.count("*").alias("v_sum"))
-    pairs = edges.select("src", "dst").distinct().agg(F.count("*").alias("e")) if not approx else edges.agg(F.approx_count_distinct(F.struct("src", "dst")).alias("e"))
-    total = edges.agg(F.count("*").alias("e_sum"), F.countDistinct("slice").alias("t"))
-    one = nodes.crossJoin(pairs).crossJoin(total)
+    slices = active.select("slice").distinct().agg(F.count("*").alias("t"))
+    if approx:
+        nodes = active.agg(F.approx_count_distinct("node").alias("v"), F.count("*").alias("v_sum"))
+        pairs = edges.agg(F.approx_count_distinct(F.struct("src", "dst")).alias("e"), F.count("*").alias("e_sum"))
+    else:  # two levels, so that no task holds a set
+        nodes = active.groupBy("node").agg(F.count("*").alias("n")).agg(F.count("*").alias("v"), F.coalesce(F.sum("n"), F.lit(0)).alias("v_sum"))
+        pairs = edges.groupBy("src", "dst").agg(F.count("*").alias("n")).agg(F.count("*").alias("e"), F.coalesce(F.sum("n"), F.lit(0)).alias("e_sum"))
+    one = nodes.crossJoin(pairs).crossJoin(slices).select("v", "v_sum", "e", "e_sum", "t")
     if labels is None:
         return one.withColumn("c", F.lit(None).cast("bigint"))
     return one.crossJoin(labels.agg(F.countDistinct("label").alias("c")))
