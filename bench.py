@@ -68,7 +68,12 @@ def main() -> None:
         methods[f"properties_{name}"] = lambda n=name: catalog.QUERIES[f"properties_{n}"](spark, SF)
         methods[f"supra_{name}"] = lambda n=name: supra_size(supra_graph(on(n)))
     methods["couple_contact_5min"] = lambda: couple(on("contact_5min").nodes)
-    methods["multislice_modularity"] = lambda: quality.multislice_modularity(on("copart_quarter"), catalog.rule_labels(on("copart_quarter").nodes))
+
+    def multislice() -> DataFrame:
+        tg = on("copart_quarter").stored()
+        return quality.multislice_modularity(tg, catalog.rule_labels(tg.nodes))
+
+    methods["multislice_modularity"] = multislice
     for name in ("trade_region_year_thinned", "docwords_arrival", "nation_trade_year"):
         methods[f"leiden_supra_{name}"] = lambda n=name: plans.leiden(on(n), 1.0, null="global")
         methods[f"leiden_multislice_{name}"] = lambda n=name: plans.leiden(on(n), 1.0)

@@ -249,6 +249,7 @@ def leiden(
     stand-in).  quality: modularity, cpm or surprise; surprise takes the best of several
     resolutions of modularity.  A community is named after its smallest temporal node.
     """
+    tg = tg.stored()
     if quality == "surprise":
         return best_surprise(tg, omega=omega, topology=topology, max_passes=max_passes, seed=seed, backend_name=backend_name)
     supra = supra_graph(tg, auto_omega(tg.edges) if omega == "auto" else omega, topology)
@@ -273,6 +274,7 @@ def louvain(tg: TemporalGraph, **options) -> DataFrame:
 
 def baseline_multislice_sequential(tg: TemporalGraph, omega: float | str = "auto", gamma: float = 1.0, seed: int = 1, limit: int = 5_000_000) -> DataFrame:
     """The reference: one vertex at a time in one task, a null for each slice, two passes; refused above limit edges."""
+    tg = tg.stored()
     if (n := tg.edges.count()) > limit:
         raise ValueError(f"{n} edges; the sequential reference takes at most {limit}")
     return leiden(tg, omega, gamma, null="slice", backend_name="kernel", seed=seed)
@@ -299,16 +301,19 @@ def _profile(tg: TemporalGraph, name: str, values: list[float], run: Callable[[f
 
 def resolution_profile(tg: TemporalGraph, gammas: list[float], **options) -> DataFrame:
     """gamma, slice, node, community."""
+    tg = tg.stored()
     return _profile(tg, "gamma", gammas, lambda g: leiden(tg, gamma=g, **options))
 
 
 def coupling_profile(tg: TemporalGraph, omegas: list[float], **options) -> DataFrame:
     """omega, slice, node, community."""
+    tg = tg.stored()
     return _profile(tg, "omega", omegas, lambda w: leiden(tg, omega=w, **options))
 
 
 def independent_snapshots(tg: TemporalGraph, gamma: float = 1.0, seed: int = 1, match: bool = False) -> DataFrame:
     """Every snapshot on its own, one task for each; with match, labels follow the mutual best partner of the slice before."""
+    tg = tg.stored()
     k = strengths(tg.edges, tg.directed)
     nulls = k.select("slice", F.col("node").alias("v"), F.lit(0).alias("s"), F.col("k_out").alias("ko"), F.col("k_in").alias("ki"))
     edges = tg.edges.select("slice", F.col("src").alias("a"), F.col("dst").alias("b"), "weight")
@@ -337,6 +342,7 @@ def windowed(tg: TemporalGraph, width: int, stride: int, omega: float | str = "a
     """
     if not 0 < stride <= width:
         raise ValueError("0 < stride <= width")
+    tg = tg.stored()
     omega = auto_omega(tg.edges) if omega == "auto" else omega
     lo, hi = tg.edges.agg(F.min("slice"), F.max("slice")).first()
     if lo is None:

@@ -79,6 +79,7 @@ def spectral_clustering(
     for several slices) takes the slice indicators out, which else lead the spectrum; 'keep' is the
     literal method.  order='centred' picks vectors of B by the energy left after slice means are gone.
     """
+    tg = tg.stored()
     if objective:
         normalisation = {"ncut": "symmetric", "rcut": "unnormalised"}[objective]
     supra = supra_graph(tg, 0.0 if per_slice else auto_omega(tg.edges) if omega == "auto" else omega, topology)

@@ -7,6 +7,8 @@ from dataclasses import dataclass, field, replace
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from .session import cut
+
 #: Slices per unit that date_trunc knows; other widths are intervals such as "5 minutes".
 UNITS = ("year", "quarter", "month", "week", "day", "hour", "minute")
 
@@ -25,8 +27,12 @@ class TemporalGraph:
         """(slice, node): the end points of each slice's edges."""
         return active_nodes(self.edges)
 
+    def stored(self) -> TemporalGraph:
+        """The same graph with its edges written once to the shared folder, for methods that read them again and again."""
+        return self if self.meta.get("stored") else replace(self, edges=cut(self.edges, "edges"), meta={**self.meta, "stored": True})
+
     def with_edges(self, edges: DataFrame) -> TemporalGraph:
-        return replace(self, edges=edges)
+        return replace(self, edges=edges, meta={**self.meta, "stored": False})
 
 
 def active_nodes(edges: DataFrame) -> DataFrame:
