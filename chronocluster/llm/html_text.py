@@ -89,7 +89,7 @@ def parse(page: str) -> Node:
         if tag in ("html", "body") and any(x.tag == tag for x in _chain(node)):
             continue
         if tag in CLOSES_P:
-            node = _close(node, {"p"}, BARRIER - {"div", "section"}) if tag in CLOSES_P else node
+            node = _close(node, {"p"}, BARRIER - {"div", "section"})
         if tag in SAME_CLOSES:
             node = _close(node, SAME_CLOSES[tag], frozenset("ul ol dl table select".split()))
         if tag == "body":
