@@ -23,7 +23,7 @@ TRAIN_DOCUMENTS, TRAIN_FEATURES = 150, 60_000
 #: Training sequences, words of each, and the chance that a word begins another language's run.
 SEQUENCES, LENGTH, SWITCH = 4000, 24, 0.12
 #: Words whose scores one task keeps; when there are more it forgets them and starts anew.
-KEPT_WORDS = 200_000
+KEPT_WORDS = 320_000
 UNKNOWN = "und"
 WORD = re.compile(r"[^\W\d_]+")
 
