@@ -1,9 +1,10 @@
 """Substring deduplication by sliding sentence spans.
 
-From every sentence a span starts that runs over several consecutive sentences, as far as it needs
-to hold MIN_WORDS words (one sentence is a span only if it has twice as many).  Spans are hashed and joined globally; of
-a span that occurs more than once the first occurrence stays, and sentences that any other
-occurrence covers are removed.
+From every sentence a span starts, and at every sentence one ends, that runs over several consecutive
+sentences as far as it needs to hold MIN_WORDS words; a sentence with twice as many is a span alone,
+besides.  Spans are hashed and joined globally; of a span that occurs more than once the first
+occurrence stays, and sentences that any other occurrence covers are removed: all those in any
+repeated run of several sentences with MIN_WORDS words.
 """
 
 from __future__ import annotations
@@ -29,42 +30,52 @@ def sentences(text: str) -> list[tuple[int, int]]:
     return [(a, b) for a, b in zip(edges, edges[1:], strict=False) if b > a]
 
 
-def spans(text: str, min_words: int = MIN_WORDS) -> tuple[int, list[tuple[int, int, int, int, int, int]]]:
-    """The number of sentences, and of each span: two halves of its hash, first and last sentence, start, end."""
+def span_arrays(text: str, min_words: int = MIN_WORDS) -> tuple[int, list[np.ndarray]]:
+    """The number of sentences, and by span: two halves of its hash, first and last sentence, start, end.
+
+    A passage of several sentences with min_words holds, around each of its sentences, the shortest
+    such span from there on or else the shortest one that ends with the passage.
+    """
     import xxhash
 
     cut = sentences(text)
     words = [text[a:b].lower().split() for a, b in cut]
-    sizes = [len(w) for w in words]
-    hashes = [xxhash.xxh3_128_digest(" ".join(w)) for w in words]
+    full = np.array([i for i, w in enumerate(words) if w], dtype=np.int64)  # white space alone is no sentence of a span
+    sizes = np.array([len(words[i]) for i in full.tolist()], dtype=np.int64)
+    hashes = b"".join(xxhash.xxh3_128_digest(" ".join(words[i])) for i in full.tolist())
+    n, at = len(full), np.arange(len(full))
     total = np.concatenate([[0], np.cumsum(sizes)])
-    stops = np.searchsorted(total, total[:-1] + min_words)
-    out = []
-    for i, j in enumerate(stops.tolist()):
-        if not sizes[i]:
-            continue
-        if j < i + MIN_SENTENCES and sizes[i] < 2 * min_words:
-            j = i + MIN_SENTENCES
-        if j <= len(cut):
-            d = xxhash.xxh3_128_digest(b"".join(hashes[i:j]))
-            out.append((int.from_bytes(d[:8], "little", signed=True), int.from_bytes(d[8:], "little", signed=True), i, j, cut[i][0], cut[j - 1][1]))
-    return len(cut), out
+    stops = np.maximum(np.searchsorted(total, total[:-1] + min_words), at + MIN_SENTENCES)
+    starts = np.minimum(np.searchsorted(total, total[1:] - min_words, side="right") - 1, at + 1 - MIN_SENTENCES)
+    fits, mirrored, alone = stops <= n, starts >= 0, sizes >= 2 * min_words
+    first = np.concatenate([at[fits], starts[mirrored], at[alone]])
+    last = np.concatenate([stops[fits], at[mirrored] + 1, at[alone] + 1])
+    first, last = np.divmod(np.unique(first * (n + 1) + last), n + 1)
+    found = b"".join(xxhash.xxh3_128_digest(hashes[16 * i : 16 * j]) for i, j in zip(first.tolist(), last.tolist(), strict=True))
+    halves = np.frombuffer(found, dtype="<i8").reshape(-1, 2)
+    edges = np.array(cut, dtype=np.int64).reshape(-1, 2)
+    i, j = full[first], full[last - 1] + 1
+    places = (x.astype(np.int32) for x in (i, j, edges[i, 0], edges[j - 1, 1]))
+    return len(cut), [halves[:, 0], halves[:, 1], *places]
+
+
+def spans(text: str, min_words: int = MIN_WORDS) -> tuple[int, list[tuple[int, int, int, int, int, int]]]:
+    """The same, a tuple for each span."""
+    n, found = span_arrays(text, min_words)
+    return n, list(zip(*(x.tolist() for x in found), strict=True))
 
 
 def span_table(docs: DataFrame, key: str, text: str, min_words: int) -> DataFrame:
+    names = ["h1", "h2", "i", "j", "s", "e"]
+
     def kernel():
         def run(texts):
-            out = [[], []]
-            for t in texts:
-                n, found = spans(t, min_words) if t else (0, [])
-                out[0].append(n)
-                out[1].append([dict(zip(("h1", "h2", "i", "j", "s", "e"), x, strict=True)) for x in found])
-            return out
+            return [list(x) for x in zip(*(span_arrays(t or "", min_words)[1] for t in texts), strict=True)] or [[] for _ in names]
 
         return run
 
     picked = docs.select(F.col(f"`{key}`").alias("k"), F.xxhash64(f"`{text}`").alias("th"), F.col(f"`{text}`").alias("t"))
-    return map_texts(picked, ["k", "th"], "t", kernel, [("n_sentences", "bigint"), ("spans", "array<struct<h1:bigint,h2:bigint,i:int,j:int,s:int,e:int>>")])
+    return map_texts(picked, ["k", "th"], "t", kernel, [(n, "array<bigint>" if n in ("h1", "h2") else "array<int>") for n in names])
 
 
 def repeats(docs: DataFrame, key: str, text: str, min_words: int = MIN_WORDS) -> DataFrame:
@@ -73,7 +84,7 @@ def repeats(docs: DataFrame, key: str, text: str, min_words: int = MIN_WORDS) ->
     The first occurrence is the one with the smallest key, then text hash, then place.
     """
     table = span_table(docs, key, text, min_words)
-    each = table.select("k", "th", F.explode("spans").alias("x")).select("k", "th", "x.*")
+    each = table.select("k", "th", F.explode(F.arrays_zip("h1", "h2", "i", "j", "s", "e")).alias("x")).select("k", "th", "x.*")
     first = each.groupBy("h1", "h2").agg(F.min(F.struct("k", "th", "i")).alias("first"), F.max(F.struct("k", "th", "i")).alias("last")).filter(~F.col("first").eqNullSafe(F.col("last")))
     again = materialise(first.drop("last"), "repeated")
     hit = each.join(again, ["h1", "h2"]).filter(~F.struct("k", "th", "i").eqNullSafe(F.col("first")))

@@ -67,3 +67,32 @@ def test_null_keys(spark):
     text = " ".join(sentence(rng, 15) for _ in range(4))
     out = sd.deduplicate(spark.createDataFrame([(None, text, "", ""), (None, "x " + text, "", "")], SCHEMA)).collect()
     assert sorted(r.n_removed > 0 for r in out) == [False, True]
+
+
+def all_runs(t):
+    """Every run of several sentences with MIN_WORDS words, and every sentence with twice as many: words, first and last sentence."""
+    words = [tuple(t[a:b].lower().split()) for a, b in sd.sentences(t)]
+    for i in range(len(words)):
+        for j in range(i + 1, len(words) + 1):
+            n, several = sum(map(len, words[i:j])), sum(map(bool, words[i:j])) > 1
+            if words[i] and words[j - 1] and n >= (sd.MIN_WORDS if several else 2 * sd.MIN_WORDS):
+                yield tuple(words[i:j]), i, j
+
+
+def test_every_sentence_of_a_repeated_run_goes(spark):
+    rng = random.Random(7)
+    pool = [sentence(rng, n) for n in (1, 2, 3, 5, 8, 13, 15, 16, 17, 20, 31, 32, 33, 40)]
+    long, last = sentence(rng, 40), sentence(rng, 9)
+    rows = [(0, f"{long} {last} {sentence(rng, 20)}"), (1, f"{sentence(rng, 4)} {long} {last}"), (2, f"\n {pool[8]}"), (3, f" \n {pool[8]} {sentence(rng, 2)}")]
+    rows += [(i, rng.choice(["", "\n"]) + rng.choice(["\n", " "]).join(rng.choice(pool) if rng.random() < 0.8 else sentence(rng, 3) for _ in range(rng.randint(1, 12)))) for i in range(4, 60)]
+    seen, want = set(), {}
+    for k, t in rows:
+        drop = set()
+        for words, i, j in sorted(all_runs(t), key=lambda x: x[1:]):
+            if words in seen:
+                drop.update(range(i, j))
+            seen.add(words)
+        want[k] = len(drop), "".join(t[a:b] for i, (a, b) in enumerate(sd.sentences(t)) if i not in drop)
+    got = {r.doc_id: (r.n_removed, r.clean) for r in sd.deduplicate(spark.createDataFrame([(*r, "", "") for r in rows], SCHEMA)).collect()}
+    assert got == want
+    assert got[1][0] == 2 and got[3][0] == 0
