@@ -579,7 +579,7 @@ def _(spark, sf):
 @query("directed_leiden", "SELECT true AS covers")
 def _(spark, sf):
     tg = graph(spark, sf, "user_succession_day")
-    tg = tg.with_edges(cut(between_slices(tg.edges, 0, 3), "edges"))
+    tg = tg.with_edges(cut(tg.edges, "edges"))
     labels = plans.leiden(tg, 1.0)
     return tg.nodes.agg(F.count("*").alias("n")).crossJoin(labels.agg(F.count("*").alias("m"))).select((F.col("n") == F.col("m")).alias("covers"))
 

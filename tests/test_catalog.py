@@ -45,3 +45,13 @@ def test_query_equals_its_sql(spark, duck, sf, name):
 
 def test_every_sql_has_its_query():
     assert set(catalog.SQL) <= set(catalog.QUERIES)
+
+
+def test_directed_leiden_takes_every_day(spark, sf, monkeypatch):
+    given = []
+    leiden = catalog.plans.leiden
+    monkeypatch.setattr(catalog.plans, "leiden", lambda tg, *a, **o: given.append(tg) or leiden(tg, *a, **o))
+    assert catalog.QUERIES["directed_leiden"](spark, sf).first().covers
+    everything = catalog.graph(spark, sf, "user_succession_day").edges
+    assert everything.select("slice").distinct().count() > 4
+    assert given[0].edges.exceptAll(everything).isEmpty() and everything.exceptAll(given[0].edges).isEmpty()
