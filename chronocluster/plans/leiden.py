@@ -22,8 +22,8 @@ from ..supra import SupraGraph, auto_omega, decode, degrees, sid, strengths, sup
 from ..temporal import TemporalGraph, between_slices
 from ..tracking import match_labels
 
-#: Rounds of a local-move or refinement phase, and the share of vertices whose moves end a phase.
-ROUNDS, SETTLED = 16, 0.005
+#: Rounds after which a local-move or refinement phase that still moves vertices is an error.
+ROUNDS = 1000
 
 
 def null_strengths(tg: TemporalGraph, supra: SupraGraph, null: str = "slice", quality: str = "modularity") -> DataFrame:
@@ -117,31 +117,34 @@ class Distributed:
         return choices.join(null, ["v", "c"], "left").select("v", "own", "c", (F.col("w") - F.coalesce("null", zero)).alias("gain"))
 
     def proposals(self, labels: DataFrame) -> DataFrame:
-        """v, own, c: the best community of each vertex where it gains; ties go to the smallest."""
+        """v, own, c, more: the best community of each vertex where it gains, and how much; ties go to the smallest."""
         best = self.gains(labels).groupBy("v", "own").agg(F.max(F.struct("gain", (-F.col("c")).alias("minus"))).alias("best"), F.max(F.when(F.col("c") == F.col("own"), F.col("gain"))).alias("stay"))
-        return best.filter(F.col("best.gain") > F.col("stay") + 1e-9).select("v", "own", (-F.col("best.minus")).alias("c"))
+        return best.filter(F.col("best.gain") > F.col("stay") + 1e-9).select("v", "own", (-F.col("best.minus")).alias("c"), (F.col("best.gain") - F.col("stay")).alias("more"))
 
     def local_move(self, most: int = ROUNDS) -> bool:
-        """Rounds in which half of the vertices (by hash) may move; a round stays if the objective rises."""
-        n = self.labels.count()
+        """Rounds in which half of the vertices (by hash) may move, until none gains; a round stays if the objective rises.
+
+        Where it does not, ever fewer move, at last the one that gains most, whose gain is the rise.
+        """
         value, changed = self.objective(self.labels), False
         for r in range(most):
             moving = cut(self.proposals(self.labels), "moves")
-            for share in (2, 4, 8):
-                movers = moving.filter(F.pmod(F.xxhash64("v", F.lit(r)), F.lit(share)) == 0).select("v", F.col("c").alias("to"))
+            n = moving.count()
+            if not n:
+                return changed
+            for share in (*(1 << i for i in range(1, n.bit_length())), None):
+                some = moving.filter(F.pmod(F.xxhash64("v", F.lit(r)), F.lit(share)) == 0) if share else moving.orderBy(F.desc("more"), "v").limit(1)
+                movers = some.select("v", F.col("c").alias("to"))
                 after = cut(self.labels.join(movers, "v", "left").select("v", F.coalesce("to", "c").alias("c")), "labels")
-                if (then := self.objective(after)) > value + 1e-9:
+                if (then := self.objective(after)) > value + max(5e-10, 1e-13 * abs(value)):
                     self.labels, value, changed = after, then, True
                     break
             else:
-                if moving.isEmpty():
-                    break
-            if moving.count() < max(1, SETTLED * n):
-                break
-        return changed
+                return changed  # what is left to gain is below the rounding of the objective
+        raise RuntimeError(f"vertices still move after {most} rounds")
 
-    def refine(self, theta: float = 0.01, seed: int = 1, most: int = 6) -> DataFrame:
-        """v, r: well-connected parts of the communities, grown from single vertices.
+    def refine(self, theta: float = 0.01, seed: int = 1, most: int = ROUNDS) -> DataFrame:
+        """v, r: well-connected parts of the communities, grown from single vertices until none can join another.
 
         A round lets half of the vertices that are still alone join a part that does not move itself, so
         parts stay connected; the target is drawn in proportion to exp(gain / theta) by hashed Gumbel noise.
@@ -158,19 +161,20 @@ class Distributed:
             home = parts.join(self.labels, "v").groupBy("r").agg(F.min("c").alias("c"))
             term = F.col("rate") * (F.col("ko") * (F.col("sum_i") - F.col("ki")) + F.col("ki") * (F.col("sum_o") - F.col("ko")))
             null = totals.join(home, "r").join(whole, ["c", "s"]).join(F.broadcast(self.rates), "s").groupBy("r").agg(F.sum(term).alias("null"))
-            good = null.join(edge, "r", "left").filter(F.coalesce("out", F.lit(0.0)) >= F.col("null") - 1e-9).join(loose, "r").select("r", (F.col("size") == 1).alias("alone"))
+            good = cut(null.join(edge, "r", "left").filter(F.coalesce("out", F.lit(0.0)) >= F.col("null") - 1e-9).join(loose, "r").select("r", (F.col("size") == 1).alias("alone")), "good")
+            alone, every = good.filter("alone").select(F.col("r").alias("v")), good.select(F.col("r").alias("c"))
+            left = cut(within.gains(by_part).filter((F.col("c") != F.col("own")) & (F.col("gain") > 1e-9)).join(alone, "v", "left_semi").join(every, "c", "left_semi"), "left")
+            if left.isEmpty():
+                return parts
             turn = F.pmod(F.xxhash64("r", F.lit(seed), F.lit(k)), F.lit(2)) == 0
             movers = good.filter(F.col("alone") & turn).select(F.col("r").alias("v"))
             targets = good.filter(~(F.col("alone") & turn)).select(F.col("r").alias("c"))
-            gains = within.gains(by_part).filter((F.col("c") != F.col("own")) & (F.col("gain") > 1e-9)).join(movers, "v", "left_semi").join(targets, "c", "left_semi")
+            gains = left.join(movers, "v", "left_semi").join(targets, "c", "left_semi")
             noise = -F.ln(-F.ln((F.pmod(F.xxhash64("v", "c", F.lit(seed), F.lit(k)), F.lit(1 << 40)) + 0.5) / float(1 << 40)))
             pull = F.col("gain") / theta + noise if theta > 0 else F.col("gain")
             joined = gains.groupBy("v").agg(F.max(F.struct(pull.alias("pull"), (-F.col("c")).alias("minus"))).alias("best")).select("v", (-F.col("best.minus")).alias("to"))
-            after = cut(parts.join(joined, "v", "left").select("v", F.coalesce("to", "r").alias("r"), F.col("to").isNotNull().alias("moved")), "parts")
-            parts = after.select("v", "r")
-            if after.filter("moved").count() < max(1, SETTLED * 1) and k % 2:
-                break
-        return parts
+            parts = cut(parts.join(joined, "v", "left").select("v", F.coalesce("to", "r").alias("r")), "parts")
+        raise RuntimeError(f"parts still grow after {most} rounds")
 
     def aggregate(self, parts: DataFrame) -> Distributed:
         """The graph of the parts, each in the community of its vertices; weights inside a part leave the edges."""

@@ -136,3 +136,19 @@ def test_plans(spark):
     assert "GreaterThanOrEqual(o_ord" in plan(sliced)
     supra = supra_graph(TemporalGraph(workloads.WORKLOADS["cosupp_quarter"].build(spark, SF)))
     assert "CartesianProduct" not in plan(supra.edges) and "Python" not in plan(supra.edges)
+
+
+def test_distributed_moves_end_where_no_vertex_gains(spark):
+    """A path: after the capped rounds of one phase some vertices still gained."""
+    from chronocluster.plans.leiden import Distributed
+
+    n = 600
+    path = [(a, b, 1.0) for i in range(n - 1) for a, b in ((i, i + 1), (i + 1, i))]
+    edges = spark.createDataFrame(path, "a bigint, b bigint, w double")
+    nulls = spark.createDataFrame([(i, 0, float(1 + (0 < i < n - 1)), float(1 + (0 < i < n - 1))) for i in range(n)], "v bigint, s int, ko double, ki double")
+    rates = spark.createDataFrame([(0, 1 / (2 * (n - 1)))], "s int, rate double")
+    level = Distributed(edges, nulls, rates)
+    assert level.local_move()
+    assert level.proposals(level.labels).isEmpty()
+    with pytest.raises(RuntimeError):
+        Distributed(edges, nulls, rates).local_move(most=1)
