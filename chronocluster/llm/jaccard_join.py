@@ -11,10 +11,11 @@ its own, and answers with its part of two bit tables of bounded size: shingles i
 documents, and in at least COMMON.  The order (unique, shared, common; then by hash) is a function
 of the shingle, so prefixes of it are exact however full the tables get; they get longer lists only.
 
-Equal sets are one class and never meet.  In two turns each set meets one centre of its lists
-(another one in the second turn, where it is of another component); sets that list a common subset
-are linked through its centre.  Only inverted lists that then still hold several components
-compare the rest, across components alone.
+Equal sets are one class and never meet.  A subset's list is for one pair of sizes; the smaller sets
+in it link with all of it, the larger ones need not link with each other, so its centre is always a
+smallest set and the links to it join what the list joins.  In the first turn each set meets one
+centre, in the second every centre of its lists that is of another component.  Only inverted lists
+that then still hold several components compare the rest, across components alone.
 """
 
 from __future__ import annotations
@@ -313,19 +314,21 @@ def _split(placed: DataFrame, key: str) -> DataFrame:
 def _stars(placed: DataFrame, key: str, turn: int, percent: int | None = None) -> DataFrame:
     """a, b, own: each set of a list with the list's centre, if they are of different components.
 
-    The centre in the first turn is the set with the fewest shingles of its own (those before its first
-    entry), the one that its copies are most like; later it is one by hash.  Lists with much the
-    same sets agree on it.  Entries with places are held to the length and positional bounds.
+    The centre is the set with the least own.  In lists of subsets that is the set's size, in both turns:
+    only a smallest set is sure to link with the rest.  In inverted lists (given with percent, held to the
+    length and positional bounds) it is the number of shingles of its own, those before its first
+    entry, in the first turn, as such a set is the one that its copies are most like; later it is one
+    by hash.  Lists with much the same sets agree on it.
     """
     carried = [F.col("sid").alias("b"), F.col("own").alias("rank"), F.col("comp").alias("over"), *([F.col("n").alias("m"), F.col("place").alias("spot")] if percent else [])]
-    order = [F.col("own").alias("o")] if turn == 0 else []
+    order = [F.col("own").alias("o")] if turn == 0 or percent is None else []
     centre = placed.groupBy(key).agg(F.min(F.struct(*order, F.xxhash64("sid", F.lit(turn)).alias("h"), *carried)).alias("c"), F.count("*").alias("size")).filter("size > 1").select(key, "c.*").drop("h", "o")
     pairs = placed.join(centre, key).filter("comp <> over")
     return (pairs.filter(_possible(percent)) if percent else pairs).select(F.col("sid").alias("a"), "b", "rank")
 
 
 def _one_each(pairs: DataFrame) -> DataFrame:
-    """Of a set's centres the one with the fewest shingles of its own."""
+    """Of a set's centres the one with the least own."""
     return pairs.groupBy("a").agg(F.min(F.struct("rank", F.xxhash64("b").alias("h"), "b")).alias("c")).select("a", "c.b")
 
 
@@ -355,7 +358,7 @@ def similarity_components(spark: SparkSession, docs: DataFrame, key: str = "doc_
     sets = materialise(raw.dropDuplicates(["sid"]), "signatures")
 
     entries = sets.select("sid", "n", F.array_min("places").alias("own"), F.explode(F.arrays_zip("entries", "places")).alias("e")).select("sid", "n", "own", F.col("e.entries").alias("shingle"), F.col("e.places").alias("place"))
-    subsets = sets.select("sid", F.lit(0).alias("own"), F.explode("subsets").alias("subset"))
+    subsets = sets.select("sid", F.col("n").alias("own"), F.explode("subsets").alias("subset"))
     no_pairs = spark.createDataFrame([], "a bigint, b bigint")
     tried, comps = no_pairs, None
     for turn in range(2):

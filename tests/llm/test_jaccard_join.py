@@ -77,14 +77,44 @@ def test_chains_and_common_shingles(spark, monkeypatch):
     check(spark, rows)
 
 
+def variants(rng, count, bases, size):
+    """Bases and texts that go on for one word more: 3 of 4 shingles (at size 7) are shared, the least that links."""
+    rows = []
+    for i in range(bases):
+        base = [f"b{i}_{j}" for j in range(size)]
+        rows += [" ".join(base), *(" ".join([*base, f"v{i}_{j}"]) for j in range(count))]
+    rng.shuffle(rows)
+    return list(enumerate(rows))
+
+
+@pytest.mark.parametrize("count", [2, 8, 50])
+def test_short_variants_link_through_their_base_alone(spark, count):
+    check(spark, variants(random.Random(count), count, 20 if count < 50 else 4, 7))
+    check(spark, variants(random.Random(count), count, 3, 8))
+
+
+def test_short_texts(spark):
+    """All pairs of 1,000 texts of 5 to 14 words from a few words' stock, cut, lengthened and edited."""
+    rng = random.Random(11)
+    rows = []
+    while len(rows) < 1000:
+        base = [f"s{rng.randint(0, 400)}" for _ in range(rng.randint(5, 14))]
+        for _ in range(rng.randint(1, 6)):
+            lo, hi = rng.randint(0, 2), len(base) - rng.randint(0, 2)
+            text = base[lo : max(hi, lo + 5)] + [f"t{rng.randint(0, 9)}" for _ in range(rng.choice([0, 0, 1, 2]))]
+            rows.append(" ".join(text[:14]))
+    ids = rng.sample(range(5000), len(rows))
+    check(spark, list(zip(ids, rows, strict=True)))
+
+
 def test_empty_table(spark):
     assert jj.similarity_components(spark, spark.createDataFrame([], SCHEMA)).count() == 0
     check(spark, [(1, None), (2, "")])
 
 
 @pytest.mark.parametrize("n", range(1, 12))
-def test_subsets_are_complete(n):
-    """Two light sets share a listed subset exactly if they link."""
+def test_overlap_of_sizes(n):
+    """Two sets of partner sizes link exactly if they share the overlap that their sizes ask for."""
     rng = random.Random(n)
     for _ in range(60):
         a = set(rng.sample(range(14), n))
