@@ -1,5 +1,6 @@
 import html
 import re
+import time
 
 import pytest
 
@@ -31,8 +32,41 @@ def test_odd_pages():
     assert len(extract("<article><p>" + "word, " * 50_000 + "</article>")) > 250_000
 
 
-def test_pages_of_the_table(spark, sf):
-    pages = spark.read.parquet(f"{sf}/pages.parquet")
+PARAS = [f"Paragraph number {i}, which has some words, and ends here." for i in range(6)]
+
+
+@pytest.mark.parametrize("outer", ["div id=main", "section", "article", "main"])
+@pytest.mark.parametrize("depth", range(11))
+def test_paragraphs_in_containers_of_their_own(outer, depth):
+    inner = "".join("<div>" * depth + f"<p>{p}</p>" + "</div>" * depth for p in PARAS)
+    tag, links = outer.split()[0], "<div><a href=x>one</a> <a href=y>two</a></div>"
+    assert extract(f"<html><body><nav><a href=x>m</a></nav><{outer}>{inner}</{tag}><div class=footer><p>f, f, f</p></div>") == "\n\n".join(PARAS)
+    assert extract(f"<body>{links}<{outer}><h1>Title</h1>{inner}</{tag}>{links}") == "\n\n".join(["Title", *PARAS])
+
+
+def test_uneven_sections():
+    """A long section does not drive out short ones, beside it or farther up."""
+    long, short = "".join(f"<p>{p}</p>" for p in PARAS), "<h2>More</h2><p>One short line of it.</p>"
+    want = "\n\n".join([*PARAS, "More", "One short line of it."])
+    assert extract(f"<body><div><section>{long}</section><section>{short}</section></div>") == want
+    assert extract(f"<body><div><div><section>{long}</section></div><div><section>{short}</section></div></div>") == want
+    nested = "".join(f"<div><p>{p}</p>" for p in PARAS) + "</div>" * 6
+    assert extract(f"<body><header><p>Name, of, site</p></header>{nested}") == "\n\n".join(PARAS)
+
+
+@pytest.mark.parametrize("part", ["<div>", "<div></b>", "<pre><b>", "<li><b>x", "<p><i>", "<td>", "<a '", "<ul><li>x", "<b>", "</b>", "<!--"])
+def test_deep_pages_take_linear_time(part):
+    def seconds(n):
+        began = time.process_time()
+        extract(part * n + "<p>x, y")
+        return time.process_time() - began
+
+    assert seconds(100_000) < 4 + 20 * seconds(10_000)
+
+
+@pytest.mark.parametrize("scale", ["0.001", "0.01"])
+def test_pages_of_the_table(spark, scale):
+    pages = spark.read.parquet(f"/root/testdata/sf{scale}/pages.parquet")
     got = {r.page_id: r for r in main_texts(pages, ["page_id", "url"]).collect()}
     for r in pages.collect():
         inner = r.html[r.html.index("<article>") + 9 : r.html.index("</article>")]
