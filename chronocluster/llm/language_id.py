@@ -33,9 +33,10 @@ def words_of(text: str | None) -> list[str]:
 
 
 def word_features(w: str) -> list[str]:
-    b = f"^{w[:32]}$"
+    """The word itself, its affixes, and all n-grams of two and three letters with its borders."""
+    b = f"^{w}$"
     n = len(b)
-    return ["L" + w, "p" + w[:2], "p" + w[:3], "s" + w[-2:], "s" + w[-3:], "s" + w[-4:], *(b[i : i + 2] for i in range(min(n - 1, 12))), *(b[i : i + 3] for i in range(min(n - 2, 12)))]
+    return ["L" + w, "p" + w[:2], "p" + w[:3], "s" + w[-2:], "s" + w[-3:], "s" + w[-4:], *(b[i : i + 2] for i in range(n - 1)), *(b[i : i + 3] for i in range(n - 2))]
 
 
 class LanguageField:
@@ -89,21 +90,17 @@ class LanguageField:
                 lang = rng.choice(langs)
             sequences.append(ws[:LENGTH])
             labels.append(ys[:LENGTH])
-        wide = 32
-        ids = np.zeros((SEQUENCES, LENGTH, wide), dtype=np.int32)
-        memo: dict[str, list[int]] = {}
-        for i, ws in enumerate(sequences):
-            for t, w in enumerate(ws):
-                if w not in memo:
-                    memo[w] = self._ids(w)[:wide]
-                ids[i, t, : len(memo[w])] = memo[w]
+        words = {w: i for i, w in enumerate(sorted({w for ws in sequences for w in ws}))}
+        each = [self._ids(w) or [0] for w in words]
+        features = np.array([i for x in each for i in x], dtype=np.int64), np.array([len(x) for x in each])
+        ids = np.array([[words[w] for w in ws] for ws in sequences])
         y = np.array(labels)
         self.states = np.zeros((len(self.index) + 1, k))
         squares = [np.full_like(p, 1e-8) for p in (self.states, self.transitions, self.start)]
         order = np.random.default_rng(seed)
         for _ in range(epochs):
             for rows in np.array_split(order.permutation(SEQUENCES), max(1, SEQUENCES // 250)):
-                gradients = self._gradient(ids[rows], y[rows])
+                gradients = self._gradient(ids[rows], y[rows], *features)
                 for p, g, q in zip((self.states, self.transitions, self.start), gradients, squares, strict=True):
                     q += g * g
                     p += 0.5 * g / np.sqrt(q)
@@ -113,9 +110,15 @@ class LanguageField:
     def _ids(self, word: str) -> list[int]:
         return [i for f in word_features(word) if (i := self.index.get(f))]
 
-    def _gradient(self, ids: np.ndarray, y: np.ndarray):
+    def _emissions(self, flat: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+        """Per word, given by its features one after the other and their number: the weight of each label, 1 at most."""
+        owner = np.repeat(np.arange(len(sizes)), sizes)
+        sums = np.stack([np.bincount(owner, self.states[flat, c], minlength=len(sizes)) for c in range(len(self.labels))], axis=1)
+        return np.exp(np.maximum(sums - sums.max(1, keepdims=True), -60))
+
+    def _gradient(self, ids: np.ndarray, y: np.ndarray, flat: np.ndarray, sizes: np.ndarray):
         n, length, k = len(ids), ids.shape[1], len(self.labels)
-        emit = np.exp(np.clip(self.states[ids].sum(2), -30, 30))
+        emit = self._emissions(flat, sizes)[ids]
         step, alpha, scale = np.exp(self.transitions), np.zeros((n, length, k)), np.zeros((n, length))
         a = np.exp(self.start) * emit[:, 0]
         for t in range(length):
@@ -136,9 +139,9 @@ class LanguageField:
         np.add.at(seen, (y[:, :-1].ravel(), y[:, 1:].ravel()), 1)
         diff = truth - marginal
         gradient = np.zeros_like(self.states)
-        flat = ids.reshape(-1, ids.shape[2])
         for c in range(k):
-            gradient[:, c] = np.bincount(flat.ravel(), np.repeat(diff[..., c].ravel(), ids.shape[2]), minlength=len(self.states))
+            owed = np.bincount(ids.ravel(), diff[..., c].ravel(), minlength=len(sizes))
+            gradient[:, c] = np.bincount(flat, np.repeat(owed, sizes), minlength=len(self.states))
         return gradient / n - 1e-5 * self.states, (seen - pairs) / n, diff[:, 0].sum(0) / n
 
     # Labelling.
@@ -150,16 +153,14 @@ class LanguageField:
             self._rows, self._scores = {}, np.zeros((0, len(self.labels)))
         new = sorted(distinct - self._rows.keys())
         if new:
-            ids = [self._ids(w) for w in new]
-            flat, sizes = np.array([i for x in ids for i in x], dtype=np.int64), np.array([len(x) for x in ids])
-            owner = np.repeat(np.arange(len(new)), sizes)
-            sums = np.stack([np.bincount(owner, self.states[flat, c], minlength=len(new)) for c in range(len(self.labels))], axis=1) if len(flat) else np.zeros((len(new), len(self.labels)))
+            ids = [self._ids(w) or [0] for w in new]
+            scores = self._emissions(np.array([i for x in ids for i in x], dtype=np.int64), np.array([len(x) for x in ids]))
             base = len(self._rows)
             self._rows.update((w, base + i) for i, w in enumerate(new))
             held = np.zeros((max(len(self._rows), 2 * len(self._scores)), len(self.labels))) if len(self._rows) > len(self._scores) else self._scores
             if held is not self._scores:
                 held[:base] = self._scores[:base]
-            held[base : base + len(new)] = np.exp(np.clip(sums, -30, 30))
+            held[base : base + len(new)] = scores
             self._scores = held
         get = self._rows.__getitem__
         return [np.fromiter(map(get, d), dtype=np.int64, count=len(d)) for d in docs]
@@ -230,12 +231,17 @@ def held_out(key: str):
 
 
 def train(docs: DataFrame, key: str = "doc_id", text: str = "text", lang: str = "lang", per_language: int = TRAIN_DOCUMENTS) -> LanguageField:
-    """Learn from at most per_language documents of each language, those whose hash is smallest, outside the held-out fold."""
-    labelled = docs.select(F.col(f"`{key}`").alias("k"), F.col(f"`{lang}`").alias("y"), F.col(f"`{text}`").alias("t")).filter(F.col("y").isNotNull() & F.col("k").isNotNull())
-    labelled = labelled.filter(~held_out("k"))
-    chosen = labelled.select("k", "y").withColumn("n", F.row_number().over(Window.partitionBy("y").orderBy(F.xxhash64("k"), "k"))).filter(F.col("n") <= per_language)
-    ids = [r.k for r in chosen.select("k").distinct().collect()]
-    rows = labelled.filter(F.col("k").isin(ids)).select("k", "y", "t").orderBy("k", "y").collect() if ids else []
+    """Learn from at most per_language documents of each language, those whose hash is smallest, outside the held-out fold.
+
+    Rows that repeat key and text are one document, so a key that fills the table is held to the bound too.
+    """
+    named = docs.select(F.col(f"`{key}`").alias("k"), F.col(f"`{lang}`").alias("y"), F.col(f"`{text}`").alias("t"))
+    labelled = named.withColumn("h", F.xxhash64("t")).filter(F.col("y").isNotNull() & F.col("k").isNotNull() & ~held_out("k"))
+    order = Window.partitionBy("y").orderBy(F.xxhash64("k"), "k", "h")
+    chosen = labelled.select("k", "y", "h").distinct().withColumn("n", F.row_number().over(order)).filter(F.col("n") <= per_language)
+    some = chosen.select("k", "h").distinct().collect()
+    picked = labelled.filter(F.col("k").isin([r.k for r in some]) & F.col("h").isin([r.h for r in some])) if some else None
+    rows = picked.dropDuplicates(["k", "h", "y"]).orderBy("k", "y", "h").collect() if some else []
     field = LanguageField(sorted({r.y for r in rows}))
     return field.fit([(r.t, r.y) for r in rows])
 

@@ -37,22 +37,20 @@ def test_marginals_equal_the_sum_over_all_labellings():
 def test_gradient_is_that_of_the_likelihood():
     field = small()
     words = [["one", "two", "three"], ["two", "two", "one"]]
-    ids = np.zeros((2, 3, 40), dtype=np.int32)
-    for i, ws in enumerate(words):
-        for t, w in enumerate(ws):
-            x = field._ids(w)
-            ids[i, t, : len(x)] = x
+    kinds = ["one", "two", "three"]
+    each = [field._ids(w) for w in kinds]
+    ids = np.array([[kinds.index(w) for w in ws] for ws in words])
     y = np.array([[0, 1, 1], [1, 0, 0]])
 
     def likelihood():
         out = 0.0
         for i in range(2):
-            e = field.states[ids[i]].sum(1)
+            e = np.array([field.states[each[w]].sum(0) for w in ids[i]])
             path = lambda ys: field.start[ys[0]] + sum(e[t][c] for t, c in enumerate(ys)) + sum(field.transitions[a, b] for a, b in zip(ys, ys[1:], strict=False))  # noqa: E731, B023
             out += path(y[i]) - np.log(sum(np.exp(path(p)) for p in itertools.product(range(2), repeat=3)))
         return out / 2
 
-    gs, gt, g0 = field._gradient(ids, y)
+    gs, gt, g0 = field._gradient(ids, y, np.concatenate(each), np.array([len(x) for x in each]))
     for table, gradient, at in ((field.states, gs + 1e-5 * field.states, (3, 1)), (field.transitions, gt, (0, 1)), (field.start, g0, (1,))):
         before = likelihood()
         table[at] += 1e-5
@@ -83,3 +81,22 @@ def test_rows(spark):
     empty = df.limit(0)
     assert li.identify(df, ["doc_id"], "text", li.train(empty)).filter("lang_pred = 'und'").count() == 8
     assert li.identify(empty, ["doc_id"], "text", li.train(empty)).count() == 0
+
+
+def test_every_letter_of_a_word_counts():
+    """Far beyond the first dozen letters, and in text without spaces."""
+    assert len(li.word_features("a" * 500)) == 6 + 501 + 500
+    field = li.LanguageField(["aa", "bb"]).fit([("kaka kako koka " * 20, "aa"), ("zuzu zuzi zizu " * 20, "bb")])
+    for tail, want in (("kakokaka" * 400, "aa"), ("zuzizuzu" * 400, "bb")):
+        assert field.predict(["q" * 60 + tail])[0] == [want]
+    long = " ".join(["kaka kako"] * 30_000)
+    (label,), (score,) = field.predict([long])
+    assert label == "aa" and score > 0.9
+
+
+def test_training_reads_a_bounded_number_of_rows(spark):
+    """One key and text in most rows is one document; the bound holds for keys with many texts."""
+    rows = [(4, "la casa roja", "es")] * 500 + [(4, f"le chat {i}", "fr") for i in range(300)] + [(9, "the red house", "en"), (None, "x y", "en"), (12, None, "en")]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string, lang string")
+    field = li.train(df, per_language=20)
+    assert field.labels == ["en", "es", "fr"] and field.predict(["la casa", "le chat", "the house"])[0] == ["es", "fr", "en"]
