@@ -70,16 +70,18 @@ def map_texts(
     text: str,
     kernel: Callable[[], Callable[[list[str | None]], list[list]]],
     fields: list[tuple[str, str]],
+    beside: str | None = None,
 ) -> DataFrame:
     """Apply a Python kernel to every whole text, batch by batch, without a shuffle.
 
     kernel() runs once in each task and returns a function from a list of texts (null stays None)
-    to one list per field.  Only keys and the text column travel to Python (once, if it is a key too),
-    so other columns of df can have any name.
+    to one list per field; with beside, the name of another string column, that function is given the
+    list of its values too.  Only these columns and the keys travel to Python (the text once, if it is a
+    key too), so other columns of df can have any name.
     """
     ready_workers(df.sparkSession)
     seen = text if text in keys else "__text"
-    picked = df.select(*[F.col(f"`{k}`") for k in keys], *([] if text in keys else [F.col(f"`{text}`").alias(seen)]))
+    picked = df.select(*[F.col(f"`{k}`") for k in keys], *([] if text in keys else [F.col(f"`{text}`").alias(seen)]), *([F.col(f"`{beside}`").alias("__beside")] if beside else []))
     made = T.StructType([T.StructField(n, T._parse_datatype_string(t)) for n, t in fields])
     schema = T.StructType([*(T.StructField(f.name, f.dataType) for f in picked.schema.fields[: len(keys)]), *made.fields])
 
@@ -90,7 +92,7 @@ def map_texts(
         f = kernel()
         for whole in batches:
             for b in slices(whole, seen):
-                made_columns = f(b.column(seen).to_pylist())
+                made_columns = f(b.column(seen).to_pylist(), *([b.column("__beside").to_pylist()] if beside else []))
                 arrays = [pa.array(c, type=x.type) for c, x in zip(made_columns, arrow, strict=True)]
                 yield pa.RecordBatch.from_arrays([*(b.column(i) for i in range(len(keys))), *arrays], names=[*keys, *arrow.names])
 

@@ -28,16 +28,19 @@ KNOWN = {
     "slack_token": r"\bxox[abprs]-[A-Za-z0-9\-]{10,}",
     "google_key": r"\bAIza[0-9A-Za-z_\-]{35}",
     "payment_key": r"\b[sr]k_(?:live|test)_[0-9A-Za-z]{16,}",
-    "jwt": r"\beyJ[A-Za-z0-9_\-]{8,}\.eyJ[A-Za-z0-9_\-]{8,}\.[A-Za-z0-9_\-]{8,}",
-    "private_key": r"-----BEGIN [A-Z ]*PRIVATE KEY-----[\s\S]*?-----END [A-Z ]*PRIVATE KEY-----",
+    "jwt": r"(?<![\w\-])eyJ[A-Za-z0-9_\-]{8,}\.eyJ[A-Za-z0-9_\-]{8,}\.[A-Za-z0-9_\-]{8,}",
+    "private_key": r"-----BEGIN [A-Z ]*PRIVATE KEY-----(?:(?:(?!-----)[\s\S])*+-----END [A-Z ]*PRIVATE KEY-----|(?:\s*+[A-Za-z0-9+/=]{16,}+)*+)",
 }
 KEYWORDS = "password passwd pwd secret token apikey api_key api-key access_key accesskey auth_key authorization bearer private_key client_secret credential credentials passphrase".split()
 HARMLESS = "example sample dummy placeholder test fake md5 sha1 sha256 sha512 checksum digest hash commit revision uuid guid etag integrity build version id isbn doi".split()
 ASSIGNED = rf"(?i:(?<![A-Za-z])(?:{'|'.join(sorted(KEYWORDS, key=len, reverse=True))})[\"']?[ \t]*(?:[:=]|=>|:=)[ \t]*[\"']?)(?P<value>[A-Za-z0-9+/_.~\-]{{8,}}={{0,2}})"
-BARE = r"(?<![A-Za-z0-9+/_\-])(?=[A-Za-z+/_\-]{0,40}[0-9])[A-Za-z0-9+/_\-]{20,}={0,2}"
+BARE = r"(?<![A-Za-z0-9+/_\-])(?=[A-Za-z+/_\-]*+[0-9])[A-Za-z0-9+/_\-]{20,}={0,2}"
 CANDIDATE = re.compile("|".join([*(f"(?P<{k}>{p})" for k, p in KNOWN.items()), f"(?P<assigned>{ASSIGNED})", f"(?P<bare>{BARE})"]))
 WORD = re.compile(r"[^\W\d_]+")
-FEATURES = ("length", "digits", "upper", "symbols", "entropy", "hex", "transition", "coverage", "path", "keyword", "harmless", "assigned", "known", "quoted", "repeats")
+#: Paths whose files seldom hold real credentials, and paths that often do.
+QUIET_PATH = re.compile(r"(?i)(?:^|[/_\-.])(?:tests?|spec|examples?|docs?|fixtures?|samples?|mocks?|locales?|vendor|lock)(?:[/_\-.]|$)")
+LOUD_PATH = re.compile(r"(?i)(?:^|[/_\-.])(?:env|config|conf|settings|credentials|secrets?|deploy|prod|ini|pem|key)(?:[/_\-.]|$)")
+FEATURES = ("length", "digits", "upper", "symbols", "entropy", "hex", "transition", "coverage", "slashes", "path", "keyword", "harmless", "assigned", "known", "quoted", "repeats")
 #: What a finding is replaced with.
 MASK = "<SECRET>"
 
@@ -66,14 +69,15 @@ def candidates(text: str) -> list[tuple[int, int, str]]:
     for m in CANDIDATE.finditer(text):
         kind = m.lastgroup if m.lastgroup != "value" else "assigned"
         start, end = m.span("value") if m.group("value") is not None else m.span()
-        while end > start and text[end - 1] in ".-/":
+        while end > start and kind in ("assigned", "bare") and text[end - 1] in ".-/":
             end -= 1
         if end - start >= 8:
             out.append((start, end, kind))
     return out
 
 
-def features(text: str, start: int, end: int, kind: str, dictionary: str, path: str = "") -> list[float]:
+def features(text: str, start: int, end: int, kind: str, dictionary: str, path: str | None = "") -> list[float]:
+    path = path or ""
     s = text[start:end]
     n = len(s)
     counts = Counter(s)
@@ -100,7 +104,8 @@ def features(text: str, start: int, end: int, kind: str, dictionary: str, path:
         float(all(c in "0123456789abcdefABCDEF" for c in s)),
         sum(steps) / max(1, len(steps)),
         covered / n,
-        float("/" in before[-2:] or s.count("/") >= 2 or bool(re.search(r"(?i)(?:^|[/_\-.])(?:tests?|examples?|docs?|fixtures?|samples?)(?:[/_\-.]|$)", path))),
+        float("/" in before[-2:] or s.count("/") >= 2),
+        float(bool(LOUD_PATH.search(path))) - float(bool(QUIET_PATH.search(path))),
         float(any(k.replace("_", " ").replace("-", " ").split()[-1] in near for k in KEYWORDS)),
         float(any(w in HARMLESS for w in near)),
         float(gap.endswith(("=", ":", ">"))),
@@ -110,8 +115,11 @@ def features(text: str, start: int, end: int, kind: str, dictionary: str, path:
     ]
 
 
-def labelled_findings(n: int = 1500, seed: int = 7, dictionary: str = "") -> list[tuple[str, int, int, str, int]]:
-    """Labelled findings by rule: text, start, end, kind and 1 for a secret; about as many of each label."""
+def labelled_findings(n: int = 1500, seed: int = 7, dictionary: str = "") -> list[tuple[str, int, int, str, int, str]]:
+    """Labelled findings by rule: text, start, end, kind, 1 for a secret, and a path or none; about as many of each label.
+
+    Half have no path, as texts without one are scanned too.
+    """
     r = random.Random(seed)
     words = sorted(word_list(dictionary))
     hexa, alnum, b64 = "0123456789abcdef", "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789", "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/"
@@ -144,7 +152,8 @@ def labelled_findings(n: int = 1500, seed: int = 7, dictionary: str = "") -> lis
         label = k % 2
         head, body = plain(r.randint(2, 5)) + " ", r.choice(yes if label else no)()
         text = f"{head}{body}{r.choice(['', chr(34) if chr(34) in body else ''])} {plain(3)}"
-        out += [(text, a, b, kind, label) for a, b, kind in candidates(text) if a >= len(head) - 1 and b <= len(head) + len(body)]
+        path = f"{r.choice(words)}/{r.choice(['.env', 'config.ini', 'deploy/settings.py', 'app.py', 'README.md'] if label else ['tests/data.py', 'docs/index.md', 'fixtures/a.json', 'app.py', 'README.md', 'package-lock.json'])}" if r.random() < 0.5 else ""
+        out += [(text, a, b, kind, label, path) for a, b, kind in candidates(text) if a >= len(head) - 1 and b <= len(head) + len(body)]
         k += 1
     return out[:n]
 
@@ -204,27 +213,29 @@ class Forest:
         return total / len(self.trees)
 
 
-def train(dictionary: str, findings: list[tuple[str, int, int, str, int]] | None = None) -> Forest:
+def train(dictionary: str, findings: list[tuple[str, int, int, str, int, str]] | None = None) -> Forest:
     findings = labelled_findings(dictionary=dictionary) if findings is None else findings
-    x = np.array([features(t, a, b, k, dictionary) for t, a, b, k, _ in findings])
+    x = np.array([features(t, a, b, k, dictionary, p) for t, a, b, k, _, p in findings])
     return Forest().fit(x, np.array([f[4] for f in findings], dtype=float))
 
 
 def scan(df: DataFrame, keys: list[str], text: str, dictionary: str, path: str | None = None, threshold: float = 0.5, forest: Forest | None = None) -> DataFrame:
     """Per row: keys, n_candidates, findings (start, stop, kind, score) and clean, the text with findings masked.
 
-    A null text stays null and has no candidates; repeated rows each give a row; candidates never
-    overlap (the leftmost wins).  Nothing is shuffled.  path names a column with the text's path.
+    A null text stays null and has no candidates; rows with null keys and repeated rows each give a row;
+    candidates never overlap (the leftmost wins).  Nothing is shuffled.  path names a column with the
+    text's path; without one, or where it is null, the path says nothing.
     """
     model = df.sparkSession.sparkContext.broadcast(forest or train(dictionary))
 
     def kernel():
         f = model.value
 
-        def run(texts):
+        def run(texts, paths=None):
+            paths = paths or [None] * len(texts)
             found = [[(i, *c) for c in candidates(t)] if t else [] for i, t in enumerate(texts)]
             flat = [c for cs in found for c in cs]
-            scores = f.predict(np.array([features(texts[i], a, b, k, dictionary) for i, a, b, k in flat])) if flat else []
+            scores = f.predict(np.array([features(texts[i], a, b, k, dictionary, paths[i]) for i, a, b, k in flat])) if flat else []
             out = [[len(c) for c in found], [[] for _ in texts], list(texts)]
             for (i, a, b, k), s in zip(flat, scores, strict=True):
                 if s >= threshold:
@@ -241,7 +252,7 @@ def scan(df: DataFrame, keys: list[str], text: str, dictionary: str, path: str |
         return run
 
     fields = [("n_candidates", "bigint"), ("findings", "array<struct<start:int,stop:int,kind:string,score:double>>"), ("clean", "string")]
-    return map_texts(df, keys, text, kernel, fields)
+    return map_texts(df, keys, text, kernel, fields, path)
 
 
 def digest(scanned: DataFrame, key: str = "doc_id") -> DataFrame:
