@@ -992,10 +992,10 @@ def _(spark, sf):
 def _(spark, sf):
     import uuid
 
-    from .session import shared_dir
+    from .session import scratch_dir
 
     e = cut(graph(spark, sf, SMALL).edges, "edges")
-    base, out = f"{shared_dir(spark)}/roundtrip-{uuid.uuid4().hex}", []
+    base, out = f"{scratch_dir(spark)}/roundtrip-{uuid.uuid4().hex}", []
     for form in ("csv", "json", "orc", "parquet"):
         files.write_edges(e, f"{base}/{form}", form)
         out.append(files.read_edges(spark, f"{base}/{form}", form).withColumn("form", F.lit(form)))

@@ -12,8 +12,6 @@ from pyspark.sql import DataFrame, SparkSession
 
 #: Rows that a single task may hold in a kernel; larger inputs take the distributed path.
 KERNEL_EDGES = 2_000_000
-#: Bytes of a table that is shipped whole to every task.
-BROADCAST_BYTES = 256 << 20
 
 
 def conf(spark: SparkSession, name: str, default: str) -> str:
@@ -29,19 +27,47 @@ def backend(spark: SparkSession, edges: int | None = None) -> str:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """spark.checkpoint.dir, or a folder under /tmp/checkpoints where it is unset (tests)."""
+    """spark.checkpoint.dir; a folder under /tmp/checkpoints where that is unset and all tasks run on this machine."""
     there = spark.conf.get("spark.checkpoint.dir", None)
     if there is None:
         current = spark.sparkContext._jsc.sc().getCheckpointDir()
-        there = current.get() if current.isDefined() else "/tmp/checkpoints/chronocluster"
+        if current.isDefined():
+            return current.get()
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        there = "/tmp/checkpoints/chronocluster"
     return there
 
 
+def scratch_dir(spark: SparkSession) -> str:
+    """The folder that holds all intermediate tables of this application."""
+    return f"{shared_dir(spark)}/{spark.sparkContext.applicationId}"
+
+
 def cut(df: DataFrame, name: str = "state") -> DataFrame:
     """Write df to the shared folder and read it back: lineage ends there and survives lost executors."""
-    path = f"{shared_dir(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
+    path = f"{scratch_dir(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    back = df.sparkSession.read.schema(df.schema).parquet(path)
+    back._scratch = path
+    return back
+
+
+def _delete(spark: SparkSession, path: str) -> None:
+    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+
+
+def forget(df: DataFrame | None) -> None:
+    """Delete the table behind a result of cut() that nothing will read again, as the state of an earlier round."""
+    path = getattr(df, "_scratch", None)
+    if path:
+        _delete(df.sparkSession, path)
+
+
+def clean_up(spark: SparkSession) -> None:
+    """Delete every intermediate table of this application; frames that rest on them are lost."""
+    _delete(spark, scratch_dir(spark))
 
 
 _shipped: set[str] = set()

@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from ..session import shared_dir, ship
+from ..session import scratch_dir, ship
 from ..temporal import TemporalGraph
 
 
@@ -74,7 +74,7 @@ def running_degrees(events: DataFrame, late: str = "1 hour") -> DataFrame:
 def run_to_table(stream: DataFrame, prefix: str = "stream") -> DataFrame:
     """Run a bounded stream to its end into files of the shared folder and read these; windows still open are not written."""
     spark = stream.sparkSession
-    base = f"{shared_dir(spark)}/{prefix}-{uuid.uuid4().hex}"
+    base = f"{scratch_dir(spark)}/{prefix}-{uuid.uuid4().hex}"
     query = stream.writeStream.format("parquet").option("path", f"{base}/rows").option("checkpointLocation", f"{base}/state").outputMode("append").trigger(availableNow=True).start()
     query.awaitTermination()
     return spark.read.schema(stream.schema).parquet(f"{base}/rows")
@@ -86,7 +86,7 @@ def warm_communities(stream: DataFrame, method: Callable[[TemporalGraph], DataFr
     The method sees the windows of the batch and of the keep - 1 ones before, so labels go on through the windows they share.
     """
     spark = stream.sparkSession
-    base = f"{shared_dir(spark)}/communities-{uuid.uuid4().hex}"
+    base = f"{scratch_dir(spark)}/communities-{uuid.uuid4().hex}"
     edges = tumbling_edges(stream, width, late)
     seconds = spark.sql(f"SELECT CAST(unix_seconds(TIMESTAMP '1970-01-01' + INTERVAL {width}) - unix_seconds(TIMESTAMP '1970-01-01') AS INT)").first()[0]
 
