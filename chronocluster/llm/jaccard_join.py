@@ -29,6 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..session import forget
 from .common import materialise, slices, ready_workers
 
 #: Words of a shingle; the similarity asked for, in hundredths; documents that make a shingle common.
@@ -266,12 +267,14 @@ def components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
     """
     both = materialise(links.select(F.col("a").alias("u"), F.col("b").alias("v")).union(links.select("b", "a")).distinct(), "links")
     labels = materialise(both.groupBy("u").agg(F.min("v").alias("m")).select(F.col("u").alias("sid"), F.least("u", "m").alias("comp")), "labels")
+    held = labels
     for _ in range(most_rounds):
         near = both.join(labels.withColumnsRenamed({"sid": "v"}), "v").groupBy(F.col("u").alias("sid")).agg(F.min("comp").alias("near"))
         lower = labels.join(near, "sid").select("sid", "comp", F.least("comp", "near").alias("to"))
         up = labels.select(F.col("sid").alias("to"), F.col("comp").alias("top"))
         after = materialise(lower.join(up, "to", "left").select("sid", F.least("to", F.coalesce("top", "to")).alias("comp"), (F.least("to", F.coalesce("top", "to")) < F.col("comp")).alias("fell")), "labels")
-        labels = after.select("sid", "comp")
+        forget(held)
+        held, labels = after, after.select("sid", "comp")
         if after.filter("fell").isEmpty():
             return labels
     raise RuntimeError("the labels did not settle")
