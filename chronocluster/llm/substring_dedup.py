@@ -66,24 +66,25 @@ def spans(text: str, min_words: int = MIN_WORDS) -> tuple[int, list[tuple[int, i
 
 
 def span_table(docs: DataFrame, key: str, text: str, min_words: int) -> DataFrame:
+    """k, th (hash of the text), n (its sentences) and the spans of each row of docs."""
     names = ["h1", "h2", "i", "j", "s", "e"]
 
     def kernel():
         def run(texts):
-            return [list(x) for x in zip(*(span_arrays(t or "", min_words)[1] for t in texts), strict=True)] or [[] for _ in names]
+            found = [span_arrays(t or "", min_words) for t in texts]
+            return [[n for n, _ in found], *([x[c] for _, x in found] for c in range(len(names)))]
 
         return run
 
     picked = docs.select(F.col(f"`{key}`").alias("k"), F.xxhash64(f"`{text}`").alias("th"), F.col(f"`{text}`").alias("t"))
-    return map_texts(picked, ["k", "th"], "t", kernel, [(n, "array<bigint>" if n in ("h1", "h2") else "array<int>") for n in names])
+    return map_texts(picked, ["k", "th"], "t", kernel, [("n", "bigint"), *((x, "array<bigint>" if x in ("h1", "h2") else "array<int>") for x in names)])
 
 
-def repeats(docs: DataFrame, key: str, text: str, min_words: int = MIN_WORDS) -> DataFrame:
-    """k, th (hash of the text), runs: the covered ranges of each document with a repeated span that is not the first.
+def repeats(table: DataFrame) -> DataFrame:
+    """k, th, runs: the covered ranges of each document of a span table with a repeated span that is not the first.
 
     The first occurrence is the one with the smallest key, then text hash, then place.
     """
-    table = span_table(docs, key, text, min_words)
     each = table.select("k", "th", F.explode(F.arrays_zip("h1", "h2", "i", "j", "s", "e")).alias("x")).select("k", "th", "x.*")
     first = each.groupBy("h1", "h2").agg(F.min(F.struct("k", "th", "i")).alias("first"), F.max(F.struct("k", "th", "i")).alias("last")).filter(~F.col("first").eqNullSafe(F.col("last")))
     again = materialise(first.drop("last"), "repeated")
@@ -94,14 +95,17 @@ def repeats(docs: DataFrame, key: str, text: str, min_words: int = MIN_WORDS) ->
 def deduplicate(docs: DataFrame, key: str = "doc_id", text: str = "text", min_words: int = MIN_WORDS) -> DataFrame:
     """Per row: key, n_sentences, n_removed, n_chars_removed and clean (the text without them).
 
+    Texts are read once; their spans are written to the shared folder, some 40 bytes for each sentence.
     A null text stays null and has no sentences; rows that repeat both key and text are one
-    document and keep the same; white space after a removed sentence goes with it.
+    document and keep the same; white space after a removed sentence goes with it.  A span that comes
+    again in its own document is a repeated one as well.
     """
-    runs = materialise(repeats(docs, key, text, min_words), "runs")
+    table = materialise(span_table(docs, key, text, min_words), "spans")
+    runs = materialise(repeats(table), "runs").withColumnsRenamed({"k": "ck", "th": "cth"})
+    per = table.groupBy(F.col("k").alias("rk"), F.col("th").alias("rth")).agg(F.max("n").alias("n_sentences"))
+    other = per.join(runs, F.col("rk").eqNullSafe(F.col("ck")) & (F.col("rth") == F.col("cth")), "left").drop("ck", "cth")
     rows = docs.select(F.col(f"`{key}`").alias("k"), F.col(f"`{text}`").alias("t"), F.xxhash64(f"`{text}`").alias("th"))
-    counted = map_texts(rows, ["k", "th", "t"], "t", _sentence_counts, [("n_sentences", "bigint")])
-    other = runs.withColumnsRenamed({"k": "rk", "th": "rth"})
-    both = counted.join(other, F.col("k").eqNullSafe(F.col("rk")) & (F.col("th") == F.col("rth")), "left")
+    both = rows.join(other, F.col("k").eqNullSafe(F.col("rk")) & (F.col("th") == F.col("rth")), "left")
     removed = "aggregate(runs, named_struct('n', 0L, 'e', 0), (a, x) -> named_struct('n', a.n + greatest(0, x.{1} - greatest(x.{0}, a.e)), 'e', greatest(a.e, x.{1})), a -> a.n)"
     kept = "aggregate(runs, named_struct('out', '', 'at', 0), (a, x) -> named_struct('out', a.out || substring(t, a.at + 1, greatest(0, x.s - a.at)), 'at', greatest(a.at, x.e)), a -> a.out || substring(t, a.at + 1))"
     return both.select(
@@ -113,9 +117,5 @@ def deduplicate(docs: DataFrame, key: str = "doc_id", text: str = "text", min_wo
     )
 
 
-def _sentence_counts():
-    return lambda texts: [[len(sentences(t)) if t else 0 for t in texts]]
-
-
 def digest(cleaned: DataFrame, key: str = "doc_id") -> DataFrame:
     return cleaned.select(key, "n_sentences", "n_removed", "n_chars_removed", F.sha2(F.coalesce("clean", F.lit("")).cast("binary"), 256).alias("clean_sha256"))
