@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable, Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -15,8 +16,6 @@ from ..session import cut, ship
 KERNEL_BYTES = 2 << 20
 #: Rows that travel to Python at once, at most: 10,000 long texts would fill an executor's memory.
 BATCH_ROWS = 500
-#: Bytes that a table may have before it is no longer shipped to every task whole.
-BROADCAST_BYTES = 64 << 20
 
 
 def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -28,6 +27,29 @@ def materialise(df: DataFrame, name: str) -> DataFrame:
     return cut(df, name)
 
 
+#: Word hashes that one worker keeps.
+KEPT_WORDS = 150_000
+
+
+class WordHashes(dict):
+    """64-bit hashes of words as bytes, worked out when a word is first asked for and then kept, a bounded number of them."""
+
+    def __init__(self):
+        import xxhash
+
+        super().__init__()
+        self.hash = xxhash.xxh3_64_intdigest
+
+    def __missing__(self, word: bytes) -> int:
+        h = self[word] = self.hash(word)
+        return h
+
+    def of(self, words: list[bytes]) -> np.ndarray:
+        if len(self) > KEPT_WORDS:
+            self.clear()
+        return np.fromiter(map(self.__getitem__, words), dtype=np.uint64, count=len(words))
+
+
 def ready_workers(spark: SparkSession) -> None:
     """Lower the session's rows per Arrow batch, a setting that may change at any time, to BATCH_ROWS, and give workers the package."""
     name = "spark.sql.execution.arrow.maxRecordsPerBatch"

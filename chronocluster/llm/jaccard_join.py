@@ -30,7 +30,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..session import forget
-from .common import materialise, slices, ready_workers
+from .common import WordHashes, materialise, ready_workers, slices
 
 #: Words of a shingle; the similarity asked for, in hundredths; documents that make a shingle common.
 SHINGLE, PERCENT, COMMON = 5, 75, 32
@@ -38,8 +38,6 @@ SHINGLE, PERCENT, COMMON = 5, 75, 32
 BUCKET_HASHES, MOST_BITS = 2_000_000, 1 << 28
 #: Hashes that a task holds before it deals them to the buckets.
 HELD_HASHES = 1_000_000
-#: Word hashes that one worker keeps.
-KEPT_WORDS = 150_000
 A_TO_Z = bytes(b + 32 if 65 <= b <= 90 else b for b in range(256))
 MIX = np.uint64(0x9E3779B97F4A7C15)
 LIST = 'array<bigint>'
@@ -70,30 +68,17 @@ def boundary(list_length: float, percent: int = PERCENT) -> int:
     return n
 
 
-class WordHashes(dict):
-    """Hashes of words, worked out when a word is first asked for."""
-
-    def __missing__(self, word: bytes) -> int:
-        h = self[word] = self.hash(word)
-        return h
-
-
 class Shingler:
     """Sorted distinct shingle hashes of whole texts."""
 
     def __init__(self):
-        import xxhash
-
         self.words = WordHashes()
-        self.words.hash = xxhash.xxh3_64_intdigest
 
     def __call__(self, text: str | None) -> np.ndarray:
         words = (text or "").encode().translate(A_TO_Z).split()
         if not words:
             return np.zeros(0, dtype=np.uint64)
-        if len(self.words) > KEPT_WORDS:
-            self.words.clear()
-        h = np.fromiter(map(self.words.__getitem__, words), dtype=np.uint64, count=len(words))
+        h = self.words.of(words)
         k = min(SHINGLE, len(h))
         n = len(h) - k + 1
         s = np.full(n, k, dtype=np.uint64)

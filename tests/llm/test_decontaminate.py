@@ -50,7 +50,7 @@ def test_against_brute_force(spark):
 
 def test_blocks_of_the_benchmark(spark):
     docs, items = case(2)
-    assert run(spark, docs, items, block_bytes=150) == brute(docs, items)
+    assert run(spark, docs, items, block_words=60) == brute(docs, items)
 
 
 def test_odd_tables(spark):
@@ -60,3 +60,26 @@ def test_odd_tables(spark):
     rows = spark.createDataFrame([(1, "x y z", "", ""), (1, "x y z", "", ""), (None, "x y z", "", "")], DOCS)
     out = dc.digest(dc.contamination(rows, spark.createDataFrame([(None, "x y z", "a")], ITEMS))).collect()
     assert [(r.n_hit, r.n_items, r.contaminated) for r in out] == [(3, 0, True)] * 3
+
+
+def test_windows_as_arrays():
+    """The windows, their owners and the size of what is shipped for a larger block."""
+    rng = random.Random(4)
+    shared = " ".join(f"s{i}" for i in range(30))
+    items = [(str(i), " ".join(f"w{rng.randint(0, 10**6)}" for _ in range(60))) for i in range(3000)] + [(f"x{i}", shared) for i in range(500)] + [("short", "one two"), ("none", "")]
+    windows = dc.Windows(items, 10)
+    windows.rank({})
+    assert len(windows) == 3000 * 51 + 21 + 1
+    arrays = [windows.words, windows.start, windows.size, windows.owner, windows.first, *(a for p in windows.prefix.values() for a in p)]
+    assert sum(a.nbytes for a in arrays) < 45 * len(windows.words)
+    at, which = windows.find(dc.WordHashes().of(dc.words_of(f"a one two {shared} One, TWO")))
+    assert sorted((int(a), int(windows.size[k])) for a, k in zip(at, which, strict=True)) == [(1, 2), *((i, 10) for i in range(3, 24)), (33, 2)]
+    assert windows.items_of(which) == sorted(["short", *(f"x{i}" for i in range(500))])
+
+
+def test_long_text(spark):
+    """A very long text that repeats an item, and one of a single word over and over."""
+    item = " ".join(f"w{i}" for i in range(12))
+    docs = [(1, f"{item} and " * 20_000), (2, "w1 " * 200_000)]
+    out = run(spark, docs, [(7, item), (8, "w1 " * 10)])
+    assert out[1][:3] == (260_000, 240_000, 1) and out[2][:3] == (200_000, 200_000, 1)
