@@ -75,3 +75,36 @@ def test_edited_quarter_is_nearer_than_the_next(spark):
     rng = random.Random(4)
     out = simhash.document_fingerprints(rows(spark, [words(rng, 300) for _ in range(30)])).collect()
     assert sum(r.near_edited for r in out) / 30 > 0.7 > 0.6 > sum(r.near_next for r in out) / 30
+
+
+def test_near_documents_of_asked_rows(spark):
+    """n_within against all pairs, with copies, near copies and an empty text."""
+    rng = random.Random(5)
+    base = [words(rng, rng.randint(1, 400)) for _ in range(60)]
+    texts = base + [b + " more" for b in base[:30]] + base[:15] * 3 + ["", None]
+    out = simhash.document_fingerprints(rows(spark, texts, [5 * i for i in range(len(texts))])).collect()
+    fps = {r.doc_id: int(r.fingerprint, 16) for r in out}
+    for r in out:
+        want = sum((f ^ fps[r.doc_id]).bit_count() <= 3 for f in fps.values()) - 1
+        assert r.n_within == (want if r.doc_id % 20 == 0 else None)
+    assert any(r.n_within for r in out)
+
+
+def test_buckets_are_even_however_keys_are_spread(spark, monkeypatch):
+    monkeypatch.setattr(simhash, "BUCKET_ROWS", 50)
+    ids = [*range(2000), 10**12, *[77] * 1000, *[None] * 10]
+    texts = [f"text {i}" for i in range(len(ids))]
+    placed = simhash.in_order(rows(spark, texts, ids), "doc_id", "text").cache()
+    sizes = [r["count"] for r in placed.groupBy("bucket").count().collect()]
+    assert max(sizes) <= 200 and placed.filter("not donor").count() == len(ids)
+    # The order: ascending keys, equal ones by the hash of the text, and each row's next is the text after it.
+    order = placed.filter("not donor and id is not null").orderBy("id", F.xxhash64("this")).collect()
+    assert [r.next for r in order] == [r.this for r in order[1:]] + [order[0].this]
+    placed.unpersist()
+
+
+def test_very_long_text(spark):
+    rng = random.Random(6)
+    long = words(rng, 120_000)
+    out = {r.doc_id: r for r in simhash.document_fingerprints(rows(spark, [long, "a few words to follow it", long + " x"])).collect()}
+    assert out[0].n_chars == len(long) and (int(out[0].fingerprint, 16) ^ int(out[2].fingerprint, 16)).bit_count() <= 2
