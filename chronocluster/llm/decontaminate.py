@@ -21,7 +21,7 @@ from .common import WordHashes, map_texts, materialise, ready_workers, slices
 
 #: Words of a shingle, unless a window has fewer.
 SHINGLE = 5
-#: Benchmark words of a block; its arrays take some 40 bytes for each, on the driver and in every worker.
+#: Benchmark words of a block; its arrays take some 70 bytes for each, on the driver and in every worker.
 BLOCK_WORDS = 2_000_000
 #: Windows that are ranked at once.
 RANKED = 100_000
@@ -29,6 +29,7 @@ RANKED = 100_000
 WORD_BYTES = bytes(b + 32 if 65 <= b <= 90 else b if 48 <= b <= 57 or 97 <= b <= 122 or b > 127 else 32 for b in range(256))
 WORD_PATTERN = r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
 PRIME = np.uint64(0x9E3779B97F4A7C15)
+NONE = np.zeros(0, dtype=np.int64)
 
 
 def words_of(text: str | None) -> list[bytes]:
@@ -46,13 +47,24 @@ def codes(words: np.ndarray, m: int, salt: int = 29) -> np.ndarray:
     return out ^ (out >> np.uint64(salt))
 
 
-def among(values: np.ndarray, table: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Positions of the values that the sorted table holds, and where it holds them."""
-    if not len(values) or not len(table):
-        return np.zeros(0, dtype=np.int64), np.zeros(0, dtype=np.int64)
-    at = np.minimum(np.searchsorted(table, values), len(table) - 1)
-    found = np.flatnonzero(table[at] == values)
-    return found, at[found]
+class Codes:
+    """A sorted table of codes behind a sieve on their leading bits, which most strangers do not pass."""
+
+    def __init__(self, codes: np.ndarray):
+        self.codes = codes
+        bits = max(10, (8 * len(codes)).bit_length())
+        self.shift = np.uint64(64 - bits)
+        self.sieve = np.zeros(1 << bits, dtype=bool)
+        self.sieve[codes >> self.shift] = True
+
+    def among(self, values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Positions of the values that are in the table, and their places there."""
+        some = np.flatnonzero(self.sieve[values >> self.shift])
+        if not len(some) or not len(self.codes):
+            return NONE, NONE
+        at = np.minimum(np.searchsorted(self.codes, values[some]), len(self.codes) - 1)
+        found = np.flatnonzero(self.codes[at] == values[some])
+        return some[found], at[found]
 
 
 def _spread(starts: np.ndarray, sizes: np.ndarray) -> np.ndarray:
@@ -65,7 +77,7 @@ class Windows:
     """The distinct windows of a block of items, as arrays over the items' word hashes.
 
     start and size place a window in words; the items that have it are owner[first[k] : first[k + 1]].
-    After rank(), prefix[m] holds the sorted codes of the prefixes of m words, where the entries of
+    After rank(), prefix[m] holds the codes of the prefixes of m words, where the entries of
     each begin, and for each entry its window and the prefix's place in that.
     """
 
@@ -83,7 +95,7 @@ class Windows:
         firsts = np.flatnonzero(fresh)
         self.start, self.size = start[order][firsts], size[order][firsts]
         self.owner, self.first = owner[order], np.append(firsts, len(order))
-        self.prefix: dict[int, tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]] = {}
+        self.prefix: dict[int, tuple[Codes, np.ndarray, np.ndarray, np.ndarray]] = {}
 
     def __len__(self) -> int:
         return len(self.start)
@@ -107,24 +119,24 @@ class Windows:
             m = min(SHINGLE, n)
             yield m, n - m + 1, np.flatnonzero(self.size == n)
 
-    def all_codes(self) -> dict[int, np.ndarray]:
+    def all_codes(self) -> dict[int, Codes]:
         got: dict[int, list[np.ndarray]] = {}
         for m, n, some in self._by_size():
             c = codes(self.words, m)
             got.setdefault(m, []).extend(np.unique(c[self.start[some] + k]) for k in range(n))
-        return {m: np.unique(np.concatenate(c)) for m, c in got.items()}
+        return {m: Codes(np.unique(np.concatenate(c))) for m, c in got.items()}
 
-    def rank(self, frequency: dict[int, tuple[np.ndarray, np.ndarray]]) -> None:
-        """Choose each window's rarest shingle, given sorted codes and their counts; ties go to the smallest code."""
+    def rank(self, frequency: dict[int, tuple[Codes, np.ndarray]]) -> None:
+        """Choose each window's rarest shingle, given codes and their counts; ties go to the smallest code."""
         entries: dict[int, list[tuple[np.ndarray, np.ndarray, np.ndarray]]] = {}
         for m, n, every in self._by_size():
             c = codes(self.words, m)
-            table, counts = frequency.get(m, (np.zeros(0, dtype=np.uint64), np.zeros(0, dtype=np.int64)))
+            table, counts = frequency.get(m, (Codes(np.zeros(0, dtype=np.uint64)), NONE))
             for lo in range(0, len(every), RANKED):
                 some = every[lo : lo + RANKED]
                 here = c[self.start[some][:, None] + np.arange(n)]
                 seen = np.zeros(here.size, dtype=np.int64)
-                at, where = among(here.ravel(), table)
+                at, where = table.among(here.ravel())
                 seen[at] = counts[where]
                 seen = seen.reshape(here.shape)
                 place = np.where(seen == seen.min(1, keepdims=True), here, np.uint64(0xFFFFFFFFFFFFFFFF)).argmin(1)
@@ -133,13 +145,15 @@ class Windows:
             code, window, place = (np.concatenate(x) for x in zip(*parts, strict=True))
             order = np.argsort(code, kind="stable")
             table, first = np.unique(code[order], return_index=True)
-            self.prefix[m] = table, np.append(first, len(order)), window[order], place[order]
+            self.prefix[m] = Codes(table), np.append(first, len(order)), window[order], place[order]
 
     def find(self, words: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Where windows begin in a text's word hashes, and which windows."""
-        n, at, which = len(words), [np.zeros(0, dtype=np.int64)], [np.zeros(0, dtype=np.int64)]
+        n, at, which = len(words), [NONE], [NONE]
         for m, (table, first, window, place) in self.prefix.items():
-            positions, where = among(codes(words, m), table)
+            positions, where = table.among(codes(words, m))
+            if not len(positions):
+                continue
             sizes = first[where + 1] - first[where]
             entry = _spread(first[where], sizes)
             k = window[entry].astype(np.int64)
@@ -147,6 +161,8 @@ class Windows:
             inside = (begin >= 0) & (begin + self.size[k] <= n)
             k, begin = k[inside], begin[inside]
             for t in range(self.width):
+                if not len(k):
+                    break
                 longer = np.flatnonzero(self.size[k] > t)
                 same = np.ones(len(k), dtype=bool)
                 same[longer] = words[begin[longer] + t] == self.words[self.start[k[longer]] + t]
@@ -162,24 +178,25 @@ class Windows:
         return sorted({str(i) for o in owners.tolist() if (i := self.ids[o]) is not None})
 
 
-def _frequencies(docs: DataFrame, text: str, block) -> dict[int, tuple[np.ndarray, np.ndarray]]:
+def _frequencies(docs: DataFrame, text: str, block) -> dict[int, tuple[Codes, np.ndarray]]:
     """In how many documents each shingle of the block occurs; as many rows as the block has shingles."""
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         w, hashes = block.value, WordHashes()
         tables = w.all_codes()
-        totals = {m: np.zeros(len(t), dtype=np.int64) for m, t in tables.items()}
+        totals = {m: np.zeros(len(t.codes), dtype=np.int64) for m, t in tables.items()}
         for whole in batches:
             for b in slices(whole, "t"):
                 for t in b.column("t").to_pylist():
                     words = hashes.of(words_of(t))
                     for m, table in tables.items():
-                        totals[m][np.unique(among(codes(words, m), table)[1])] += 1
+                        if len(places := table.among(codes(words, m))[1]):
+                            totals[m][np.unique(places)] += 1
         for m, total in totals.items():
             some = np.flatnonzero(total)
             for lo in range(0, len(some), RANKED):
                 at = some[lo : lo + RANKED]
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(at), m, dtype=np.int32)), pa.array(tables[m][at].view(np.int64)), pa.array(total[at])], names=["m", "code", "n"])
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(at), m, dtype=np.int32)), pa.array(tables[m].codes[at].view(np.int64)), pa.array(total[at])], names=["m", "code", "n"])
 
     ready_workers(docs.sparkSession)
     found = docs.select(F.col(f"`{text}`").alias("t")).mapInArrow(count, "m int, code bigint, n bigint").groupBy("m", "code").agg(F.sum("n").alias("n")).toArrow()
@@ -189,7 +206,7 @@ def _frequencies(docs: DataFrame, text: str, block) -> dict[int, tuple[np.ndarra
     for k in np.unique(m).tolist():
         some = np.flatnonzero(m == k)
         some = some[np.argsort(code[some])]
-        out[k] = code[some], n[some]
+        out[k] = Codes(code[some]), n[some]
     return out
 
 
@@ -203,6 +220,10 @@ def _marks(docs: DataFrame, keys: list[str], text: str, block) -> DataFrame:
                 words = hashes.of(words_of(t))
                 begin, which = w.find(words)
                 out[0].append(len(words))
+                if not len(which):
+                    out[1].append([])
+                    out[2].append([])
+                    continue
                 out[1].append([{"s": s, "e": e} for s, e in np.unique(np.stack([begin, begin + w.size[which]], axis=1), axis=0).tolist()])
                 out[2].append(w.items_of(which))
             return out

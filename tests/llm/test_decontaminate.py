@@ -70,8 +70,8 @@ def test_windows_as_arrays():
     windows = dc.Windows(items, 10)
     windows.rank({})
     assert len(windows) == 3000 * 51 + 21 + 1
-    arrays = [windows.words, windows.start, windows.size, windows.owner, windows.first, *(a for p in windows.prefix.values() for a in p)]
-    assert sum(a.nbytes for a in arrays) < 45 * len(windows.words)
+    arrays = [windows.words, windows.start, windows.size, windows.owner, windows.first, *(a for p in windows.prefix.values() for a in (p[0].codes, p[0].sieve, *p[1:]))]
+    assert sum(a.nbytes for a in arrays) < 70 * len(windows.words)
     at, which = windows.find(dc.WordHashes().of(dc.words_of(f"a one two {shared} One, TWO")))
     assert sorted((int(a), int(windows.size[k])) for a, k in zip(at, which, strict=True)) == [(1, 2), *((i, 10) for i in range(3, 24)), (33, 2)]
     assert windows.items_of(which) == sorted(["short", *(f"x{i}" for i in range(500))])
