@@ -12,6 +12,10 @@ from collections import deque
 import numpy as np
 
 
+#: Visits of a vertex in one phase of moves, after which it counts as endless.
+VISITS = 10_000
+
+
 class Objective:
     """sum over entries of A inside communities, less gamma_s KO KI / M_s for each community and slice.
 
@@ -71,7 +75,11 @@ def _add(total: dict[int, list[float]], k: dict[int, tuple[float, float]], sign:
 
 
 def local_move(g: Graph, part: list[int], objective: Objective, rng: random.Random) -> int:
-    """Move vertices to their best neighbouring community until none gains; returns the number of moves."""
+    """Move vertices to their best neighbouring community until none gains; returns the number of moves.
+
+    A gain must exceed the rounding of the sums that it comes from; VISITS visits for each vertex are an error.
+    """
+    least = 1e-12 * max(1.0, max((w for near in g.near for _, w in near), default=0.0))
     totals: dict[int, dict[int, list[float]]] = {}
     for v in range(g.n):
         _add(totals.setdefault(part[v], {}), g.k[v], 1)
@@ -79,9 +87,10 @@ def local_move(g: Graph, part: list[int], objective: Objective, rng: random.Rand
     rng.shuffle(order)
     queue, waiting, moves = deque(order), [True] * g.n, 0
     free = max(part, default=0) + 1
-    left = 40 * g.n
-    while queue and left:
-        left -= 1
+    visits = 0
+    while queue:
+        if (visits := visits + 1) > VISITS * g.n:
+            raise RuntimeError(f"vertices still move after {VISITS} visits each")
         v = queue.popleft()
         waiting[v] = False
         links: dict[int, float] = {}
@@ -93,9 +102,9 @@ def local_move(g: Graph, part: list[int], objective: Objective, rng: random.Rand
         for c, w in links.items():
             if c != own:
                 gain = w - _null(g.k[v], totals[c], objective.rate)
-                if gain > top + 1e-12 or abs(gain - top) <= 1e-12 and best != own and c < best:
+                if gain > top + least or abs(gain - top) <= least and best != own and c < best:
                     best, top = c, gain
-        if top < -1e-12:
+        if top < -least:
             best, free = free, free + 1
         _add(totals.setdefault(best, {}), g.k[v], 1)
         if best != own:

@@ -12,18 +12,21 @@ from functools import reduce
 
 import numpy as np
 import pyarrow as pa
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .. import kernels
+from .. import arrays
 from ..components import components
-from ..session import backend, cut, ship
+from ..session import backend, cut, forget, ship
 from ..supra import SupraGraph, auto_omega, decode, degrees, sid, strengths, supra_graph
 from ..temporal import TemporalGraph, between_slices
 from ..tracking import match_labels
 
 #: Rounds after which a local-move or refinement phase that still moves vertices is an error.
 ROUNDS = 1000
+#: Labels that a broadcast may hold, some 32 bytes each in a task.
+LABEL_ROWS = 2_000_000
 
 
 def null_strengths(tg: TemporalGraph, supra: SupraGraph, null: str = "slice", quality: str = "modularity") -> DataFrame:
@@ -43,8 +46,11 @@ def null_strengths(tg: TemporalGraph, supra: SupraGraph, null: str = "slice", qu
 # One task.
 
 
-def _kernel_labels(edges: DataFrame, nulls: DataFrame, gamma: dict[int, float] | float, quality: str, options: dict, keys: list[str] | None = None, start: DataFrame | None = None) -> DataFrame:
-    """v, community for every v in nulls, one task for each value of keys (default: one for all)."""
+def _kernel_labels(edges: DataFrame, nulls: DataFrame, gamma: dict[int, float] | float, quality: str, options: dict, keys: list[str] | None = None, start: DataFrame | None = None, order: str = "rounds") -> DataFrame:
+    """v, community for every v in nulls, one task for each value of keys (default: one for all).
+
+    order: rounds (whole arrays at a time) or sequential (one vertex after the other).
+    """
     ship(edges.sparkSession)
     keys = keys or ["one"]
     edges = edges if keys != ["one"] else edges.withColumn("one", F.lit(0))
@@ -54,29 +60,26 @@ def _kernel_labels(edges: DataFrame, nulls: DataFrame, gamma: dict[int, float] |
     schema = ", ".join([*(f"{k} {kinds[k]}" for k in keys), "v bigint", "community bigint"])
 
     def run(key: tuple, e: pa.Table, k: pa.Table) -> pa.Table:
-        ids, inverse = np.unique(np.array(k.column("v")), return_inverse=True)
-        owners: list[dict[int, tuple[float, float]]] = [{} for _ in ids]
-        total: dict[int, float] = {}
-        for v, s, o, i in zip(inverse.tolist(), k.column("s").to_pylist(), k.column("ko").to_pylist(), k.column("ki").to_pylist(), strict=True):
-            owners[v][s] = (o, i)
-            total[s] = total.get(s, 0.0) + o
-        if quality == "cpm":
-            total = dict.fromkeys(total, 1.0)
-        rates = {s: (gamma.get(s, 1.0) if isinstance(gamma, dict) else gamma) for s in total}
-        a, b = (np.searchsorted(ids, np.array(e.column(c), dtype=np.int64)) for c in ("a", "b"))
-        graph = kernels.Graph(len(ids), a.astype(np.int64), b.astype(np.int64), np.array(e.column("weight"), dtype=float), owners)
-        at = k.column("at").to_pylist()
-        first = None
-        if any(x is not None for x in at):
-            names: dict = {}
-            first = list(range(len(ids)))
-            for v, x in zip(inverse.tolist(), at, strict=True):
-                first[v] = names.setdefault(x if x is not None else ("own", v), len(names))
-        labels = kernels.leiden(graph, kernels.Objective(rates, total), start=first, **options)
-        least: dict[int, int] = {}
-        for v, c in enumerate(labels):
-            least[c] = min(least.get(c, v), v)
-        out = {"v": pa.array(ids), "community": pa.array([int(ids[least[c]]) for c in labels], pa.int64())}
+        ids, v = np.unique(np.array(k.column("v")), return_inverse=True)
+        slices, s = np.unique(np.array(k.column("s")), return_inverse=True)
+        ko, ki = (np.array(k.column(c), dtype=float) for c in ("ko", "ki"))
+        total = np.ones(len(slices)) if quality == "cpm" else np.bincount(s, ko, minlength=len(slices))
+        wanted = np.array([gamma.get(x, 1.0) for x in slices.tolist()]) if isinstance(gamma, dict) else np.full(len(slices), float(gamma))
+        rate = np.divide(wanted, total, out=np.zeros(len(slices)), where=total > 0)
+        a, b = (np.searchsorted(ids, np.array(e.column(c), dtype=np.int64)).astype(np.int64) for c in ("a", "b"))
+        graph = arrays.ArrayGraph.of(len(ids), a, b, np.array(e.column("weight"), dtype=float), v, s, ko, ki, max(1, len(slices)))
+        at, first = k.column("at"), None
+        if at.null_count < len(at):
+            known = np.array(at.is_valid())
+            names = np.unique(np.array(at.fill_null(0), dtype=np.int64)[known], return_inverse=True)[1]
+            first = np.arange(len(ids)) + len(names)
+            first[v[known]] = names
+            first = np.unique(first, return_inverse=True)[1]
+        small = {"rounds": arrays.SMALL, "sequential": len(graph.rows)}[order]
+        labels = arrays.leiden(graph, rate, start=first, small=small, **options)
+        least = np.full(len(ids) + 1, len(ids))
+        np.minimum.at(least, labels, np.arange(len(ids)))
+        out = {"v": pa.array(ids), "community": pa.array(ids[least[labels]], pa.int64())}
         given = {n: pa.array([x.as_py()] * len(ids), x.type) for n, x in zip(keys, key, strict=True)}
         return pa.table(given | out)
 
@@ -88,60 +91,92 @@ def _kernel_labels(edges: DataFrame, nulls: DataFrame, gamma: dict[int, float] |
 
 
 class Distributed:
-    """State: edges (a, b, w summed over both directions, a <> b), nulls (v, s, ko, ki), rates (s, rate), labels (v, c)."""
+    """State: edges (a, b, w summed over both directions, a <> b), nulls (v, s, ko, ki), rates (s, rate), labels (v, c).
+
+    Edges lie by their first end and nulls by their vertex, and stay there; up to LABEL_ROWS labels go to
+    every task, so that a round over all edges shuffles none of them.  More labels are joined by a shuffle.
+    """
 
     def __init__(self, edges: DataFrame, nulls: DataFrame, rates: DataFrame, labels: DataFrame | None = None):
-        self.edges, self.nulls, self.rates = edges, nulls, rates
+        parts = int(edges.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+        self.edges = edges.repartition(parts, "a").persist(StorageLevel.MEMORY_AND_DISK)
+        self.nulls = nulls.repartition(parts, "v").persist(StorageLevel.MEMORY_AND_DISK)
+        self.rates = rates
         self.labels = labels if labels is not None else nulls.select("v").distinct().withColumn("c", F.col("v"))
+        self.everywhere = nulls.count() <= LABEL_ROWS
+
+    def close(self) -> None:
+        self.edges.unpersist()
+        self.nulls.unpersist()
+
+    def _all(self, rows: DataFrame) -> DataFrame:
+        return F.broadcast(rows) if self.everywhere else rows
 
     def objective(self, labels: DataFrame) -> float:
-        a, b = labels.toDF("a", "ca"), labels.toDF("b", "cb")
-        inside = self.edges.join(a, "a").join(b, "b").filter("ca = cb").agg(F.coalesce(F.sum("w"), F.lit(0.0)).alias("w"))
-        totals = self._totals(labels).join(F.broadcast(self.rates), "s").agg(F.sum(F.col("rate") * F.col("sum_o") * F.col("sum_i")).alias("null"))
-        w, null = inside.crossJoin(totals).first()
-        return w / 2 - null
+        inside = self.edges.join(self._all(labels.toDF("b", "cb")), "b").join(self._all(labels.toDF("a", "ca")), "a").filter("ca = cb").agg(F.coalesce(F.sum("w"), F.lit(0.0)).alias("w"))
+        return inside.first()[0] / 2 - self._null(self._totals(labels))
 
     def _totals(self, labels: DataFrame) -> DataFrame:
-        return self.nulls.join(labels, "v").groupBy("c", "s").agg(F.sum("ko").alias("sum_o"), F.sum("ki").alias("sum_i"))
-
-    def gains(self, labels: DataFrame) -> DataFrame:
-        """v, own, c, gain of every vertex for its own community and those next to it, its own strength left out."""
-        links = self.edges.join(labels.toDF("b", "c"), "b").groupBy(F.col("a").alias("v"), "c").agg(F.sum("w").alias("w"))
-        own = labels.select("v", "c", F.lit(0.0).alias("w"))
-        choices = links.unionByName(own).groupBy("v", "c").agg(F.sum("w").alias("w")).join(labels.toDF("v", "own"), "v")
+        return self.nulls.join(self._all(labels), "v").groupBy("c", "s").agg(F.sum("ko").alias("sum_o"), F.sum("ki").alias("sum_i"))
+
+    def _null(self, totals: DataFrame) -> float:
+        return totals.join(F.broadcast(self.rates), "s").agg(F.sum(F.col("rate") * F.col("sum_o") * F.col("sum_i"))).first()[0] or 0.0
+
+    def gains(self, labels: DataFrame, totals: DataFrame | None = None) -> DataFrame:
+        """v, own, c, w, gain of every vertex for its own community and those next to it, its own strength left out."""
+        totals = self._totals(labels) if totals is None else totals
+        links = self.edges.join(self._all(labels.toDF("b", "c")), "b").groupBy(F.col("a").alias("v"), "c").agg(F.sum("w").alias("w"))
+        nexts = links.join(self._all(labels.toDF("v", "own")), "v").filter("c <> own")
+        stays = self.nulls.select("v").distinct().join(self._all(labels.toDF("v", "own")), "v").join(links, "v", "left").groupBy("v", "own").agg(F.coalesce(F.sum(F.when(F.col("c") == F.col("own"), F.col("w"))), F.lit(0.0)).alias("w"))
+        choices = nexts.select("v", "own", "c", "w").unionByName(stays.select("v", "own", F.col("own").alias("c"), "w"))
         mine = self.nulls.join(F.broadcast(self.rates), "s")
         same = F.when(F.col("c") == F.col("own"), 1.0).otherwise(0.0)
         zero = F.lit(0.0)
         term = F.col("rate") * (F.col("ko") * (F.coalesce("sum_i", zero) - same * F.col("ki")) + F.col("ki") * (F.coalesce("sum_o", zero) - same * F.col("ko")))
-        null = choices.join(mine, "v").join(self._totals(labels), ["c", "s"], "left").groupBy("v", "c").agg(F.sum(term).alias("null"))
-        return choices.join(null, ["v", "c"], "left").select("v", "own", "c", (F.col("w") - F.coalesce("null", zero)).alias("gain"))
+        null = choices.join(mine, "v").join(self._all(totals), ["c", "s"], "left").groupBy("v", "own", "c", "w").agg(F.sum(term).alias("null"))
+        return null.select("v", "own", "c", "w", (F.col("w") - F.coalesce("null", zero)).alias("gain"))
+
+    def state(self, labels: DataFrame) -> tuple[DataFrame, float]:
+        """One pass over the edges: v, own, c (the best community, the smallest of equal ones), more (what it gains), w (links to its own), and the objective."""
+        totals = cut(self._totals(labels), "totals")
+        own = F.col("c") == F.col("own")
+        best = self.gains(labels, totals).groupBy("v", "own").agg(F.max(F.struct("gain", (-F.col("c")).alias("minus"))).alias("best"), F.max(F.when(own, F.col("gain"))).alias("stay"), F.max(F.when(own, F.col("w"))).alias("w"))
+        rows = cut(best.select("v", "own", (-F.col("best.minus")).alias("c"), (F.col("best.gain") - F.col("stay")).alias("more"), "w"), "moves")
+        value = (rows.agg(F.sum("w")).first()[0] or 0.0) / 2 - self._null(totals)
+        forget(totals)
+        return rows, value
 
     def proposals(self, labels: DataFrame) -> DataFrame:
-        """v, own, c, more: the best community of each vertex where it gains, and how much; ties go to the smallest."""
-        best = self.gains(labels).groupBy("v", "own").agg(F.max(F.struct("gain", (-F.col("c")).alias("minus"))).alias("best"), F.max(F.when(F.col("c") == F.col("own"), F.col("gain"))).alias("stay"))
-        return best.filter(F.col("best.gain") > F.col("stay") + 1e-9).select("v", "own", (-F.col("best.minus")).alias("c"), (F.col("best.gain") - F.col("stay")).alias("more"))
+        """v, own, c, more: the best community of each vertex where it gains, and how much."""
+        return self.state(labels)[0].filter("more > 1e-9").select("v", "own", "c", "more")
 
     def local_move(self, most: int = ROUNDS) -> bool:
         """Rounds in which half of the vertices (by hash) may move, until none gains; a round stays if the objective rises.
 
         Where it does not, ever fewer move, at last the one that gains most, whose gain is the rise.
         """
-        value, changed = self.objective(self.labels), False
+        rows, value = self.state(self.labels)
+        changed = False
         for r in range(most):
-            moving = cut(self.proposals(self.labels), "moves")
+            moving = rows.filter("more > 1e-9")
             n = moving.count()
             if not n:
-                return changed
+                break
             for share in (*(1 << i for i in range(1, n.bit_length())), None):
                 some = moving.filter(F.pmod(F.xxhash64("v", F.lit(r)), F.lit(share)) == 0) if share else moving.orderBy(F.desc("more"), "v").limit(1)
-                movers = some.select("v", F.col("c").alias("to"))
-                after = cut(self.labels.join(movers, "v", "left").select("v", F.coalesce("to", "c").alias("c")), "labels")
-                if (then := self.objective(after)) > value + max(5e-10, 1e-13 * abs(value)):
-                    self.labels, value, changed = after, then, True
+                after = rows.select("v", "own").join(self._all(some.select("v", F.col("c").alias("to"))), "v", "left").select("v", F.coalesce("to", "own").alias("c"))
+                then_rows, then = self.state(after)
+                if then > value + max(5e-10, 1e-13 * abs(value)):
+                    forget(rows)
+                    rows, value, changed = then_rows, then, True
                     break
+                forget(then_rows)
             else:
-                return changed  # what is left to gain is below the rounding of the objective
-        raise RuntimeError(f"vertices still move after {most} rounds")
+                break  # what is left to gain is below the rounding of the objective
+        else:
+            raise RuntimeError(f"vertices still move after {most} rounds")
+        self.labels = rows.select("v", F.col("own").alias("c"))
+        return changed
 
     def refine(self, theta: float = 0.01, seed: int = 1, most: int = ROUNDS) -> DataFrame:
         """v, r: well-connected parts of the communities, grown from single vertices until none can join another.
@@ -149,39 +184,46 @@ class Distributed:
         A round lets half of the vertices that are still alone join a part that does not move itself, so
         parts stay connected; the target is drawn in proportion to exp(gain / theta) by hashed Gumbel noise.
         """
-        inside = cut(self.edges.join(self.labels.toDF("a", "ca"), "a").join(self.labels.toDF("b", "cb"), "b").filter("ca = cb").select("a", "b", "w"), "inside")
+        near = self.edges.join(self._all(self.labels.toDF("b", "cb")), "b").join(self._all(self.labels.toDF("a", "ca")), "a")
+        inside = cut(near.filter("ca = cb").select("a", "b", "w"), "inside")
         within = Distributed(inside, self.nulls, self.rates)
-        whole = self._totals(self.labels)
-        parts = self.labels.select("v", F.col("v").alias("r"))
+        whole = cut(self._totals(self.labels), "totals")
+        parts = cut(self.labels.select("v", F.col("v").alias("r")), "parts")
+        term = F.col("rate") * (F.col("ko") * (F.col("sum_i") - F.col("ki")) + F.col("ki") * (F.col("sum_o") - F.col("ko")))
         for k in range(most):
             loose = parts.groupBy("r").agg(F.count("*").alias("size"))
             by_part = parts.withColumnRenamed("r", "c")
-            edge = inside.join(parts.toDF("a", "ra"), "a").join(parts.toDF("b", "rb"), "b").filter("ra <> rb").groupBy(F.col("ra").alias("r")).agg(F.sum("w").alias("out"))
-            totals = self.nulls.join(parts, "v").groupBy("r", "s").agg(F.sum("ko").alias("ko"), F.sum("ki").alias("ki"))
-            home = parts.join(self.labels, "v").groupBy("r").agg(F.min("c").alias("c"))
-            term = F.col("rate") * (F.col("ko") * (F.col("sum_i") - F.col("ki")) + F.col("ki") * (F.col("sum_o") - F.col("ko")))
-            null = totals.join(home, "r").join(whole, ["c", "s"]).join(F.broadcast(self.rates), "s").groupBy("r").agg(F.sum(term).alias("null"))
+            edge = within.edges.join(self._all(parts.toDF("b", "rb")), "b").join(self._all(parts.toDF("a", "ra")), "a").filter("ra <> rb").groupBy(F.col("ra").alias("r")).agg(F.sum("w").alias("out"))
+            totals = self.nulls.join(self._all(parts), "v").groupBy("r", "s").agg(F.sum("ko").alias("ko"), F.sum("ki").alias("ki"))
+            home = parts.join(self._all(self.labels), "v").groupBy("r").agg(F.min("c").alias("c"))
+            null = totals.join(self._all(home), "r").join(self._all(whole), ["c", "s"]).join(F.broadcast(self.rates), "s").groupBy("r").agg(F.sum(term).alias("null"))
             good = cut(null.join(edge, "r", "left").filter(F.coalesce("out", F.lit(0.0)) >= F.col("null") - 1e-9).join(loose, "r").select("r", (F.col("size") == 1).alias("alone")), "good")
             alone, every = good.filter("alone").select(F.col("r").alias("v")), good.select(F.col("r").alias("c"))
-            left = cut(within.gains(by_part).filter((F.col("c") != F.col("own")) & (F.col("gain") > 1e-9)).join(alone, "v", "left_semi").join(every, "c", "left_semi"), "left")
+            left = cut(within.gains(by_part).filter((F.col("c") != F.col("own")) & (F.col("gain") > 1e-9)).join(self._all(alone), "v", "left_semi").join(self._all(every), "c", "left_semi"), "left")
             if left.isEmpty():
+                within.close()
                 return parts
             turn = F.pmod(F.xxhash64("r", F.lit(seed), F.lit(k)), F.lit(2)) == 0
             movers = good.filter(F.col("alone") & turn).select(F.col("r").alias("v"))
             targets = good.filter(~(F.col("alone") & turn)).select(F.col("r").alias("c"))
-            gains = left.join(movers, "v", "left_semi").join(targets, "c", "left_semi")
+            gains = left.join(self._all(movers), "v", "left_semi").join(self._all(targets), "c", "left_semi")
             noise = -F.ln(-F.ln((F.pmod(F.xxhash64("v", "c", F.lit(seed), F.lit(k)), F.lit(1 << 40)) + 0.5) / float(1 << 40)))
-            pull = F.col("gain") / theta + noise if theta > 0 else F.col("gain")
-            joined = gains.groupBy("v").agg(F.max(F.struct(pull.alias("pull"), (-F.col("c")).alias("minus"))).alias("best")).select("v", (-F.col("best.minus")).alias("to"))
-            parts = cut(parts.join(joined, "v", "left").select("v", F.coalesce("to", "r").alias("r")), "parts")
+            mean = F.avg("gain").over(Window.partitionBy("v"))
+            pull = F.col("gain") / (theta * mean) + noise if theta > 0 else F.col("gain")
+            joined = gains.withColumn("pull", pull).groupBy("v").agg(F.max(F.struct("pull", (-F.col("c")).alias("minus"))).alias("best")).select("v", (-F.col("best.minus")).alias("to"))
+            after = cut(parts.join(self._all(joined), "v", "left").select("v", F.coalesce("to", "r").alias("r")), "parts")
+            for old in (parts, good, left):
+                forget(old)
+            parts = after
         raise RuntimeError(f"parts still grow after {most} rounds")
 
     def aggregate(self, parts: DataFrame) -> Distributed:
         """The graph of the parts, each in the community of its vertices; weights inside a part leave the edges."""
         a, b = parts.toDF("a", "ra"), parts.toDF("b", "rb")
-        edges = cut(self.edges.join(a, "a").join(b, "b").filter("ra <> rb").groupBy(F.col("ra").alias("a"), F.col("rb").alias("b")).agg(F.sum("w").alias("w")), "edges")
-        nulls = cut(self.nulls.join(parts, "v").groupBy(F.col("r").alias("v"), "s").agg(F.sum("ko").alias("ko"), F.sum("ki").alias("ki")), "nulls")
+        edges = cut(self.edges.join(self._all(b), "b").join(self._all(a), "a").filter("ra <> rb").groupBy(F.col("ra").alias("a"), F.col("rb").alias("b")).agg(F.sum("w").alias("w")), "edges")
+        nulls = cut(self.nulls.join(self._all(parts), "v").groupBy(F.col("r").alias("v"), "s").agg(F.sum("ko").alias("ko"), F.sum("ki").alias("ki")), "nulls")
         labels = cut(self.labels.join(parts, "v").groupBy(F.col("r").alias("v")).agg(F.min("c").alias("c")), "labels")
+        self.close()
         return Distributed(edges, nulls, self.rates, labels)
 
 
@@ -258,14 +300,14 @@ def leiden(
         return best_surprise(tg, omega=omega, topology=topology, max_passes=max_passes, seed=seed, backend_name=backend_name)
     supra = supra_graph(tg, auto_omega(tg.edges) if omega == "auto" else omega, topology)
     nulls = null_strengths(tg, supra, null, quality)
-    passes = 50 if until_stable else max_passes
+    passes = ROUNDS if until_stable else max_passes
     spark = tg.edges.sparkSession
     chosen = backend_name or backend(spark, tg.edges.count())
     if null == "global" and isinstance(gamma, DataFrame):
         raise ValueError("a global null has one gamma")
-    if chosen == "kernel":
+    if chosen in ("kernel", "sequential"):
         g = {r.s: r.g for r in gamma.toDF("s", "g").collect()} if isinstance(gamma, DataFrame) else gamma
-        labels = _kernel_labels(supra.edges, nulls, g, quality, {"max_passes": passes, "with_refinement": refine, "theta": theta, "seed": seed})
+        labels = _kernel_labels(supra.edges, nulls, g, quality, {"max_passes": passes, "with_refinement": refine, "theta": theta, "seed": seed}, order="sequential" if chosen == "sequential" else "rounds")
     else:
         labels = _distributed_labels(supra.edges, nulls, gamma, quality, passes, refine, theta, seed, finish)
     return decode(labels.withColumnRenamed("v", "sid")).select("slice", "node", "community")
@@ -277,11 +319,11 @@ def louvain(tg: TemporalGraph, **options) -> DataFrame:
 
 
 def baseline_multislice_sequential(tg: TemporalGraph, omega: float | str = "auto", gamma: float = 1.0, seed: int = 1, limit: int = 5_000_000) -> DataFrame:
-    """The reference: one vertex at a time in one task, a null for each slice, two passes; refused above limit edges."""
+    """The reference: one vertex after the other in one task, a null for each slice, two passes; refused above limit edges."""
     tg = tg.stored()
     if (n := tg.edges.count()) > limit:
         raise ValueError(f"{n} edges; the sequential reference takes at most {limit}")
-    return leiden(tg, omega, gamma, null="slice", backend_name="kernel", seed=seed)
+    return leiden(tg, omega, gamma, null="slice", backend_name="sequential", seed=seed)
 
 
 def best_surprise(tg: TemporalGraph, gammas: tuple[float, ...] = (0.5, 1.0, 2.0, 4.0), **options) -> DataFrame:
