@@ -115,11 +115,6 @@ class Totals:
         return float((per * self.ko[keys] * self.ki[keys] - before).sum())
 
 
-def value(g: ArrayGraph, part: np.ndarray, rate: np.ndarray, totals: Totals) -> float:
-    """Weight inside communities less the null."""
-    return float(g.w[part[g.rows] == part[g.cols]].sum()) / 2 - totals.null(rate)
-
-
 def links(g: ArrayGraph, some: np.ndarray, part: np.ndarray, inside: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Pairs (place in some, community, weight) in order, the own community of each vertex among them.
 
@@ -173,15 +168,17 @@ def _empty(part: np.ndarray, n: int, count: int) -> np.ndarray:
     return np.flatnonzero(~used)[:count]
 
 
-def local_move(g: ArrayGraph, part: np.ndarray, rate: np.ndarray, rng: np.random.Generator, share: float = SHARE) -> int:
+def local_move(g: ArrayGraph, part: np.ndarray, rate: np.ndarray, rng: np.random.Generator, share: float = SHARE, movable: np.ndarray | None = None) -> int:
     """Move vertices to their best neighbouring community, or out of a bad one, until none gains; returns the moves.
 
+    Vertices that are not movable stay where they are.
     If a round's moves do not raise the objective together, half of them are tried, at last the one that gains most.
     """
     totals = Totals(g, part)
     scale, moves = float(g.w.sum()), 0
     least = max(1e-9, 1e-13 * scale)
-    active = np.ones(g.n, dtype=bool)
+    movable = np.ones(g.n, dtype=bool) if movable is None else movable
+    active = movable.copy()
     while len(some := np.flatnonzero(active)):
         if len(some) > 256:
             some = some[rng.random(len(some)) < share]
@@ -219,7 +216,8 @@ def local_move(g: ArrayGraph, part: np.ndarray, rate: np.ndarray, rng: np.random
                     totals = there
                 near = g.cols[spread(g.at[movers], g.at[movers + 1] - g.at[movers])]
                 by = np.repeat(new, g.at[movers + 1] - g.at[movers])
-                active[near[part[near] != by]] = True
+                near = near[part[near] != by]
+                active[near[movable[near]]] = True
                 moves += len(movers)
                 break
             if totals.dense:
@@ -311,3 +309,32 @@ def leiden(g: ArrayGraph, rate: np.ndarray, max_passes: int = 2, with_refinement
         if (np.unique(before, return_inverse=True)[1] == labels).all():
             break
     return labels
+
+
+def settle(v: np.ndarray, own_label: np.ndarray, strengths: tuple[np.ndarray, ...], totals: tuple[np.ndarray, ...], edges: tuple[np.ndarray, ...], rate: np.ndarray, seed: int) -> np.ndarray:
+    """The communities of some vertices after they have moved until none gains, with all others held still.
+
+    v: the vertices, in order; own_label: their communities; strengths: (v, s, ko, ki); totals: (community,
+    s, ko, ki) of every community beside them; edges: (a, b, w, community of b), each pair from both ends.
+    The held vertices of a community are one vertex that does not move.  A vertex that is better off
+    alone gets a community with a negative number.
+    """
+    names, anchor = np.unique(np.concatenate([own_label, totals[0], edges[3]]), return_inverse=True)
+    n = len(v)
+    size = n + len(names)
+    part = np.concatenate([n + anchor[:n], n + np.arange(len(names))])
+    sv, ss, so, si = np.searchsorted(v, strengths[0]), *strengths[1:]
+    tc = n + anchor[n : n + len(totals[0])]
+    held = tuple(np.concatenate(x) for x in ((sv, tc, part[sv]), (ss, totals[1], ss), (so, totals[2], -so), (si, totals[3], -si)))
+    a, b = np.searchsorted(v, edges[0]), np.minimum(np.searchsorted(v, edges[1]), n - 1)
+    inner = v[b] == edges[1]
+    once = ~inner | (a < b)
+    far = np.where(inner, b, n + anchor[n + len(totals[0]) :])
+    keys = np.concatenate([a[once] * np.int64(size) + far[once], far[once] * np.int64(size) + a[once]])
+    keys, w = grouped(keys, np.concatenate([edges[2][once]] * 2))
+    slices = max(1, len(rate))
+    vs, ko, ki = grouped(held[0] * np.int64(slices) + held[1], held[2], held[3])
+    g = ArrayGraph(size, keys, w, vs // slices, vs % slices, ko, ki, slices)
+    local_move(g, part, rate, np.random.default_rng(seed), movable=np.arange(size) < n)
+    label = part[:n]
+    return np.where(label >= n, names[np.maximum(label - n, 0)], -(v[np.minimum(label, n - 1)] * 1024 + seed % 1024) - 1)

@@ -25,6 +25,8 @@ from ..tracking import match_labels
 
 #: Rounds after which a local-move or refinement phase that still moves vertices is an error.
 ROUNDS = 1000
+#: Edges that one task of the distributed route holds, and the share of vertices that is few.
+TASK_EDGES, FEW = 1_000_000, 0.05
 #: Labels that a broadcast may hold, some 32 bytes each in a task.
 LABEL_ROWS = 2_000_000
 
@@ -150,18 +152,67 @@ class Distributed:
         """v, own, c, more: the best community of each vertex where it gains, and how much."""
         return self.state(labels)[0].filter("more > 1e-9").select("v", "own", "c", "more")
 
+    def _settled(self, rows: DataFrame, moving: DataFrame, seed: int) -> DataFrame | None:
+        """v, c of all vertices after those that gain and their neighbours have settled in one task; None if these have too many edges."""
+        first = moving.select("v")
+        near = self.edges.join(self._all(first.toDF("b")), "b").select(F.col("a").alias("v"))
+        region = cut(near.union(first).distinct(), "region")
+        mine = cut(self.edges.join(self._all(region.toDF("a")), "a").join(self._all(rows.select(F.col("v").alias("b"), F.col("own").alias("cb"))), "b").select("a", "b", "w", "cb"), "near")
+        try:
+            if mine.count() > TASK_EDGES:
+                return None
+            labels = rows.select("v", F.col("own").alias("c"))
+            own = self.nulls.join(self._all(region), "v").join(self._all(labels), "v").join(F.broadcast(self.rates), "s")
+            beside = mine.select(F.col("cb").alias("c")).union(labels.join(self._all(region), "v").select("c")).distinct()
+            totals = self._totals(labels).join(self._all(beside), "c").join(F.broadcast(self.rates), "s")
+            table = own.select("v", "c", "s", "rate", "ko", "ki").union(totals.select(F.lit(None).cast("bigint"), "c", "s", "rate", "sum_o", "sum_i"))
+            ship(rows.sparkSession)
+
+            def run(_: tuple, e: pa.Table, k: pa.Table) -> pa.Table:
+                column = lambda t, c: t.column(c).to_numpy()
+                vertices, sums = k.filter(k.column("v").is_valid()), k.filter(k.column("v").is_null())
+                slices, at = np.unique(column(k, "s"), return_index=True)
+                rate = column(k, "rate")[at]
+                place = lambda t: np.searchsorted(slices, column(t, "s"))
+                v, one = np.unique(column(vertices, "v"), return_index=True)
+                after = arrays.settle(
+                    v,
+                    column(vertices, "c")[one],
+                    (column(vertices, "v"), place(vertices), column(vertices, "ko"), column(vertices, "ki")),
+                    (column(sums, "c"), place(sums), column(sums, "ko"), column(sums, "ki")),
+                    tuple(column(e, c) for c in ("a", "b", "w", "cb")),
+                    rate,
+                    seed,
+                )
+                return pa.table({"v": v, "to": after})
+
+            one = F.lit(0).alias("one")
+            moved = cut(mine.select(one, "*").groupBy("one").cogroup(table.select(one, "*").groupBy("one")).applyInArrow(run, "v bigint, to bigint"), "settled")
+            return labels.join(self._all(moved), "v", "left").select("v", F.coalesce("to", "c").alias("c"))
+        finally:
+            forget(region)
+            forget(mine)
+
     def local_move(self, most: int = ROUNDS) -> bool:
         """Rounds in which half of the vertices (by hash) may move, until none gains; a round stays if the objective rises.
 
-        Where it does not, ever fewer move, at last the one that gains most, whose gain is the rise.
+        Where it does not, ever fewer move, at last the one that gains most, whose gain is the rise.  Once
+        few vertices gain, they settle with their neighbours in one task, between rounds that look at all.
         """
         rows, value = self.state(self.labels)
-        changed = False
+        every, changed = rows.count(), False
         for r in range(most):
             moving = rows.filter("more > 1e-9")
             n = moving.count()
             if not n:
                 break
+            if n <= FEW * every and (after := self._settled(rows, moving, r)) is not None:
+                then_rows, then = self.state(after)
+                if then > value + max(5e-10, 1e-13 * abs(value)):
+                    forget(rows)
+                    rows, value, changed = then_rows, then, True
+                    continue
+                forget(then_rows)
             for share in (*(1 << i for i in range(1, n.bit_length())), None):
                 some = moving.filter(F.pmod(F.xxhash64("v", F.lit(r)), F.lit(share)) == 0) if share else moving.orderBy(F.desc("more"), "v").limit(1)
                 after = rows.select("v", "own").join(self._all(some.select("v", F.col("c").alias("to"))), "v", "left").select("v", F.coalesce("to", "own").alias("c"))
@@ -178,24 +229,57 @@ class Distributed:
         self.labels = rows.select("v", F.col("own").alias("c"))
         return changed
 
-    def refine(self, theta: float = 0.01, seed: int = 1, most: int = ROUNDS) -> DataFrame:
+    def refine(self, theta: float = 0.01, seed: int = 1) -> DataFrame:
         """v, r: well-connected parts of the communities, grown from single vertices until none can join another.
 
+        Communities do not touch each other here, so each is one task's work, many of them in one task; those
+        with more than TASK_EDGES edges inside are refined together by rounds.
+        """
+        near = self.edges.join(self._all(self.labels.toDF("b", "cb")), "b").join(self._all(self.labels.toDF("a", "c")), "a")
+        inside = cut(near.filter("c = cb").select("c", "a", "b", "w"), "inside")
+        size = inside.groupBy("c").agg(F.count("*").alias("size"))
+        large = cut(size.filter(F.col("size") > TASK_EDGES).select("c"), "large")
+        tasks = max(int(inside.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-inside.count() // TASK_EDGES))
+        some = large.isEmpty()
+        mine = lambda df: df if some else df.join(F.broadcast(large), "c", "left_anti")
+        task = F.pmod(F.xxhash64("c"), F.lit(tasks)).alias("task")
+        members = self.nulls.join(self._all(self.labels), "v").join(F.broadcast(self.rates), "s")
+        ship(inside.sparkSession)
+
+        def run(_: tuple, e: pa.Table, k: pa.Table) -> pa.Table:
+            column = lambda t, c: t.column(c).to_numpy()
+            ids, v = np.unique(column(k, "v"), return_inverse=True)
+            slices, at, s = np.unique(column(k, "s"), return_index=True, return_inverse=True)
+            part = np.zeros(len(ids), dtype=np.int64)
+            part[v] = np.unique(column(k, "c"), return_inverse=True)[1]
+            a, b = np.searchsorted(ids, column(e, "a")), np.searchsorted(ids, column(e, "b"))
+            g = arrays.ArrayGraph.of(len(ids), a, b, column(e, "w") / 2, v, s, column(k, "ko"), column(k, "ki"), len(slices))
+            sub = arrays.refine(g, part, column(k, "rate")[at], np.random.default_rng(seed), theta)
+            return pa.table({"v": ids, "r": ids[sub]})
+
+        parts = mine(members).select(task, "v", "c", "s", "rate", "ko", "ki").groupBy("task").cogroup(mine(inside).select(task, "a", "b", "w").groupBy("task"))
+        done = cut(parts.applyInArrow(lambda key, k, e: run(key, e, k), "v bigint, r bigint"), "parts")
+        if some:
+            return done
+        held = self.labels.join(F.broadcast(large), "c", "left_semi").select("v", "c")
+        return done.unionByName(self._refine_rounds(held, inside.join(F.broadcast(large), "c", "left_semi").select("a", "b", "w"), theta, seed))
+
+    def _refine_rounds(self, labels: DataFrame, inside: DataFrame, theta: float, seed: int, most: int = ROUNDS) -> DataFrame:
+        """The parts of given communities by rounds.
+
         A round lets half of the vertices that are still alone join a part that does not move itself, so
-        parts stay connected; the target is drawn in proportion to exp(gain / theta) by hashed Gumbel noise.
+        parts stay connected; the target is drawn in proportion to exp(gain / (theta * mean gain)) by hashed Gumbel noise.
         """
-        near = self.edges.join(self._all(self.labels.toDF("b", "cb")), "b").join(self._all(self.labels.toDF("a", "ca")), "a")
-        inside = cut(near.filter("ca = cb").select("a", "b", "w"), "inside")
-        within = Distributed(inside, self.nulls, self.rates)
-        whole = cut(self._totals(self.labels), "totals")
-        parts = cut(self.labels.select("v", F.col("v").alias("r")), "parts")
+        within = Distributed(inside, self.nulls.join(labels.select("v"), "v", "left_semi"), self.rates, labels)
+        whole = cut(within._totals(labels), "totals")
+        parts = cut(labels.select("v", F.col("v").alias("r")), "parts")
         term = F.col("rate") * (F.col("ko") * (F.col("sum_i") - F.col("ki")) + F.col("ki") * (F.col("sum_o") - F.col("ko")))
         for k in range(most):
             loose = parts.groupBy("r").agg(F.count("*").alias("size"))
             by_part = parts.withColumnRenamed("r", "c")
             edge = within.edges.join(self._all(parts.toDF("b", "rb")), "b").join(self._all(parts.toDF("a", "ra")), "a").filter("ra <> rb").groupBy(F.col("ra").alias("r")).agg(F.sum("w").alias("out"))
-            totals = self.nulls.join(self._all(parts), "v").groupBy("r", "s").agg(F.sum("ko").alias("ko"), F.sum("ki").alias("ki"))
-            home = parts.join(self._all(self.labels), "v").groupBy("r").agg(F.min("c").alias("c"))
+            totals = within.nulls.join(self._all(parts), "v").groupBy("r", "s").agg(F.sum("ko").alias("ko"), F.sum("ki").alias("ki"))
+            home = parts.join(self._all(labels), "v").groupBy("r").agg(F.min("c").alias("c"))
             null = totals.join(self._all(home), "r").join(self._all(whole), ["c", "s"]).join(F.broadcast(self.rates), "s").groupBy("r").agg(F.sum(term).alias("null"))
             good = cut(null.join(edge, "r", "left").filter(F.coalesce("out", F.lit(0.0)) >= F.col("null") - 1e-9).join(loose, "r").select("r", (F.col("size") == 1).alias("alone")), "good")
             alone, every = good.filter("alone").select(F.col("r").alias("v")), good.select(F.col("r").alias("c"))
