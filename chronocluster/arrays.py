@@ -272,6 +272,23 @@ def refine(g: ArrayGraph, part: np.ndarray, rate: np.ndarray, rng: np.random.Gen
         sub[loose[i[first]]] = c[first]
 
 
+def connected(g: ArrayGraph, labels: np.ndarray) -> np.ndarray:
+    """Labels of the connected parts of communities: a part apart from the rest only adds to the null."""
+    inside = labels[g.rows] == labels[g.cols]
+    rows, cols = g.rows[inside], g.cols[inside]
+    low = np.arange(g.n)
+    if not len(rows):
+        return low
+    first = np.flatnonzero(np.concatenate([[True], rows[1:] != rows[:-1]]))
+    while True:
+        after = low.copy()
+        after[rows[first]] = np.minimum(low[rows[first]], np.minimum.reduceat(low[cols], first))
+        after = after[after]
+        if (after == low).all():
+            return low
+        low = after
+
+
 def finish(g: ArrayGraph, part: np.ndarray, rate: np.ndarray, with_refinement: bool, theta: float, seed: int) -> np.ndarray:
     """The rest of a pass, one vertex at a time."""
     strengths: list[dict[int, tuple[float, float]]] = [{} for _ in range(g.n)]
@@ -284,7 +301,10 @@ def finish(g: ArrayGraph, part: np.ndarray, rate: np.ndarray, with_refinement: b
 
 
 def leiden(g: ArrayGraph, rate: np.ndarray, max_passes: int = 2, with_refinement: bool = True, theta: float = 0.01, seed: int = 1, start: np.ndarray | None = None, small: int = SMALL) -> np.ndarray:
-    """The community of each vertex; a pass moves, refines and merges down to the coarsest graph."""
+    """The community of each vertex; a pass moves, refines and merges down to the coarsest graph.
+
+    With refinement, communities that have come apart in the last moves of a pass are cut.
+    """
     rng = np.random.default_rng(seed)
     labels = np.arange(g.n) if start is None else np.unique(start, return_inverse=True)[1]
     for p in range(max_passes):
@@ -305,7 +325,8 @@ def leiden(g: ArrayGraph, rate: np.ndarray, max_passes: int = 2, with_refinement
             place, h = to[place], smaller
             if not moves and smaller.n == part.max() + 1:
                 break
-        labels = np.unique(part[place], return_inverse=True)[1]
+        labels = part[place]
+        labels = np.unique(connected(g, labels) if with_refinement else labels, return_inverse=True)[1]
         if (np.unique(before, return_inverse=True)[1] == labels).all():
             break
     return labels

@@ -348,6 +348,9 @@ def _distributed_labels(edges: DataFrame, nulls: DataFrame, gamma, quality: str,
                 level.labels = cut(done.select("v", F.col("community").alias("c")), "labels")
                 break
         after = cut(chain.join(level.labels.toDF("r", "c"), "r").select("v", "c"), "labels")
+        if with_refinement:
+            held = flat.join(after.toDF("a", "ca"), "a").join(after.toDF("b", "cb"), "b").filter("ca = cb").select(F.col("a").alias("src"), F.col("b").alias("dst"))
+            after = cut(components(held, after.select(F.col("v").alias("node"))).toDF("v", "c"), "labels")
         if labels is not None and after.join(labels.toDF("v", "was"), "v").filter("c <> was").isEmpty():
             break
         labels = after
