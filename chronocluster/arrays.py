@@ -182,6 +182,8 @@ def local_move(g: ArrayGraph, part: np.ndarray, rate: np.ndarray, rng: np.random
     while len(some := np.flatnonzero(active)):
         if len(some) > 256:
             some = some[rng.random(len(some)) < share]
+            if not len(some):
+                continue
         i, c, w = links(g, some, part)
         gain = gains(g, some, i, c, w, part, rate, totals)
         first = np.flatnonzero(np.concatenate([[True], i[1:] != i[:-1]]))

@@ -193,6 +193,62 @@ def score(g: Graph, part: list[int], objective: Objective) -> float:
     return inside - sum(objective.rate[s] * t[0] * t[1] for c in totals.values() for s, t in c.items())
 
 
+def raise_surprise(n: int, a: np.ndarray, b: np.ndarray, w: np.ndarray, start: list[int], seed: int = 1) -> list[int]:
+    """Labels after moves of vertices, then of whole communities, each the one that raises surprise most, until none does.
+
+    Surprise is m D(x || y): x the share of weight inside communities, y the share of pairs inside.
+    """
+    m, pairs = float(w[a != b].sum()), n * (n - 1) / 2
+    if not m or not pairs:
+        return start
+    rng = random.Random(seed)
+
+    def worth(inside: float, within: float) -> float:
+        x, y = min(1.0, inside / m), min(1.0, within / pairs)
+        if x <= y:
+            return -abs(x - y)  # fewer links than by chance are no surprise
+        return x * math.log(x / y) + ((1 - x) * math.log((1 - x) / (1 - y)) if x < 1 else 0.0)
+
+    labels, size, place = list(start), [1] * n, list(range(n))
+    rows, cols, weights = a, b, w
+    while True:
+        g = Graph(len(size), rows, cols, weights, [{} for _ in size])
+        members: dict[int, int] = {}
+        for v, c in enumerate(labels):
+            members[c] = members.get(c, 0) + size[v]
+        inside = g.loops + sum(x for v in range(g.n) for u, x in g.near[v] if labels[u] == labels[v]) / 2
+        within = sum(z * (z - 1) / 2 for z in members.values())
+        now, moves, more = worth(inside, within), 0, True
+        while more:
+            more = False
+            for v in rng.sample(range(g.n), g.n):
+                links: dict[int, float] = {}
+                for u, x in g.near[v]:
+                    links[labels[u]] = links.get(labels[u], 0.0) + x
+                own, z = labels[v], size[v]
+                best = (now, own, inside, within)
+                for c, x in links.items():
+                    if c != own:
+                        then = inside - links.get(own, 0.0) + x, within + z * (members[c] - members[own] + z)
+                        if (value := worth(*then)) > best[0] + 1e-12:
+                            best = (value, c, *then)
+                if best[1] != own:
+                    now, labels[v], inside, within = best
+                    members[own] -= z
+                    members[best[1]] += z
+                    moves, more = moves + 1, True
+        names: dict[int, int] = {}
+        to = [names.setdefault(c, len(names)) for c in labels]
+        place = [to[p] for p in place]
+        if len(names) == g.n:
+            return place
+        merged = [0] * len(names)
+        for v, t in enumerate(to):
+            merged[t] += size[v]
+        at = np.array(to)
+        rows, cols, size, labels = at[rows], at[cols], merged, list(range(len(names)))
+
+
 # Spectra.
 
 

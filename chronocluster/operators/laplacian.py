@@ -5,8 +5,9 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..session import cut, forget
 from ..supra import SupraGraph
-from .base import LinearOperator, diagonal_and_edges, row_sums
+from .base import LinearOperator, diagonal_and_edges, row_sums, spmv
 
 
 class Laplacian(LinearOperator):
@@ -38,7 +39,7 @@ class Laplacian(LinearOperator):
 
 
 def choose_r(supra: SupraGraph, rule: str | float = "degree_ratio", degree: str = "supra") -> float:
-    """The r of the deformed Laplacian: root of the mean degree, root of <d^2>/<d> - 1 (degree_ratio), or a number.
+    """The r of the deformed Laplacian: root of the mean degree, root of <d^2>/<d> - 1 (degree_ratio), root of the radius of the non-backtracking operator (nb_radius), or a number.
 
     degree='spatial' leaves couplings out.
     """
@@ -50,9 +51,29 @@ def choose_r(supra: SupraGraph, rule: str | float = "degree_ratio", degree: str
         return float(c) ** 0.5
     if rule == "degree_ratio":
         return max(0.0, d2 / c - 1) ** 0.5 if c else 0.0
+    if rule == "nb_radius":
+        return nb_radius(edges, supra.nodes.select("sid")) ** 0.5
     raise ValueError(rule)
 
 
+def nb_radius(edges: DataFrame, nodes: DataFrame, steps: int = 30, tol: float = 1e-4) -> float:
+    """The largest eigenvalue of the non-backtracking operator, by power iteration on [[A, I - D], [I, 0]], which shares it."""
+    held = cut(row_sums(edges, nodes), "nodes")
+    state, value = cut(held.select("sid", "d", F.lit(1.0).alias("x"), F.lit(0.0).alias("y")), "vector"), 0.0
+    for _ in range(steps):
+        product = spmv(edges, state.select("sid", F.col("x").alias("c0")))
+        after = cut(state.join(product, "sid", "left").select("sid", "d", (F.coalesce("c0", F.lit(0.0)) - (F.col("d") - 1) * F.col("y")).alias("x"), F.col("x").alias("y")), "vector")
+        size, last = after.agg(F.sqrt(F.sum(F.col("x") * F.col("x"))), F.sqrt(F.sum(F.col("y") * F.col("y")))).first()
+        forget(state)
+        if not last or not size:
+            return 0.0
+        before, value = value, size / last
+        state = after.select("sid", "d", (F.col("x") / size).alias("x"), (F.col("y") / size).alias("y"))
+        if abs(value - before) <= tol * value:
+            break
+    return value
+
+
 class DeformedLaplacian(LinearOperator):
     """(r^2 - 1) I - r A + D; r = 1 is the unnormalised Laplacian; assortative=False takes -r."""
 

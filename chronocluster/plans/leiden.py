@@ -16,9 +16,9 @@ from pyspark import StorageLevel
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .. import arrays
+from .. import arrays, kernels
 from ..components import components
-from ..session import backend, cut, forget, ship
+from ..session import KERNEL_EDGES, backend, conf, cut, forget, ship
 from ..supra import SupraGraph, auto_omega, decode, degrees, sid, strengths, supra_graph
 from ..temporal import TemporalGraph, between_slices
 from ..tracking import match_labels
@@ -324,10 +324,14 @@ def slice_rates(nulls: DataFrame, gamma: float | DataFrame, quality: str) -> Dat
     return total.select("s", F.coalesce(F.col("g") if quality == "cpm" else F.try_divide("g", "m"), F.lit(0.0)).alias("rate"))
 
 
-def _distributed_labels(edges: DataFrame, nulls: DataFrame, gamma, quality: str, max_passes: int, with_refinement: bool, theta: float, seed: int, finish: int) -> DataFrame:
+def _distributed_labels(edges: DataFrame, nulls: DataFrame, gamma, quality: str, max_passes: int, with_refinement: bool, theta: float, seed: int, finish: int, start: DataFrame | None = None) -> DataFrame:
     flat, nulls = cut(summed(edges), "edges"), cut(nulls, "nulls")
     rates = cut(slice_rates(nulls, gamma, quality), "rates")
     labels = None
+    if start is not None:
+        # Given names and those of vertices left alone are kept apart by their sign.
+        named = nulls.select("v").distinct().join(start, "v", "left")
+        labels = cut(named.select("v", F.coalesce(-F.abs(F.xxhash64("at")) - 1, "v").alias("c")), "labels")
     for p in range(max_passes):
         level = Distributed(flat, nulls, rates, labels)
         chain = level.labels.select("v", F.col("v").alias("r"))
@@ -375,18 +379,29 @@ def leiden(
     backend_name: str | None = None,
     until_stable: bool = False,
     finish: int = 200_000,
+    presence: str = "active",
+    start: DataFrame | None = None,
 ) -> DataFrame:
     """slice, node, community of every temporal node.
 
     null: slice (one null model for each snapshot) or global (one for the supra-graph, the fast
-    stand-in).  quality: modularity, cpm or surprise; surprise takes the best of several
-    resolutions of modularity.  A community is named after its smallest temporal node.
+    stand-in).  quality: modularity, cpm or surprise (which has a null of its own, and moves from the best
+    of several resolutions of modularity on).  presence: which copies a node has: active, span or all.
+    start: labels (slice, node, community) to begin from; what they leave out begins alone.  A community
+    is named after its smallest temporal node.
     """
     tg = tg.stored()
     if quality == "surprise":
-        return best_surprise(tg, omega=omega, topology=topology, max_passes=max_passes, seed=seed, backend_name=backend_name)
-    supra = supra_graph(tg, auto_omega(tg.edges) if omega == "auto" else omega, topology)
+        if gamma != 1.0 or null != "slice" or start is not None or presence != "active":
+            raise ValueError("surprise has neither gamma nor a choice of null, start or presence")
+        return best_surprise(tg, omega=omega, topology=topology, max_passes=max_passes, seed=seed, backend_name=backend_name, refine=refine, theta=theta, until_stable=until_stable)
+    supra = supra_graph(tg, auto_omega(tg.edges) if omega == "auto" else omega, topology, presence)
     nulls = null_strengths(tg, supra, null, quality)
+    if presence != "active":
+        all_nodes = supra.nodes.select(F.col("sid").alias("v"), F.col("slice") if null == "slice" else F.lit(0).alias("slice"))
+        known = nulls.withColumnRenamed("s", "in")
+        nulls = all_nodes.join(known, "v", "left").select("v", F.coalesce("in", "slice").alias("s"), F.coalesce("ko", F.lit(0.0)).alias("ko"), F.coalesce("ki", F.lit(0.0)).alias("ki"))
+    at = start.select(sid(F.col("slice"), F.col("node")).alias("v"), F.col("community").alias("at")) if start is not None else None
     passes = ROUNDS if until_stable else max_passes
     spark = tg.edges.sparkSession
     chosen = backend_name or backend(spark, tg.edges.count())
@@ -394,9 +409,9 @@ def leiden(
         raise ValueError("a global null has one gamma")
     if chosen in ("kernel", "sequential"):
         g = {r.s: r.g for r in gamma.toDF("s", "g").collect()} if isinstance(gamma, DataFrame) else gamma
-        labels = _kernel_labels(supra.edges, nulls, g, quality, {"max_passes": passes, "with_refinement": refine, "theta": theta, "seed": seed}, order="sequential" if chosen == "sequential" else "rounds")
+        labels = _kernel_labels(supra.edges, nulls, g, quality, {"max_passes": passes, "with_refinement": refine, "theta": theta, "seed": seed}, start=at, order="sequential" if chosen == "sequential" else "rounds")
     else:
-        labels = _distributed_labels(supra.edges, nulls, gamma, quality, passes, refine, theta, seed, finish)
+        labels = _distributed_labels(supra.edges, nulls, gamma, quality, passes, refine, theta, seed, finish, at)
     return decode(labels.withColumnRenamed("v", "sid")).select("slice", "node", "community")
 
 
@@ -413,19 +428,42 @@ def baseline_multislice_sequential(tg: TemporalGraph, omega: float | str = "auto
     return leiden(tg, omega, gamma, null="slice", backend_name="sequential", seed=seed)
 
 
-def best_surprise(tg: TemporalGraph, gammas: tuple[float, ...] = (0.5, 1.0, 2.0, 4.0), **options) -> DataFrame:
-    """Of the partitions that modularity gives at several resolutions, the one with the largest surprise on the supra-graph."""
+def best_surprise(tg: TemporalGraph, gammas: tuple[float, ...] = (0.5, 1.0, 2.0, 4.0), polish: bool = True, **options) -> DataFrame:
+    """Of the partitions that modularity gives at several resolutions the one with the largest surprise on the supra-graph, and from there on moves that raise surprise itself.
+
+    The moves are one task's work; beyond kernel_edges edges, or without polish, the proposals alone are compared.
+    """
     from ..quality import surprise, supra_labels
 
-    supra = supra_graph(tg, auto_omega(tg.edges) if options.get("omega", "auto") == "auto" else options["omega"], options.get("topology", "adjacent"))
+    omega = options.pop("omega", "auto")
+    omega = auto_omega(tg.edges) if omega == "auto" else omega
+    supra = supra_graph(tg, omega, options.get("topology", "adjacent"))
     upper = supra.edges.filter("a < b").select(F.lit(0).alias("slice"), F.col("a").alias("src"), F.col("b").alias("dst"), "weight")
     best, top = None, -math.inf
     for g in gammas:
-        labels = cut(leiden(tg, gamma=g, **options), "labels")
+        labels = cut(leiden(tg, omega, gamma=g, **options), "labels")
         value = surprise(upper, supra_labels(labels, supra).select(F.col("sid").alias("node"), "community")).first()[0]
-        if value is not None and value > top:
-            best, top = labels, value
-    return best
+        if best is None or value is not None and value > top:
+            best, top = labels, value if value is not None else top
+    spark = tg.edges.sparkSession
+    if not polish or backend(spark, tg.edges.count()) != "kernel":
+        return best
+    ship(spark)
+    seed, one = options.get("seed", 1), F.lit(0).alias("one")
+
+    def run(_: tuple, e: pa.Table, k: pa.Table) -> pa.Table:
+        ids = np.array(k.column("v"))
+        order = np.argsort(ids)
+        ids, start = ids[order], np.unique(np.array(k.column("at"))[order], return_inverse=True)[1]
+        a, b = (np.searchsorted(ids, np.array(e.column(c))) for c in ("src", "dst"))
+        labels = np.array(kernels.raise_surprise(len(ids), a, b, np.array(e.column("weight"), dtype=float), start.tolist(), seed))
+        least = np.full(len(ids) + 1, len(ids))
+        np.minimum.at(least, labels, np.arange(len(ids)))
+        return pa.table({"sid": ids, "community": ids[least[labels]]})
+
+    given = supra_labels(best, supra).select(one, F.col("sid").alias("v"), F.col("community").alias("at"))
+    moved = upper.select(one, "src", "dst", "weight").groupBy("one").cogroup(given.groupBy("one")).applyInArrow(run, "sid bigint, community bigint")
+    return decode(moved).select("slice", "node", "community")
 
 
 def _profile(tg: TemporalGraph, name: str, values: list[float], run: Callable[[float], DataFrame]) -> DataFrame:
@@ -444,6 +482,15 @@ def coupling_profile(tg: TemporalGraph, omegas: list[float], **options) -> DataF
     return _profile(tg, "omega", omegas, lambda w: leiden(tg, omega=w, **options))
 
 
+def _checked_tasks(edges: DataFrame, key: str) -> DataFrame:
+    """edges, refused if one value of key has more of them than a task may hold."""
+    limit = int(conf(edges.sparkSession, "kernel_edges", str(KERNEL_EDGES)))
+    most = edges.groupBy(key).count().agg(F.max("count")).first()[0] or 0
+    if most > limit:
+        raise ValueError(f"{most} edges for one {key}; a task takes {limit} (chronocluster.kernel_edges)")
+    return edges
+
+
 def independent_snapshots(tg: TemporalGraph, gamma: float = 1.0, seed: int = 1, match: bool = False) -> DataFrame:
     """Every snapshot on its own, one task for each; with match, labels follow the mutual best partner of the slice before."""
     tg = tg.stored()
@@ -451,7 +498,7 @@ def independent_snapshots(tg: TemporalGraph, gamma: float = 1.0, seed: int = 1,
     nulls = k.select("slice", F.col("node").alias("v"), F.lit(0).alias("s"), F.col("k_out").alias("ko"), F.col("k_in").alias("ki"))
     edges = tg.edges.select("slice", F.col("src").alias("a"), F.col("dst").alias("b"), "weight")
     edges = edges if tg.directed else edges.union(edges.select("slice", "b", "a", "weight"))
-    labels = _kernel_labels(edges, nulls, gamma, "modularity", {"max_passes": 2, "seed": seed}, keys=["slice"])
+    labels = _kernel_labels(_checked_tasks(edges, "slice"), nulls, gamma, "modularity", {"max_passes": 2, "seed": seed}, keys=["slice"])
     named = labels.select("slice", F.col("v").alias("node"), sid(F.col("slice"), F.col("community")).alias("community"))
     return _join_labels(cut(named, "labels")) if match else named
 
@@ -468,10 +515,11 @@ def _unify(labels: DataFrame, matches: DataFrame) -> DataFrame:
     return labels.join(same.toDF("community", "name"), "community", "left").select("slice", "node", F.coalesce("name", "community").alias("community"))
 
 
-def windowed(tg: TemporalGraph, width: int, stride: int, omega: float | str = "auto", gamma: float = 1.0, match: str = "overlap", seed: int = 1) -> DataFrame:
+def windowed(tg: TemporalGraph, width: int, stride: int, omega: float | str = "auto", gamma: float = 1.0, match: str = "overlap", seed: int = 1, method: Callable[[TemporalGraph], DataFrame] | None = None) -> DataFrame:
     """Overlapping runs of slices, each optimised in its own task; labels are joined on the slices that runs share.
 
-    Only width slices meet in a task, so couplings do not pile up with the number of snapshots.
+    Only width slices meet in a task, so couplings do not pile up with the number of snapshots.  With
+    method, any function of a temporal graph (spectral, distributed, ...), windows are given to it one after the other.
     """
     if not 0 < stride <= width:
         raise ValueError("0 < stride <= width")
@@ -482,12 +530,28 @@ def windowed(tg: TemporalGraph, width: int, stride: int, omega: float | str = "a
         return tg.nodes.withColumn("community", F.col("node"))
     first = F.greatest(F.lit(0), F.ceil((F.col("slice") - lo - width + 1) / stride).cast("int"))
     windows = F.sequence(first, F.floor((F.col("slice") - lo) / stride).cast("int"))
+    if method:
+        return _windows_by(tg, lo, hi, width, stride, match, method)
     supra = supra_graph(tg, omega)
     at = lambda c: F.floor(F.col(c) / F.lit(1 << 40)).cast("int")
     spread = lambda df, slice_: df.withColumn("slice", slice_).withColumn("run", F.explode(windows)).drop("slice")
     ends = supra.edges.withColumn("slice", F.greatest(at("a"), at("b"))).withColumn("low", F.least(at("a"), at("b"))).withColumn("run", F.explode(windows)).filter(F.col("low") >= lo + F.col("run") * stride)
     nulls = spread(null_strengths(tg, supra, "slice"), at("v"))
-    labels = cut(_kernel_labels(ends, nulls, gamma, "modularity", {"max_passes": 2, "seed": seed}, keys=["run"]), "windows")
+    labels = cut(_kernel_labels(_checked_tasks(ends, "run"), nulls, gamma, "modularity", {"max_passes": 2, "seed": seed}, keys=["run"]), "windows")
+    return _joined_windows(labels, match)
+
+
+def _windows_by(tg: TemporalGraph, lo: int, hi: int, width: int, stride: int, match: str, method: Callable[[TemporalGraph], DataFrame]) -> DataFrame:
+    runs = []
+    for run in range(max(0, -(-(hi - lo + 1 - width) // stride)) + 1):
+        part = restricted(tg, lo + run * stride, lo + run * stride + width - 1)
+        if not part.edges.isEmpty():
+            runs.append(method(part).select(F.lit(run).alias("run"), sid(F.col("slice"), F.col("node")).alias("v"), "community"))
+    return _joined_windows(cut(reduce(DataFrame.unionByName, runs), "windows"), match)
+
+
+def _joined_windows(labels: DataFrame, match: str) -> DataFrame:
+    """slice, node, community from labels (run, v, community) of overlapping windows."""
     named = labels.select("run", F.col("v"), F.dense_rank().over(Window.partitionBy("run").orderBy("community")).alias("c")).withColumn("community", (F.col("run").cast("bigint") * F.lit(1 << 40) + F.col("c")))
     named = cut(named.select("run", "v", "community"), "windows")
     old = named.select(F.struct(F.col("run").alias("run"), "v").alias("node"), "community")

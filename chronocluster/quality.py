@@ -32,14 +32,18 @@ def modularity(edges: DataFrame, labels: DataFrame, gamma: float = 1.0, directed
 
 
 def multislice_modularity(tg: TemporalGraph, labels: DataFrame, gamma: float | DataFrame = 1.0, omega: float | DataFrame = 1.0, topology: str = "adjacent") -> DataFrame:
-    """One row: q_ms, two_mu.  gamma may be a frame (slice, gamma), omega one (slice_a, slice_b, omega); slices without edges add nothing."""
+    """One row: q_ms, two_mu.  gamma may be a frame (slice, gamma), omega one (slice_a, slice_b, omega); slices without edges add nothing.
+
+    For a directed graph a slice's null is that of out- and in-strengths over its weight, and its weight counts once.
+    """
+    both = 1 if tg.directed else 2
     inside = _ends(tg.edges, labels, ["slice"]).filter("ca = cb").groupBy("slice").agg(F.sum("weight").alias("w"))
-    k = strengths(tg.edges).join(labels, ["slice", "node"]).groupBy("slice", "community").agg(F.sum("k_out").alias("k"))
-    squares = k.groupBy("slice").agg(F.sum(F.col("k") * F.col("k")).alias("kk"))
-    totals = tg.edges.groupBy("slice").agg((2 * F.sum("weight")).alias("two_m"))
+    k = strengths(tg.edges, tg.directed).join(labels, ["slice", "node"]).groupBy("slice", "community").agg(F.sum("k_out").alias("k"), F.sum("k_in").alias("k_in"))
+    squares = k.groupBy("slice").agg(F.sum(F.col("k") * F.col("k_in")).alias("kk"))
+    totals = tg.edges.groupBy("slice").agg((both * F.sum("weight")).alias("two_m"))
     per = totals.join(squares, "slice").join(inside, "slice", "left")
     per = per.join(F.broadcast(gamma), "slice") if isinstance(gamma, DataFrame) else per.withColumn("gamma", F.lit(float(gamma)))
-    within = per.agg(F.sum(2 * F.coalesce("w", F.lit(0.0)) - F.col("gamma") * F.try_divide("kk", "two_m")).alias("within"), F.sum("two_m").alias("sum_m"))
+    within = per.agg(F.sum(both * F.coalesce("w", F.lit(0.0)) - F.col("gamma") * F.try_divide("kk", "two_m")).alias("within"), F.sum("two_m").alias("sum_m"))
     ties = couple(tg.nodes, omega, topology)
     at = lambda side: labels.select(F.col("slice").alias(f"slice_{side}"), "node", F.col("community").alias(f"c{side}"))
     tied = ties.join(at("a"), ["slice_a", "node"]).join(at("b"), ["slice_b", "node"])

@@ -152,3 +152,111 @@ def test_distributed_moves_end_where_no_vertex_gains(spark):
     assert level.proposals(level.labels).isEmpty()
     with pytest.raises(RuntimeError):
         Distributed(edges, nulls, rates).local_move(most=1)
+
+
+def test_rounds_and_sequence_find_like_optima(spark):
+    """The arrays engine against one vertex at a time, on noisy graphs where the seed alone moves the score by 2 %; and its sums."""
+    import numpy as np
+
+    from chronocluster import arrays, kernels
+
+    rng = np.random.default_rng(5)
+    for classes, slices in ((8, 1), (6, 3)):
+        n, size = 1200, 1200 * slices
+        own = rng.integers(0, classes, n)
+        a, b = rng.integers(0, n, 30 * n), rng.integers(0, n, 30 * n)
+        kept = (own[a] == own[b]) & (rng.random(30 * n) < 0.6) | (rng.random(30 * n) < 0.1)
+        t = rng.integers(0, slices, 30 * n)
+        a, b = (a + t * n)[kept], (b + t * n)[kept]
+        ties = np.arange(size - n)
+        a, b, w = np.concatenate([a, ties]), np.concatenate([b, ties + n]), np.concatenate([np.ones(kept.sum()), np.full(len(ties), 2.0)])
+        a, b, w = np.concatenate([a, b]), np.concatenate([b, a]), np.concatenate([w, w])
+        k = np.bincount(a, w, minlength=size)
+        s = np.arange(size) // n
+        g = arrays.ArrayGraph.of(size, a, b, w, np.arange(size), s, k, k, slices)
+        rate = 1 / np.bincount(s, k)
+        strengths = [{int(x): (float(y), float(y))} for x, y in zip(s, k, strict=True)]
+        plain, objective = kernels.Graph(size, a, b, w, strengths), kernels.Objective({}, {})
+        objective.rate = dict(enumerate(rate.tolist()))
+        score = lambda labels: kernels.score(plain, labels.tolist(), objective)  # noqa: E731, B023
+        rounds, sequence = arrays.leiden(g, rate, small=0), arrays.leiden(g, rate, small=len(g.rows))
+        mixed = arrays.leiden(g, rate, small=len(g.rows) // 2)  # as in use: the first level by rounds, smaller ones in sequence
+        assert score(mixed) >= 0.97 * score(sequence) and score(rounds) >= 0.95 * score(sequence)
+        part = rounds.copy()
+        before = score(part)
+        assert arrays.local_move(g, part, rate, np.random.default_rng(1)) == 0 or score(part) > before
+        parts = arrays.refine(g, rounds, rate, np.random.default_rng(2), 0.01)
+        assert (arrays.connected(g, parts) == arrays.connected(g, parts)[np.unique(parts, return_index=True)[1]][np.unique(parts, return_inverse=True)[1]]).all()
+        assert all(len(set(rounds[parts == p])) == 1 for p in np.unique(parts)[:50])
+
+
+def test_start_presence_and_settled_moves(spark, planted):
+    tg, _ = planted
+    first = cut(plans.leiden(tg, 1.0), "labels")
+    again = plans.leiden(tg, 1.0, start=first, max_passes=1)
+    q = lambda x: quality.multislice_modularity(tg, x).first().q_ms
+    assert q(again) >= q(first) - 1e-9
+    thin = tg.with_edges(tg.edges.filter("slice <> 1 or src % 3 > 0"))
+    every = plans.leiden(thin, 1.0, presence="all")
+    assert every.count() == presence(thin.edges, "all").count() > thin.nodes.count()
+    with pytest.raises(ValueError):
+        plans.leiden(tg, 1.0, quality="surprise", gamma=2.0)
+
+
+def test_surprise_moves_raise_it(planted):
+    from chronocluster.plans.leiden import best_surprise
+
+    tg, truth = planted
+    supra = supra_graph(tg, 1.0)
+    upper = supra.edges.filter("a < b").select(F.lit(0).alias("slice"), F.col("a").alias("src"), F.col("b").alias("dst"), "weight")
+    value = lambda x: quality.surprise(upper, quality.supra_labels(x, supra).select(F.col("sid").alias("node"), "community")).first()[0]
+    moved, proposed = cut(best_surprise(tg, omega=1.0), "labels"), cut(best_surprise(tg, omega=1.0, polish=False), "labels")
+    assert value(moved) >= value(proposed) - 1e-9
+
+
+def test_directed_multislice_modularity(toy):
+    """Against the sum over pairs, each edge taken one way."""
+    tg = TemporalGraph(toy.edges, directed=True)
+    labels = toy.nodes.select("slice", "node", F.floor(F.col("node") / 3).alias("community"))
+    want, mu = 0.0, 0.0
+    for s in (1, 2):
+        edges = [(r.src, r.dst) for r in toy.edges.filter(F.col("slice") == s).collect()]
+        out, into = ({v: sum(e[i] == v for e in edges) for v in range(6)} for i in (0, 1))
+        want += sum(((i, j) in edges) - out[i] * into[j] / len(edges) for i in range(6) for j in range(6) if i // 3 == j // 3)
+        mu += len(edges)
+    assert quality.multislice_modularity(tg, labels).first().q_ms == pytest.approx((want + 12) / (mu + 12))
+
+
+def test_radius_and_options_of_the_spectral_route(trade):
+    import numpy as np
+
+    from chronocluster.operators import choose_r
+    from chronocluster.operators.laplacian import nb_radius
+
+    tg, truth = trade
+    supra = supra_graph(tg.with_edges(tg.edges.filter("slice = 0").withColumn("weight", F.lit(1.0))), 0.0)
+    rows = [(r.a, r.b) for r in supra.edges.collect()]
+    ids = sorted({a for a, _ in rows})
+    a = np.zeros((len(ids), len(ids)))
+    for x, y in rows:
+        a[ids.index(x), ids.index(y)] = 1
+    d, e = np.diag(a.sum(1)), np.eye(len(ids))
+    want = max(np.linalg.eigvals(np.block([[a, e - d], [e, 0 * e]])).real)
+    assert nb_radius(supra.edges, supra.nodes.select("sid")) == pytest.approx(want, rel=1e-3)
+    assert choose_r(supra, "nb_radius") == pytest.approx(want**0.5, rel=1e-3)
+    for clustering in ("bisecting", "mixture"):
+        assert nmi(plans.spectral_clustering(tg, 5, "laplacian", omega=200.0, clustering=clustering), truth) > 0.7
+    assert plans.spectral_clustering(tg, 5, "deformed", omega=200.0, assortative=False).count() == tg.nodes.count()
+
+
+def test_fiedler_without_a_dense_matrix(spark):
+    p = PlantedPartition(60, 2, 1, 12.0, 0.9, 1.0, seed=8)
+    tg = TemporalGraph(cut(planted_edges(spark, p), "edges"))
+    phi = lambda s: quality.conductance(tg.edges, cut(plans.fiedler_split(tg, threshold="sweep", solver=s).select("node", "community"), "labels")).agg(F.max("conductance")).first()[0]
+    assert phi("distributed") == pytest.approx(phi("kernel"))
+
+
+def test_windows_by_any_method(planted):
+    tg, truth = planted
+    labels = plans.windowed(tg, 3, 1, 1.0, method=lambda g: plans.leiden(g, 1.0))
+    assert labels.count() == tg.nodes.count() and nmi(labels, truth) > 0.8

@@ -31,7 +31,9 @@ def at(hours):
 def test_late_rows_are_left_out(spark, tmp_path):
     batches = [[(1, at(1), 7, "a"), (2, at(2), 7, "a")], [(3, at(60), 8, "b")], [(7, at(60), 8, "b")], [(4, at(3), 7, "a"), (5, at(61), 8, "b")], [(6, at(130), 9, "a")]]
     stream = streaming.events_stream(spark, files(spark, tmp_path, batches))
-    rows = run_to_table(streaming.tumbling_edges(stream)).collect()
+    rows, late = streaming.run_counted(streaming.tumbling_edges(stream))
+    rows = rows.collect()
+    assert late == 1
     assert sorted((r.start, r.user_id, r.event_type, r.weight) for r in rows) == [(at(0), 7, "a", 2.0), (at(48), 8, "b", 3.0)]
 
 
@@ -52,11 +54,29 @@ def test_contacts(spark, tmp_path):
     assert sorted(map(tuple, found)) == [(7, 8), (8, 9)]
 
 
+def test_users_are_forgotten(spark, tmp_path):
+    """After a long silence a user starts anew; one who comes again in time goes on."""
+    batches = [[(1, at(1), 7, "a"), (2, at(1), 8, "a")], [(3, at(40), 8, "a")], [(4, at(80), 8, "a")], [(5, at(81), 8, "a")], [(6, at(120), 7, "a"), (7, at(120), 8, "a")]]
+    stream = streaming.events_stream(spark, files(spark, tmp_path, batches))
+    rows = run_to_table(streaming.running_degrees(stream, forget_after="2 days")).collect()
+    first = min(r.slice for r in rows) - 1
+    assert sorted((r.node, r.slice - first, r.seen) for r in rows) == [(7, 1, 1), (7, 120, 1), (8, 1, 1), (8, 40, 2), (8, 80, 3), (8, 81, 4), (8, 120, 5)]
+
+
 def test_warm_communities(spark, tmp_path):
     from chronocluster import plans
 
     batches = [[(10 * d + i, at(24 * d + i), i % 3, "ab"[i % 2]) for i in range(6)] for d in range(5)]
     stream = streaming.events_stream(spark, files(spark, tmp_path, batches))
-    labels = streaming.warm_communities(stream, lambda tg: plans.leiden(tg, 1.0, backend_name="kernel"), keep=2)
+    starts = []
+
+    def method(tg, start):
+        starts.append(None if start is None else {(r.slice, r.node) for r in start.filter("community is not null").collect()})
+        return plans.leiden(tg, 1.0, backend_name="kernel", start=start)
+
+    labels = streaming.warm_communities(stream, method, keep=2)
     per = labels.groupBy("batch", "slice", "node").count()
     assert per.filter(F.col("count") > 1).isEmpty() and labels.select("slice").distinct().count() >= 3
+    assert starts[0] is None and all(starts[1:])
+    # The two groups of users and types stay what they are, so names go on from batch to batch.
+    assert labels.groupBy("node").agg(F.countDistinct("community").alias("names")).agg(F.avg("names")).first()[0] < 1.5
