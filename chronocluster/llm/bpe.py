@@ -11,6 +11,9 @@ agreement are exact:
   side and one of the right side.  A sequence of tokens is the encoding of its text if and only
   if each pair of neighbours is the encoding of the pair's text, and with such overlap every pair
   lies in one of three encodings.
+
+The leaves of a text beyond SPREAD_CHARS are rows of their own, which many tasks encode; one task
+then joins them.
 """
 
 from __future__ import annotations
@@ -18,18 +21,27 @@ from __future__ import annotations
 import hashlib
 import json
 import re
+from collections.abc import Callable, Iterator
 from functools import lru_cache
 
 import numpy as np
+import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_schema
+from pyspark.sql.types import StructType
 
-from .common import map_texts
+from .common import map_texts, ready_workers
 
 #: Characters of a leaf, and bytes of a leaf inside one unsplit piece.
 LEAF_CHARS, LEAF_BYTES = 4096, 256
 #: A run of this many characters without a safe cut is handled piece by piece.
 UNSPLIT_CHARS = 2048
+#: Characters of a text that one task encodes, and of a leaf of a longer one that is a row.
+SPREAD_CHARS, ROW_CHARS = 1 << 20, 1 << 16
+#: How the leaves of a part are joined: at safe cuts, inside one unsplit piece, or not at all.
+PROSE, PIECE, PLAIN = 0, 1, 2
 #: The pattern of the byte-level pre-tokeniser.
 PIECES = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 
@@ -129,7 +141,9 @@ class TreeCodec:
         if len(piece) <= self.leaf_bytes:
             return np.array(self.core._encode_single_piece(piece), dtype=np.uint32)
         mid = len(piece) // 2
-        left, right = self._piece(piece[:mid]), self._piece(piece[mid:])
+        return self._splice(self._piece(piece[:mid]), self._piece(piece[mid:]))
+
+    def _splice(self, left: np.ndarray, right: np.ndarray) -> np.ndarray:
         n = 2
         while True:
             a, b = max(0, len(left) - n), min(len(right), n)
@@ -138,33 +152,126 @@ class TreeCodec:
                 return np.concatenate([left[:a], window, right[b:]])
             n *= 2
 
+    # Leaves as rows: (part of the text, how its leaves are joined, strings of the leaf).
+
+    def leaves(self, text: str, size: int) -> Iterator[tuple[int, int, list[str]]]:
+        """The leaves of a text in order; each is at most size characters long, but for a literal of a special token."""
+        part = 0
+        for stretch in self.at_special.split(text) if self.at_special else [text]:
+            if stretch in self.special:
+                yield part, PLAIN, [stretch]
+            elif not self.unsplit.search(stretch):
+                yield from ((part, PROSE, [stretch[i : i + size]]) for i in range(0, len(stretch), size))
+            else:
+                held, n = [], 0
+                for m in self.pieces.finditer(stretch):
+                    piece = m.group()
+                    if held and n + len(piece) > size:
+                        yield part, PLAIN, held
+                        held, n, part = [], 0, part + 1
+                    if len(piece) > size:
+                        yield from ((part, PIECE, [piece[i : i + size]]) for i in range(0, len(piece), size))
+                        part += 1
+                    else:
+                        held.append(piece)
+                        n += len(piece)
+                if held:
+                    yield part, PLAIN, held
+            part += 1
+
+    def encode_leaf(self, how: int, strings: list[str]) -> np.ndarray:
+        if how == PROSE:
+            return self._tree(strings[0], 0, len(strings[0]))
+        return np.concatenate([np.array([self.special[s]], dtype=np.uint32) if how == PLAIN and s in self.special else self._piece(s.encode()) for s in strings])
+
+    def join_leaves(self, how: int, texts: list[str], ids: list[np.ndarray]) -> np.ndarray:
+        """The ids of a part from those of its leaves, joined as a tree."""
+        if len(ids) == 1:
+            return ids[0]
+        text, at = "".join(texts), np.cumsum([0, *map(len, texts)]).tolist()
+
+        def fold(lo: int, hi: int) -> np.ndarray:
+            if hi - lo == 1:
+                return ids[lo]
+            mid = (lo + hi) // 2
+            left, right = fold(lo, mid), fold(mid, hi)
+            return self._join(text, at[lo], at[mid], at[hi], left, right) if how == PROSE else self._splice(left, right)
+
+        return fold(0, len(ids))
+
 
 @lru_cache(maxsize=4)
 def codec(path: str) -> TreeCodec:
     return TreeCodec(path)
 
 
-def encode_decode(df: DataFrame, keys: list[str], text: str, path: str, with_ids: bool = False) -> DataFrame:
+def _described(c: TreeCodec, ids: np.ndarray, with_ids: bool) -> list:
+    ids = ids.astype("<u4")
+    return [len(ids), hashlib.sha256(ids.tobytes()).hexdigest(), hashlib.sha256(c.decode(ids).encode()).hexdigest(), *([ids.tolist()] if with_ids else [])]
+
+
+def _rows(batches: Iterator[pa.RecordBatch]) -> Iterator[dict]:
+    """One row after the other, so that no second copy of a batch of long texts is made."""
+    for b in batches:
+        for i in range(b.num_rows):
+            yield b.slice(i, 1).to_pylist()[0]
+
+
+def _by_leaves(texts: DataFrame, path: str, size: int, with_ids: bool, fields: list[tuple[str, str]]) -> DataFrame:
+    """__sha and fields of each row of texts (__sha, t): leaves are rows, encoded by many tasks, joined by one for each text."""
+    ready_workers(texts.sparkSession)
+    row = "__sha string, place int, part int, how int, strings array<string>"
+    as_arrow = pa.schema([("__sha", pa.string()), ("place", pa.int32()), ("part", pa.int32()), ("how", pa.int32()), ("strings", pa.list_(pa.string()))])
+    made = ", ".join(f"{n} {t}" for n, t in fields)
+    result = to_arrow_schema(StructType.fromDDL(f"__sha string, {made}"))
+
+    def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        c = codec(path)
+        for r in _rows(batches):
+            for place, (part, how, strings) in enumerate(c.leaves(r["t"], size)):
+                yield pa.RecordBatch.from_pylist([{"__sha": r["__sha"], "place": place, "part": part, "how": how, "strings": strings}], schema=as_arrow)
+
+    def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        c = codec(path)
+        for r in _rows(batches):
+            r["ids"] = c.encode_leaf(r["how"], r["strings"]).astype("<u4").tobytes()
+            r["strings"] = r["strings"] if r["how"] == PROSE else []
+            yield pa.RecordBatch.from_pylist([r], schema=as_arrow.append(pa.field("ids", pa.binary())))
+
+    def join(table: pa.Table) -> pa.Table:
+        c, parts = codec(path), {}
+        for r in sorted(table.to_pylist(), key=lambda r: r["place"]):
+            parts.setdefault(r["part"], []).append(r)
+        ids = [c.join_leaves(p[0]["how"], ["".join(r["strings"]) for r in p], [np.frombuffer(r["ids"], dtype="<u4") for r in p]) for p in parts.values()]
+        values = [table.column("__sha")[0].as_py(), *_described(c, np.concatenate(ids), with_ids)]
+        return pa.Table.from_arrays([pa.array([v], type=f.type) for v, f in zip(values, result, strict=True)], schema=result)
+
+    tasks = int(texts.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    leaves = texts.mapInArrow(cut, row).repartition(tasks, "__sha", "place")
+    return leaves.mapInArrow(encode, f"{row}, ids binary").groupBy("__sha").applyInArrow(join, f"__sha string, {made}")
+
+
+def encode_decode(df: DataFrame, keys: list[str], text: str, path: str, with_ids: bool = False, spread: int = SPREAD_CHARS, size: int = ROW_CHARS) -> DataFrame:
     """Per row: keys, n_tokens, ids_sha256 and decoded_sha256, and with with_ids the ids too.
 
-    A null or empty text has no ids; repeated rows each give a row; nothing is shuffled.
+    A null or empty text has no ids; repeated rows each give a row.  Texts of at most spread characters
+    are encoded where they lie; a longer one, once for all its rows, by leaves of size characters.
     """
 
-    def kernel():
+    def kernel() -> Callable[[list[str | None]], list[list]]:
         c = codec(path)
 
         def run(texts: list[str | None]) -> list[list]:
-            out: list[list] = [[], [], [], []]
-            for t in texts:
-                ids = c.encode(t or "").astype("<u4")
-                out[0].append(len(ids))
-                out[1].append(hashlib.sha256(ids.tobytes()).hexdigest())
-                out[2].append(hashlib.sha256(c.decode(ids).encode()).hexdigest())
-                if with_ids:
-                    out[3].append(ids.tolist())
-            return out[: 3 + with_ids]
+            rows = [_described(c, c.encode(t or ""), with_ids) for t in texts]
+            return [[r[i] for r in rows] for i in range(3 + with_ids)]
 
         return run
 
-    fields = [("n_tokens", "bigint"), ("ids_sha256", "string"), ("decoded_sha256", "string"), ("ids", "array<int>")]
-    return map_texts(df, keys, text, kernel, fields[: 3 + with_ids])
+    fields = [("n_tokens", "bigint"), ("ids_sha256", "string"), ("decoded_sha256", "string"), ("ids", "array<int>")][: 3 + with_ids]
+    whole = F.col(f"`{text}`")
+    beyond = F.coalesce(F.length(whole) > spread, F.lit(False))
+    near = map_texts(df.filter(~beyond), keys, text, kernel, fields)
+    far = df.filter(beyond).select(*[F.col(f"`{k}`") for k in keys], F.sha2(whole.cast("binary"), 256).alias("__sha"))
+    texts = df.filter(beyond).select(F.sha2(whole.cast("binary"), 256).alias("__sha"), whole.alias("t")).dropDuplicates(["__sha"])
+    found = _by_leaves(texts, path, size, with_ids, fields)
+    return near.union(far.join(found, "__sha").select(*[F.col(f"`{k}`") for k in keys], *[n for n, _ in fields]))
