@@ -5,7 +5,7 @@ import re
 import pytest
 from pyspark.sql import functions as F
 
-from chronocluster import catalog, tracking, workloads
+from chronocluster import catalog, supra, tracking, workloads
 from chronocluster.temporal import active_nodes, co_occurrence, meetings, slice_members
 
 MEETINGS = [(0, 1), (0, 1), (0, 2), (0, 3), (1, 1), (3, 2), (3, 3), (4, 9), (4, 9), (7, 1), (7, 3), (7, None), (None, 1)]
@@ -47,3 +47,18 @@ def test_carried_labels_skip_empty_ones_and_unknown_slices(spark):
     edges = spark.createDataFrame([(0, 1, 2, 1.0), (2, 1, 3, 1.0), (5, 2, 3, 1.0)], "slice int, src bigint, dst bigint, weight double")
     labels = spark.createDataFrame([(0, 1, 7), (2, 1, None), (2, 3, 8), (5, 3, 9), (1, 2, 4), (0, 99, 1)], "slice int, node bigint, community bigint")
     assert in_order(tracking.carry_labels(labels, edges), "slice", "node", "community") == [(0, 1, 7), (2, 1, 7), (2, 3, 8), (5, 1, 7), (5, 3, 9)]
+
+
+@pytest.mark.parametrize("block", [2, 5, 16_384])
+def test_pairs_that_meet_are_counted_once(spark, monkeypatch, block):
+    monkeypatch.setattr(supra, "PAIR_BLOCK", block)
+    monkeypatch.setattr(supra, "PAIR_PIECE", 3)
+    rows = spark.createDataFrame([(s, (7 * s + 5 * i) % 23 * 10**12) for s in range(12) for i in range(s)] + [(50, 1), (60, None)], "slice int, who bigint")
+    want = supra.dataset_properties(meetings(rows, "slice", "who"))
+    got = supra.meeting_properties(slice_members(rows, "slice", "who"))
+    assert got.columns == want.columns and got.first() == want.first() and got.first().e > 0
+    assert supra.meeting_properties(slice_members(rows.filter("slice > 40"), "slice", "who")).first()[:5] == (0, 0, 0, 0, 0)
+
+
+def test_properties_of_contacts_make_no_pair(spark, sf):
+    assert "dst#" not in plan(catalog.QUERIES["properties_contact_5min"](spark, sf))
