@@ -86,8 +86,9 @@ def repeats(table: DataFrame) -> DataFrame:
     The first occurrence is the one with the smallest key, then text hash, then place.
     """
     each = table.select("k", "th", F.explode(F.arrays_zip("h1", "h2", "i", "j", "s", "e")).alias("x")).select("k", "th", "x.*")
-    first = each.groupBy("h1", "h2").agg(F.min(F.struct("k", "th", "i")).alias("first"), F.max(F.struct("k", "th", "i")).alias("last")).filter(~F.col("first").eqNullSafe(F.col("last")))
-    again = materialise(first.drop("last"), "repeated")
+    # A row given twice counts as repeated here; none of its spans differs from the first below.
+    first = each.groupBy("h1", "h2").agg(F.min(F.struct("k", "th", "i")).alias("first"), F.count("*").alias("times")).filter("times > 1")
+    again = materialise(first.drop("times"), "repeated")
     hit = each.join(again, ["h1", "h2"]).filter(~F.struct("k", "th", "i").eqNullSafe(F.col("first")))
     return hit.groupBy("k", "th").agg(F.array_sort(F.collect_set(F.struct("s", "e", "i", "j"))).alias("runs"))
 

@@ -96,3 +96,15 @@ def test_every_sentence_of_a_repeated_run_goes(spark):
     got = {r.doc_id: (r.n_removed, r.clean) for r in sd.deduplicate(spark.createDataFrame([(*r, "", "") for r in rows], SCHEMA)).collect()}
     assert got == want
     assert got[1][0] == 2 and got[3][0] == 0
+
+
+def test_one_occurrence_of_a_span_travels_to_its_count(spark):
+    docs = spark.createDataFrame([(1, "a b."), (2, "a b.")], "doc_id bigint, text string")
+    plans = []
+    keep = sd.materialise
+    sd.materialise = lambda df, name: plans.append(df._jdf.queryExecution().optimizedPlan().toString()) or df
+    try:
+        sd.repeats(sd.span_table(docs, "doc_id", "text", 1)).count()
+    finally:
+        sd.materialise = keep
+    assert "min(struct" in plans[0] and "max(struct" not in plans[0]
