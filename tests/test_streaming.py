@@ -1,7 +1,9 @@
 """Streams against the batch result of the rows that are in time."""
 
+import re
 from datetime import datetime, timedelta
 
+import pytest
 from pyspark.sql import functions as F
 
 from chronocluster import streaming
@@ -54,6 +56,19 @@ def test_contacts(spark, tmp_path):
     assert sorted(map(tuple, found)) == [(7, 8), (8, 9)]
 
 
+@pytest.mark.parametrize("within", ["10 minutes", "7 seconds"])
+def test_contacts_meet_across_buckets_and_not_by_type_alone(spark, tmp_path, within):
+    """Events just before, at and just after the edges of buckets, against all pairs; the join has a key of time."""
+    width = timedelta(**{within.split()[1]: int(within.split()[0])})
+    steps = [timedelta(0), width / 2, width - timedelta(microseconds=1), width, width + timedelta(microseconds=1), width * 2, width * 2.5]
+    rows = [(10 * i + j, at(1) + s + j * timedelta(microseconds=1), (i * 5 + j) % 6, "ab"[j % 2]) for i, s in enumerate(steps) for j in range(4)]
+    stream = streaming.events_stream(spark, files(spark, tmp_path, [rows]))
+    contacts = streaming.stream_contacts(stream, stream.select("*"), within)
+    found = sorted((r.src, r.dst, r["at"]) for r in run_to_table(contacts).collect())
+    assert found == sorted((a[2], b[2], a[1]) for a in rows for b in rows if a[3] == b[3] and a[2] < b[2] and a[1] <= b[1] <= a[1] + width)
+    assert re.search(r"\bba#\d+L? = bb#\d+", contacts._jdf.queryExecution().analyzed().toString())
+
+
 def test_users_are_forgotten(spark, tmp_path):
     """After a long silence a user starts anew; one who comes again in time goes on."""
     batches = [[(1, at(1), 7, "a"), (2, at(1), 8, "a")], [(3, at(40), 8, "a")], [(4, at(80), 8, "a")], [(5, at(81), 8, "a")], [(6, at(120), 7, "a"), (7, at(120), 8, "a")]]
