@@ -5,8 +5,9 @@ import re
 import pytest
 from pyspark.sql import functions as F
 
-from chronocluster import catalog, supra, tracking, workloads
-from chronocluster.temporal import active_nodes, co_occurrence, meetings, slice_members
+from chronocluster import catalog, complete, plans, quality, supra, tracking, workloads
+from chronocluster.components import check_connected
+from chronocluster.temporal import TemporalGraph, active_nodes, co_occurrence, meetings, slice_members
 
 MEETINGS = [(0, 1), (0, 1), (0, 2), (0, 3), (1, 1), (3, 2), (3, 3), (4, 9), (4, 9), (7, 1), (7, 3), (7, None), (None, 1)]
 
@@ -70,3 +71,50 @@ def test_approximate_counts_are_within_five_percent(spark):
         edges = spark.range(first, first + 1000, 2).select(F.lit(0).alias("slice"), F.col("id").alias("src"), (F.col("id") + 1).alias("dst"), F.lit(1.0).alias("weight"))
         near = supra.dataset_properties(edges, approx=True).first()
         assert abs(near.v - 1000) <= 50 and abs(near.e - 500) <= 25
+
+
+@pytest.fixture(scope="module")
+def both(spark):
+    """A graph of complete slices, some of two nodes, with a gap; without its edges, and with them."""
+    rows = spark.createDataFrame([(s + (s > 6), (11 * s * s + 3 * i * (1 + s % 3)) % 17) for s in range(12) for i in range(1 + s % 5)], "slice int, who bigint")
+    members = slice_members(rows, "slice", "who")
+    edges = meetings(rows, "slice", "who")
+    return TemporalGraph(edges, active=members, complete=True).stored(), TemporalGraph(edges).stored()
+
+
+@pytest.mark.parametrize("classes", [1, 3])
+def test_complete_slices_score_as_their_pairs(both, classes):
+    fast, plain = both
+    labels = plain.nodes.select("slice", "node", F.pmod(F.col("node") + F.floor(F.col("slice") / 3), F.lit(classes)).alias("community"))
+    got, want = (quality.multislice_modularity(g, labels, omega=0.7).first() for g in both)
+    assert got.q_ms == pytest.approx(want.q_ms) and got.two_mu == pytest.approx(want.two_mu)
+    whole = check_connected(supra.supra_graph(plain, 1.0).edges, labels.select(supra.sid(F.col("slice"), F.col("node")).alias("sid"), "community")).first()
+    assert complete.check_connected(labels).first() == whole
+
+
+@pytest.mark.parametrize("null", ["slice", "global"])
+def test_complete_slices_are_labelled_without_pairs(spark, both, null):
+    fast, plain = both
+    known = plans.leiden(plain, 0.5, null=null, backend_name="kernel")
+    spark.conf.set("chronocluster.kernel_edges", "5")
+    try:
+        labels = plans.leiden(fast, 0.5, null=null)
+    finally:
+        spark.conf.unset("chronocluster.kernel_edges")
+    assert not re.search(r"\bdst#", plan(labels))
+    assert in_order(labels, "slice", "node") == in_order(plain.nodes, "slice", "node")
+    assert complete.check_connected(labels).first().broken == 0
+    if null == "slice":
+        q, best = (quality.multislice_modularity(plain, x, omega=0.5).first().q_ms for x in (labels, known))
+        assert q >= best - 1e-9
+    else:
+        graph = supra.supra_graph(plain, 0.5)
+        q, best = (quality.supra_modularity(graph, x).first().q for x in (labels, known))
+        assert q >= best - 0.02
+
+
+def test_slices_are_not_taken_as_wholes_where_copies_tie_more(both):
+    pairs = both[1].edges.count()
+    assert complete.ties_are_weak(both[0], 0.5, pairs - 1)
+    assert not complete.ties_are_weak(both[0], 0.5, pairs)
+    assert not complete.ties_are_weak(both[0], 6.0, 5)
