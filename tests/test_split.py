@@ -43,6 +43,13 @@ def test_split_is_the_kernel(spark, monkeypatch, null):
     assert quality.multislice_modularity(tg, labels, omega=1.0).first().q_ms > 0.6
 
 
+def test_nodes_are_stored_with_edges(spark):
+    tg = clumps(spark)
+    nodes = tg.stored().active
+    assert sorted(map(tuple, nodes.collect())) == sorted(map(tuple, tg.nodes.collect()))
+    assert "explode" not in supra.supra_graph(tg.stored()).nodes._jdf.queryExecution().toString()
+
+
 def test_components_of_arrays(spark, monkeypatch):
     rng = random.Random(3)
     rows = [(a := rng.randrange(900), a + rng.choice([0, 1, 1, 7])) for _ in range(700)]
