@@ -7,7 +7,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from chronocluster import kernels, plans, quality, supra
+from chronocluster import arrays, kernels, plans, quality, supra
 from chronocluster.components import check_connected, components, inner_parts, rooted
 from chronocluster.session import cut
 from chronocluster.temporal import TemporalGraph
@@ -43,6 +43,19 @@ def test_split_is_the_kernel(spark, monkeypatch, null):
     assert quality.multislice_modularity(tg, labels, omega=1.0).first().q_ms > 0.6
 
 
+def test_components_are_found_once(spark, monkeypatch):
+    tg = clumps(spark).stored()
+    asked, inner = [], plan.rooted
+    monkeypatch.setattr(plan, "SPLIT_EDGES", 40)
+    monkeypatch.setattr(plan, "rooted", lambda e: asked.append(1) or inner(e))
+    for null in ("slice", "global"):
+        plans.leiden(tg, 1.0, null=null)
+    assert len(asked) == 1
+    less = tg.with_edges(cut(tg.edges.filter("src < 200"), "less"))
+    assert cut(plans.leiden(less, 1.0), "labels").agg(F.max("node")).first()[0] < 200
+    assert len(asked) == 2
+
+
 def test_nodes_are_stored_with_edges(spark):
     tg = clumps(spark)
     nodes = tg.stored().active
@@ -76,3 +89,27 @@ def test_tables_of_strengths(monkeypatch, slices):
     fast = kernels.leiden(g, objective)
     monkeypatch.setattr(kernels, "_table", kernels._Sparse)
     assert kernels.leiden(g, objective) == fast
+
+
+def test_even_strengths_in_one_number(monkeypatch):
+    rng = np.random.default_rng(7)
+    a, b = rng.integers(0, 80, (2, 500))
+    k = [{int(s): (x, x) for s, x in zip(rng.choice(40, 4, replace=False), rng.random(4).tolist(), strict=True)} for _ in range(80)]
+    g, objective = kernels.Graph(80, a, b, np.ones(500), k), kernels.Objective(dict.fromkeys(range(40), 1.0), dict.fromkeys(range(40), 0.5))
+    monkeypatch.setattr(kernels, "DENSE", 1)
+    assert type(kernels._table(g, objective)) is kernels._Even
+    fast = kernels.leiden(g, objective)
+    monkeypatch.setattr(kernels, "_is_even", lambda g: False)
+    assert type(kernels._table(g, objective)) is kernels._Sparse
+    assert kernels.leiden(g, objective) == fast
+    assert 1 < len(set(fast)) < 80
+
+
+def test_totals_held_are_those_of_the_parts(monkeypatch):
+    rng = np.random.default_rng(9)
+    a, b, s = rng.integers(0, 50, 300), rng.integers(0, 50, 300), rng.integers(0, 6, 50)
+    g = arrays.ArrayGraph.of(50, a, b, np.ones(300), np.arange(50), s, np.ones(50), np.ones(50), 6)
+    part = rng.integers(0, 9, 50)
+    dense = arrays.Totals(g, part).held()
+    monkeypatch.setattr(arrays, "DENSE", 1)
+    assert all((x == y).all() for x, y in zip(dense, arrays.Totals(g, part).held(), strict=True))
